@@ -67,8 +67,17 @@ def kind_of(mention: Column) -> Column:
     return F.when(mention.rlike(r"^AKIA[0-9A-Z]{16}$"), F.lit("secret")).otherwise(out)
 
 
+def _country(mention: Column) -> Column:
+    """A phone's country code as written, which its surrogate keeps."""
+    return F.regexp_extract(mention, r"^\+\d{1,3}(?=[ .\-(])", 0)
+
+
+def _national(kind: Column, mention: Column) -> Column:
+    return F.when(kind == "phone", F.substr(mention, F.char_length(_country(mention)) + 1, F.char_length(mention))).otherwise(mention)
+
+
 def canonical(kind: Column, mention: Column) -> Column:
-    return (F.when(kind.isin("phone", "account", "ssn"), F.regexp_replace(mention, r"\D", ""))
+    return (F.when(kind.isin("phone", "account", "ssn"), F.regexp_replace(_national(kind, mention), r"\D", ""))
             .when(kind == "email", F.lower(mention)).when(kind == "iban", F.regexp_replace(mention, " ", "")).otherwise(mention))
 
 
@@ -141,8 +150,8 @@ def _written(kind: Column, mention: Column, new: Column) -> Column:
         digit = c.rlike(r"\d") | ((kind == "iban") & c.rlike("[A-Z]"))
         return F.struct(F.concat(s["out"], F.when(digit, F.substr(new, s["n"] + 1, F.lit(1))).otherwise(c)).alias("out"), (s["n"] + F.when(digit, 1).otherwise(0)).alias("n"))
 
-    dealt = F.aggregate(F.split(mention, ""), F.struct(F.lit("").alias("out"), F.lit(0).alias("n")), deal, lambda s: s["out"])
-    return F.when(kind.isin("phone", "account", "ssn", "iban"), dealt).otherwise(new)
+    dealt = F.aggregate(F.split(_national(kind, mention), ""), F.struct(F.lit("").alias("out"), F.lit(0).alias("n")), deal, lambda s: s["out"])
+    return F.when(kind == "phone", F.concat(_country(mention), dealt)).when(kind.isin("account", "ssn", "iban"), dealt).otherwise(new)
 
 
 def _gender(text: Column) -> Column:

@@ -63,9 +63,10 @@ RULES = (
     Rule("shouting", "n_exclaims", "max", 10, "n_words", 100),
     Rule("bar_words", "n_bar_words", "max", 10, "n_words", 100),
     Rule("stop_words", "n_stop_words", "min", 2, "n_words", 100),
-    Rule("duplicate_lines", "n_dup_lines", "max", 30, "n_lines", 100),
+    Rule("duplicate_lines", "n_dup_lines", "max", 50, "n_lines", 100),
+    Rule("echoed_words", "n_echo_words", "max", 20, "n_words", 100),
 )
-MEASURES = ("n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_repeat_words", "n_exclaims", "n_bar_words", "n_stop_words")
+MEASURES = ("n_words", "word_chars", "n_symbols", "n_lines", "n_dup_lines", "n_repeat_words", "n_exclaims", "n_bar_words", "n_stop_words", "n_echo_words")
 
 
 def _repeated(words: Column, width: int) -> Column:
@@ -105,8 +106,9 @@ def measures(text: Column, width: int = 8) -> Column:
             F.size(words).cast("long").alias("n_words"),
             F.aggregate(words, F.lit(0).cast("long"), lambda s, w: s + F.char_length(w)).alias("word_chars"),
             _repeated(words, width).alias("n_repeat_words"),
-            # the share of the first hundred distinct words would be a prefix, so all words count
             F.size(F.filter(words, lambda w: (F.char_length(w) <= 4) & F.array_contains(stop, F.lower(w)))).cast("long").alias("n_stop_words"),
+            # words equal to the word before them
+            F.size(F.filter(words, lambda w, i: F.coalesce(w == F.get(words, i - 1), F.lit(False)))).cast("long").alias("n_echo_words"),
         )
 
     def of_lines(lines: Column) -> Column:
@@ -130,7 +132,7 @@ def judge(docs: DataFrame, text: str = "text", base: tuple[Rule, ...] = BASE_RUL
     made = {*MEASURES, "base_failed", "kept", "failed_rules"}
     kept = [F.col(c) for c in docs.columns if c.lower() not in made]
     got = docs.select(*kept, measures(F.col(text), width).alias("__m"))
-    parts = {"n_words": "words", "word_chars": "words", "n_repeat_words": "words", "n_stop_words": "words", "n_lines": "lines", "n_dup_lines": "lines"}
+    parts = {"n_words": "words", "word_chars": "words", "n_repeat_words": "words", "n_stop_words": "words", "n_echo_words": "words", "n_lines": "lines", "n_dup_lines": "lines"}
     flat = got.select(*[c for c in got.columns if c != "__m"], *[F.col(f"__m.{parts[m]}.{m}" if m in parts else f"__m.{m}").alias(m) for m in MEASURES])
     any_of = lambda some: F.greatest(F.lit(False), F.lit(False), *[r.failed() for r in some])
     return flat.select(

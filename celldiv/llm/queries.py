@@ -93,7 +93,8 @@ cover AS (SELECT row_no, count(DISTINCT i + k) AS n FROM twice, unnest(range(0,
 m AS (SELECT doc_id, len(ws) AS n_words, coalesce(list_sum(list_transform(ws, lambda x: length(x))), 0) AS word_chars,
   len(regexp_extract_all(t, '[#*$%&|<>]')) AS n_symbols, len(ls) AS n_lines, len(ls) - len(list_distinct(ls)) AS n_dup_lines,
   coalesce(cover.n, 0) AS n_repeat_words, len(regexp_extract_all(t, '!')) AS n_exclaims, len(regexp_extract_all(t, '[|]')) AS n_bar_words,
-  len(list_filter(ws, lambda x: length(x) <= 4 AND lower(x) IN ({_STOPS}))) AS n_stop_words
+  len(list_filter(ws, lambda x: length(x) <= 4 AND lower(x) IN ({_STOPS}))) AS n_stop_words,
+  len(list_filter(ws, lambda x, i: i > 1 AND x = ws[i - 1])) AS n_echo_words
   FROM w LEFT JOIN cover USING (row_no))
 SELECT doc_id, CAST(n_words AS BIGINT) AS n_words, CAST(word_chars AS BIGINT) AS word_chars, CAST(n_symbols AS BIGINT) AS n_symbols,
   CAST(n_dup_lines AS BIGINT) AS n_dup_lines, CAST(n_repeat_words AS BIGINT) AS n_repeat_words,

@@ -30,7 +30,9 @@ from pyspark.sql import functions as F
 MAX_EXAMPLES, MAX_TERMS = 20_000, 4_096
 NEAREST, BLOCK = 15, 64
 LIMIT = 0.7
-BEGINNINGS = (6, 8, 10)
+BEGINNINGS = (4, 5, 6, 8)
+#: Least likelihood ratio of a term: among millions of terms hardly one reaches it by chance.
+GAIN = 24.0
 WORD = re.compile(r"[^\W\d_]+")
 
 
@@ -75,63 +77,100 @@ def learn_terms(shown: DataFrame, max_terms: int = MAX_TERMS, least: int = 3) ->
     part = lambda x, e: F.when(x > 0, x * F.log(x / e)).otherwise(0.0)
     gain = 2 * (part(a, df * n1 / n) + part(b, df * n0 / n) + part(n1 - a, (n - df) * n1 / n) + part(n0 - b, (n - df) * n0 / n))
     picked = counts.where(F.col("term") != "").where((F.col("toxic") >= least) & (a * n >= 3 * df * n1)).select("term", df.alias("df"), gain.alias("gain"))
-    rows = picked.where("gain >= 10.83").orderBy(F.desc("gain"), "term").limit(max_terms).collect()  # bounded by max_terms
+    rows = picked.where(F.col("gain") >= GAIN).orderBy(F.desc("gain"), "term").limit(max_terms).collect()  # bounded by max_terms
     return {r["term"]: (i, math.log((n + 1) / (r["df"] + 1)) + 1) for i, r in enumerate(rows)}, n0 + n1, n1
 
 
 def vector(text: str | None, known: dict[str, tuple[int, float]]) -> tuple[np.ndarray, np.ndarray]:
     """Term numbers, ascending, and their weights, of length one together."""
-    got = sorted((known[t][0], (1 + math.log(n)) * known[t][1]) for t, n in terms(text).items() if t in known)
-    if not got:
+    words = Counter(WORD.findall((text or "").lower()))
+    heads = _heads(known)
+    found = Counter()
+    for w in [w for w in words if w[:4] in heads]:
+        for t in (w, *[w[:k] + "*" for k in BEGINNINGS if len(w) > k]):
+            if t in known:
+                found[t] += words[w]
+    if not found:
         return np.empty(0, np.int64), np.empty(0)
+    got = sorted((known[t][0], (1 + math.log(n)) * known[t][1]) for t, n in found.items())
     at, w = np.array([g[0] for g in got]), np.array([g[1] for g in got])
     return at, w / np.linalg.norm(w)
 
 
-class BlockMaxIndex:
-    """Inverted lists of example vectors in blocks, with each term's largest weight per block."""
+_HEADS: dict[int, tuple[dict, frozenset]] = {}
+
+
+def _heads(known: dict) -> frozenset:
+    """The first four letters of all terms: other words need no closer look."""
+    if (got := _HEADS.get(id(known))) is None or got[0] is not known:
+        _HEADS.clear()
+        got = _HEADS[id(known)] = known, frozenset(t[:4] for t in known)
+    return got[1]
 
-    def __init__(self, vectors: list[tuple[np.ndarray, np.ndarray]], n_terms: int, block: int = BLOCK) -> None:
-        self.size, self.block = len(vectors), block
-        term = np.concatenate([v[0] for v in vectors]) if vectors else np.empty(0, np.int64)
-        weight = np.concatenate([v[1] for v in vectors]) if vectors else np.empty(0)
-        doc = np.repeat(np.arange(len(vectors)), [len(v[0]) for v in vectors]) if vectors else np.empty(0, np.int64)
+
+class BlockMaxIndex:
+    """Inverted lists of distinct example vectors in blocks, with each term's largest weight per block.
+
+    Vectors are laid out by their heaviest term, so like ones share blocks and bounds are tight.
+    size[i] examples have vector i; toxic[i] of them are toxic.
+    """
+
+    def __init__(self, vectors: list[tuple[np.ndarray, np.ndarray]], toxic: list[int], n_terms: int, block: int = BLOCK) -> None:
+        self.block = block
+        groups: dict[tuple, list[int]] = {}
+        for i, (at, w) in enumerate(vectors):
+            heavy = np.argsort(-w, kind="stable")
+            groups.setdefault((tuple(at[heavy].tolist()), tuple(np.round(w[heavy], 12).tolist())), []).append(i)
+        laid = sorted(groups.items())
+        self.members = [m for _, m in laid]
+        self.of = {i: g for g, m in enumerate(self.members) for i in m}
+        self.size = np.array([len(m) for m in self.members], np.float64)
+        self.toxic = np.array([sum(toxic[i] for i in m) for m in self.members], np.float64)
+        self.blocks = -(-len(laid) // block)
+        empty = np.empty(0, np.int64)
+        term = np.concatenate([np.array(k[0], np.int64) for k, _ in laid]) if laid else empty
+        weight = np.concatenate([np.array(k[1]) for k, _ in laid]) if laid else np.empty(0)
+        doc = np.repeat(np.arange(len(laid)), [len(k[0]) for k, _ in laid]) if laid else empty
         order = np.lexsort((doc, term))
-        self.doc, self.weight = doc[order], weight[order]
-        self.begin = np.searchsorted(term[order], np.arange(n_terms + 1))
-        cell = term[order] * max(1, self.blocks) + self.doc // block
-        self.cell_begin = np.flatnonzero(np.r_[True, np.diff(cell) != 0]) if len(cell) else np.empty(0, np.int64)
-        self.cell_block = (self.doc // block)[self.cell_begin]
-        self.cell_max = np.maximum.reduceat(self.weight, self.cell_begin) if len(cell) else np.empty(0)
-        self.cell_end = np.r_[self.cell_begin[1:], len(cell)].astype(np.int64)
-        self.term_cells = np.searchsorted(self.cell_begin, self.begin)
-
-    @property
-    def blocks(self) -> int:
-        return -(-self.size // self.block)
-
-    def nearest(self, at: np.ndarray, weights: np.ndarray, k: int, without: int = -1) -> tuple[np.ndarray, np.ndarray, int]:
-        """The k nearest examples, their cosines, and the number of blocks opened; ties by example number."""
+        self.doc, self.weight, term = doc[order], weight[order], term[order]
+        cell = term * max(1, self.blocks) + self.doc // block
+        begin = np.flatnonzero(np.r_[True, np.diff(cell) != 0]) if len(cell) else empty
+        self.begin, self.end = begin.tolist(), np.r_[begin[1:], len(cell)].tolist()
+        self.cell_block = (self.doc // block)[begin]
+        self.cell_max = np.maximum.reduceat(self.weight, begin) if len(cell) else np.empty(0)
+        self.cells = np.searchsorted(term[begin], np.arange(n_terms + 1))
+        self.cell_of = {int(c): i for i, c in enumerate(cell[begin])}
+
+    def nearest(self, at: np.ndarray, weights: np.ndarray, k: int, without: int = -1) -> tuple[list[tuple[float, int]], int]:
+        """(cosine, vector number) of the nearest vectors that hold k examples, and the number of blocks opened.
+
+        Equally near vectors come together: the last of them may exceed k. `without` leaves one example out.
+        """
         bound = np.zeros(self.blocks)
-        lists = [(slice(self.term_cells[t], self.term_cells[t + 1]), w) for t, w in zip(at, weights)]
-        for cells, w in lists:
+        for t, w in zip(at, weights):
+            cells = slice(self.cells[t], self.cells[t + 1])
             bound[self.cell_block[cells]] += w * self.cell_max[cells]
-        sums: dict[int, np.ndarray] = {}
+        own = self.of.get(without, -1)
         best: list[tuple[float, int]] = []
-        opened = 0
-        for b in np.argsort(-bound, kind="stable"):
-            if bound[b] <= 0 or len(best) == k and bound[b] < -best[-1][0] - 1e-12:
+        least, opened = -1.0, 0
+        lists = list(zip(at.tolist(), weights.tolist()))
+        for b in np.argsort(-bound, kind="stable").tolist():
+            if bound[b] <= 0 or bound[b] < least - 1e-9:
                 break
             opened += 1
             sums = np.zeros(self.block)
-            for cells, w in lists:
-                i = cells.start + np.searchsorted(self.cell_block[cells], b)
-                if i < cells.stop and self.cell_block[i] == b:
-                    part = slice(self.cell_begin[i], self.cell_end[i])
+            for t, w in lists:
+                i = self.cell_of.get(t * self.blocks + b)
+                if i is not None:
+                    part = slice(self.begin[i], self.end[i])
                     sums[self.doc[part] - b * self.block] += w * self.weight[part]
-            hit = np.flatnonzero(sums > 0)
-            best = sorted([*best, *[(-float(sums[i]), int(b) * self.block + int(i)) for i in hit if int(b) * self.block + int(i) != without]])[:k]
-        return np.array([i for _, i in best], np.int64), np.array([-s for s, _ in best]), opened
+            hit = np.flatnonzero(sums > max(0.0, least - 1e-9))
+            best = sorted([*best, *[(round(-float(sums[i]), 9), b * self.block + int(i)) for i in hit]])
+            held = np.cumsum([self.size[g] - (g == own) for _, g in best])
+            if len(held) and held[-1] >= k:
+                last = best[int(np.searchsorted(held, k))][0]
+                best, least = [x for x in best if x[0] <= last], -last
+        return [(-s, g) for s, g in best if self.size[g] - (g == own) > 0], opened
 
 
 def isotonic(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -156,28 +195,45 @@ class Model:
 
     def __init__(self, known: dict, rows: list[tuple[int, int, list, list]], none: tuple[int, int], k: int = NEAREST) -> None:
         self.known, self.k = known, k
-        self.ids, self.toxic = [r[0] for r in rows], np.array([r[1] for r in rows])
-        self.index = BlockMaxIndex([(np.array(r[2], np.int64), np.array(r[3])) for r in rows], len(known))
+        self.ids = [r[0] for r in rows]
+        toxic, vectors = [r[1] for r in rows], [(np.array(r[2], np.int64), np.array(r[3])) for r in rows]
+        self.index = BlockMaxIndex(vectors, toxic, len(known))
         self.none = none[1] / (none[0] + 1) if none[0] else 0.0
-        votes = np.array([self.vote(*self.index.nearest(np.array(r[2], np.int64), np.array(r[3]), k, i)[:2]) for i, r in enumerate(rows)])
-        self.steps = isotonic(votes, self.toxic) if len(rows) else (np.empty(0), np.empty(0))
-
-    def vote(self, found: np.ndarray, cosine: np.ndarray) -> float:
-        if not len(found):
-            return self.none
-        weight = 1 / (1.05 - np.minimum(cosine, 1))
-        return float((weight * self.toxic[found]).sum() / weight.sum())
+        self.seen: dict[tuple[bytes, bytes], tuple] = {}
+        # examples with equal vectors and labels are judged alike by the others
+        alike: dict[tuple[int, int], list[int]] = {}
+        for i, y in enumerate(toxic):
+            alike.setdefault((self.index.of[i], y), []).append(i)
+        votes, labels = np.zeros(len(rows)), np.array(toxic, np.float64)
+        for (_, y), some in alike.items():
+            votes[some] = self.vote(self.index.nearest(*vectors[some[0]], k, some[0])[0], some[0], y)
+        self.steps = isotonic(votes, labels) if rows else (np.empty(0), np.empty(0))
+
+    def vote(self, found: list[tuple[float, int]], without: int = -1, label: int = 0) -> float:
+        """The toxic share among the nearest examples, near ones counting more."""
+        own = self.index.of.get(without, -1)
+        whole = part = 0.0
+        for cosine, g in found:
+            weight = 1 / (1.05 - min(cosine, 1.0))
+            whole += weight * (self.index.size[g] - (g == own))
+            part += weight * (self.index.toxic[g] - label * (g == own))
+        return part / whole if whole > 0 else self.none
 
     def score(self, text: str | None) -> tuple[float, list[int], list[float]]:
         """Calibrated score, and as evidence the nearest examples' ids and cosines."""
         at, w = vector(text, self.known)
-        if not len(at) or not self.index.size:
-            return self.none, [], []
-        found, cosine, _ = self.index.nearest(at, w, self.k)
-        if not len(found):
+        if not len(at) or not self.index.blocks:
             return self.none, [], []
-        x, y = self.steps
-        return float(y[min(np.searchsorted(x, self.vote(found, cosine) - 1e-12), len(y) - 1)]), [self.ids[i] for i in found], cosine.tolist()
+        key = at.tobytes(), w.tobytes()
+        if (got := self.seen.get(key)) is None:
+            found, _ = self.index.nearest(at, w, self.k)
+            x, y = self.steps
+            value = float(y[min(np.searchsorted(x, self.vote(found) - 1e-12), len(y) - 1)]) if found else self.none
+            near = [(self.ids[i], c) for c, g in found for i in self.index.members[g][:self.k]][:self.k]
+            if len(self.seen) > 50_000:
+                self.seen.clear()
+            got = self.seen[key] = value, [i for i, _ in near], [c for _, c in near]
+        return got
 
 
 def fit(docs: DataFrame, labels: DataFrame, max_examples: int = MAX_EXAMPLES, max_terms: int = MAX_TERMS, k: int = NEAREST) -> Model:
