@@ -17,6 +17,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from celldiv.llm.common import persisted
+
 #: Fixed marks around a rendered turn.
 OPEN, MIDDLE, CLOSE = "<|im_start|>", "\n", "<|im_end|>\n"
 
@@ -28,7 +30,7 @@ def _hashes(*values: Column) -> tuple[Column, Column]:
 
 def placed_turns(turns: DataFrame, block_turns: int = 256) -> DataFrame:
     """Distinct turns with their place in the conversation and the rolling hashes up to it."""
-    one = turns.select("conv_id", "turn", "role", "text").distinct()
+    one = persisted(turns.select("conv_id", "turn", "role", "text").distinct())
     one = one.withColumn("block", F.floor(F.coalesce("turn", F.lit(0)) / block_turns))
     inside = Window.partitionBy("conv_id", "block").orderBy(F.col("turn").asc_nulls_first(), F.col("role").asc_nulls_first(), F.col("text").asc_nulls_first())
     one = one.withColumn("rank", F.row_number().over(inside))
@@ -56,14 +58,16 @@ def maximal(placed: DataFrame) -> DataFrame:
     ends = placed.groupBy("conv_id").agg(F.max_by(F.struct("place", "ha", "hb"), "place").alias("end"))
     ends = ends.select("conv_id", F.col("end.place").alias("n_turns"), F.col("end.ha").alias("ha"), F.col("end.hb").alias("hb"))
     full = ends.groupBy("n_turns", "ha", "hb").agg(F.min("conv_id").alias("conv_id"), F.count(F.lit(1)).alias("n_copies"))
-    inner = placed.join(ends.select(F.col("conv_id").alias("__c"), F.col("n_turns").alias("__n")), F.col("conv_id").eqNullSafe(F.col("__c")))
+    # a turn is followed by another iff its place is below its conversation's length
+    known = ends.select(F.col("conv_id").alias("__c"), F.col("n_turns").alias("__n"))
+    inner = placed.select("conv_id", "place", "ha", "hb").join(known, F.col("conv_id").eqNullSafe(F.col("__c")))
     inner = inner.where("place < __n").select(F.col("place").alias("n_turns"), "ha", "hb").distinct()
     return full.join(inner, ["n_turns", "ha", "hb"], "left_anti").select("conv_id", "n_turns", "n_copies")
 
 
 def collapse(turns: DataFrame, block_turns: int = 256) -> DataFrame:
     """The turns of maximal conversations: conv_id, place, role, text, n_turns, n_copies."""
-    placed = placed_turns(turns, block_turns)
+    placed = persisted(placed_turns(turns, block_turns))
     kept = maximal(placed).withColumnRenamed("conv_id", "__c")
     return placed.join(kept, F.col("conv_id").eqNullSafe(F.col("__c"))).select("conv_id", "place", "role", "text", "n_turns", "n_copies")
 

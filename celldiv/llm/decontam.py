@@ -25,7 +25,8 @@ from celldiv.llm.common import ascii_lower, let, small
 
 #: ASCII that is neither letter nor digit parts words; everything beyond ASCII belongs to them.
 BREAK = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
-WORD = r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
+#: The same before lower-casing.
+BREAK_ANY_CASE = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
 #: A benchmark side of more fingerprints than this is shuffled, not broadcast (about 30 bytes each).
 BROADCAST_ROWS = 2_000_000
 
@@ -104,7 +105,7 @@ def hits(docs: DataFrame, items: DataFrame, span: int = 10) -> DataFrame:
 
 def contamination(docs: DataFrame, items: DataFrame, span: int = 10) -> DataFrame:
     """doc_id, n_words, n_hit, n_items, items_sha256, contaminated for every document row."""
-    every = docs.select("doc_id", F.regexp_count(F.coalesce("text", F.lit("")), F.lit(WORD)).cast("long").alias("n_words"), *_key(F.col("text")))
+    every = docs.select("doc_id", let(F.split(F.coalesce("text", F.lit("")), BREAK_ANY_CASE), lambda w: F.size(w) - (F.get(w, F.lit(0)) == "").cast("int") - ((F.size(w) > 1) & (F.element_at(w, -1) == "")).cast("int")).cast("long").alias("n_words"), *_key(F.col("text")))
     got = every.join(hits(docs, items, span), KEY, "left")
     names = F.coalesce("items", F.array().cast("array<string>"))
     return got.select("doc_id", "n_words", F.coalesce("n_hit", F.lit(0).cast("long")).alias("n_hit"), F.size(names).cast("long").alias("n_items"),
