@@ -27,7 +27,7 @@ from celldiv.llm.common import persisted
 
 CAPACITY = 2048
 #: Nodes of the search and fillings of one node; the incumbent stands when they are used up.
-MAX_NODES, MAX_FILLINGS = 20_000, 24
+MAX_NODES, MAX_FILLINGS, FEW_PIECES = 6_000, 24, 16
 
 Pattern = tuple[tuple[int, ...], int]
 
@@ -89,59 +89,79 @@ def lower_bound(counts: dict[int, int], capacity: int) -> int:
     return best
 
 
-def fillings(counts: dict[int, int], room: int, limit: int, most: int = 3) -> list[tuple[int, ...]]:
-    """Undominated sets of up to `most` pieces for the room, fullest first.
+def fullest(counts: dict[int, int], room: int, largest: int | None = None) -> tuple[int, ...]:
+    """The set of pieces (none above `largest`) with the greatest sum within the room; of those, the one of largest pieces.
 
-    Replacing pieces of a set by one that is as large as they are together never hurts the rest, so a
-    set is dominated by another with fewer pieces whose pieces each hold a part of it, or whose
-    pieces are each as large. The last piece of a set is therefore always the largest that fits.
+    Sums that the pieces up to a size can make are the bits of one number; a piece used up to c times
+    shifts them by its powers of two.
     """
-    sizes = sorted(s for s in counts if counts[s] and s <= room)
-    if not sizes:
-        return [()]
-    found: list[tuple[int, ...]] = []
-
-    def best(r: int, used: tuple[int, ...]) -> int | None:
-        i = bisect_right(sizes, r) - 1
-        while i >= 0 and used.count(sizes[i]) >= counts[sizes[i]]:
-            i -= 1
-        return sizes[i] if i >= 0 else None
-
-    one = best(room, ())
-    found.append((one,))
-    if one != room:
-        frontier: list[tuple[int, ...]] = [()]
-        for _ in range(most - 1):
-            longer = []
-            for base in frontier:
-                r = room - sum(base)
-                top = bisect_right(sizes, min(r, base[-1] if base else r))
-                for s in reversed(sizes[max(0, top - 160):top]):
-                    if base.count(s) >= counts[s]:
-                        continue
-                    last = best(r - s, (*base, s))
-                    if last is None:
-                        continue
-                    got = tuple(sorted((*base, s, last), reverse=True))
-                    found.append(got)
-                    if sum(got) < room:
-                        longer.append((*base, s))
-            if any(sum(f) == room for f in found):
+    mask = (1 << (room + 1)) - 1
+    sizes = sorted(s for s in counts if counts[s] and s <= min(room, largest or room))
+    reach, steps = 1, []
+    for s in sizes:
+        steps.append(reach)
+        times = min(counts[s], room // s)
+        part = 1
+        while times:
+            part = min(part, times)
+            reach |= (reach << s * part) & mask
+            times -= part
+            part *= 2
+    target, found = reach.bit_length() - 1, []
+    for s, below in zip(reversed(sizes), reversed(steps)):
+        # as many of the largest as leave a sum that the smaller ones make
+        for n in range(min(counts[s], target // s), -1, -1):
+            if below >> (target - n * s) & 1:
+                found += [s] * n
+                target -= n * s
                 break
-            frontier = longer[:40]
-    ranked = sorted(set(found), key=lambda f: (-sum(f), len(f), tuple(-x for x in f)))
-    kept: list[tuple[int, ...]] = []
-    for f in ranked:
-        if not any(_dominates(g, f) for g in kept):
-            kept.append(f)
-        if len(kept) >= limit:
-            break
-    return kept
+    return tuple(found)
+
+
+def fillings(counts: dict[int, int], room: int, limit: int) -> Iterator[tuple[int, ...]]:
+    """Undominated sets of pieces for the room, the fullest first.
+
+    A set is dominated if its pieces can be dealt to the pieces of another without overfilling one:
+    putting the other's pieces there instead never hurts the rest. Few pieces are enumerated in full;
+    of many, the fullest set for each choice of its largest piece, at most `limit`.
+    """
+    best = fullest(counts, room)
+    yield best
+    if sum(counts.values()) <= FEW_PIECES:
+        every = sorted(_maximal(counts, room), key=lambda f: (-sum(f), len(f), tuple(-x for x in f)))
+        kept: list[tuple[int, ...]] = [best]
+        for f in every:
+            if not any(_dominates(g, f) for g in kept):
+                kept.append(f)
+                yield f
+        return
+    for s in sorted((s for s in counts if s <= room and s != (best or (0,))[0]), reverse=True)[:limit]:
+        after = counts | {s: counts[s] - 1}
+        got = (s, *fullest(after, room - s, s))
+        if not _dominates(best, got):
+            yield got
+
+
+def _maximal(counts: dict[int, int], room: int) -> Iterator[tuple[int, ...]]:
+    """All sets to which no further piece can be added."""
+    sizes = sorted((s for s in counts if counts[s]), reverse=True)
+
+    def go(i: int, r: int, got: tuple[int, ...]) -> Iterator[tuple[int, ...]]:
+        if i == len(sizes):
+            if not any(s <= r and got.count(s) < counts[s] for s in sizes):
+                yield got
+            return
+        for n in range(min(counts[sizes[i]], r // sizes[i]), -1, -1):
+            yield from go(i + 1, r - n * sizes[i], got + (sizes[i],) * n)
+
+    return go(0, room, ())
 
 
 def _dominates(g: tuple[int, ...], f: tuple[int, ...]) -> bool:
     """Whether f's pieces can be dealt to g's pieces so that none is overfull."""
-    if sum(f) > sum(g) or (f and f[0] > g[0]):
+    if f == g:
+        return True
+    if sum(f) > sum(g) or len(f) > 8 or (f and (not g or f[0] > g[0])):
         return False
 
     def deal(i: int, rooms: tuple[int, ...]) -> bool:
@@ -153,46 +173,44 @@ def _dominates(g: tuple[int, ...], f: tuple[int, ...]) -> bool:
 def complete(counts: dict[int, int], capacity: int, max_nodes: int = MAX_NODES, max_fillings: int = MAX_FILLINGS) -> list[Pattern]:
     """Patterns for the histogram in as few bins as the search finds; the least if it ends by itself."""
     counts = {s: n for s, n in counts.items() if n > 0}
-    incumbent = best_fit(counts, capacity)
     bins = lambda ps: sum(n for _, n in ps)
-    least, total = lower_bound(counts, capacity), sum(s * n for s, n in counts.items())
-    nodes = 0
-    best_count = bins(incumbent)
-    if best_count == least:
-        return incumbent
-    # an explicit stack: (histogram, patterns so far, bins so far, waste so far)
-    stack: list[tuple[dict[int, int], tuple, int, int]] = [(counts, (), 0, 0)]
-    while stack and nodes < max_nodes and best_count > least:
-        left, done, used, waste = stack.pop()
-        nodes += 1
-        if waste > (best_count - 1) * capacity - total:
-            continue
-        if not left:
-            if used < best_count:
-                best_count, incumbent = used, _listed(done)
-            continue
-        if nodes % 64 == 1:  # now and then the rest by best fit may already do
-            rest = best_fit(left, capacity)
-            if used + bins(rest) < best_count:
-                best_count, incumbent = used + bins(rest), _listed(done) + rest
-                continue
+    incumbent, least, total = best_fit(counts, capacity), lower_bound(counts, capacity), sum(s * n for s, n in counts.items())
+    best, nodes = bins(incumbent), 0
+
+    def branches(left: dict[int, int], done: tuple, used: int, waste: int) -> Iterator[tuple]:
+        """The node's children: its largest piece with each filling, as often as the counts and the bound allow."""
         top = max(left)
-        beside = {s: n - (s == top) for s, n in left.items()}
-        branch = []
-        for f in fillings(beside, capacity - top, max_fillings):
+        beside = left | {top: left[top] - 1}
+        for f in fillings({s: n for s, n in beside.items() if n}, capacity - top, max_fillings):
             whole = (top, *f)
-            times = min(left[s] // whole.count(s) for s in set(whole))
-            lost = waste + times * (capacity - sum(whole))
-            if lost > (best_count - 1) * capacity - total:
-                if times == 1:
-                    continue
-                times, lost = 1, waste + capacity - sum(whole)
-                if lost > (best_count - 1) * capacity - total:
-                    continue
-            for t in {times, 1} if len(left) < 40 else {times}:
-                after = {s: n - t * whole.count(s) for s, n in left.items()}
-                branch.append(({s: n for s, n in after.items() if n}, (done, (whole, t)), used + t, waste + t * (capacity - sum(whole))))
-        stack.extend(reversed(sorted(branch, key=lambda b: b[3] / max(1, b[2]))))
+            lost = capacity - sum(whole)
+            most = min(left[s] // whole.count(s) for s in set(whole))
+            spare = (best - 1) * capacity - total - waste
+            if lost and spare < lost * most:
+                most = spare // lost
+            for times in dict.fromkeys((most, 1) if most > 0 else ()):
+                after = dict(left)
+                for s in set(whole):
+                    after[s] -= times * whole.count(s)
+                    if not after[s]:
+                        del after[s]
+                yield after, (done, (whole, times)), used + times, waste + times * lost
+
+    stack = [branches(counts, (), 0, 0)] if best > least else []
+    while stack and nodes < max_nodes and best > least:
+        child = next(stack[-1], None)
+        if child is None:
+            stack.pop()
+            continue
+        nodes += 1
+        left, done, used, waste = child
+        if waste > (best - 1) * capacity - total:
+            continue
+        rest = best_fit(left, capacity) if left and (len(left) < 300 or nodes % 50 == 0) else []
+        if (not left or rest) and used + bins(rest) < best:
+            best, incumbent = used + bins(rest), _listed(done) + rest
+        if left:
+            stack.append(branches(left, done, used, waste))
     return incumbent
 
 
