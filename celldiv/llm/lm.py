@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 from celldiv.llm.common import persisted
 
 FOLDS, HELD_OUT, DELETED = 10, 0, 1
-BLOCK_TOKENS = 1_500_000
+BLOCK_TOKENS = 4_500_000
 CONTEXT_BUCKETS = 40
 ROUNDS = 15
 END, START = b"", b" "  # no word is either
@@ -48,7 +48,7 @@ def _rows(rows: list[tuple]) -> pa.RecordBatch:
 def _shut(a: np.ndarray) -> tuple[str, bytes]:
     """An array as compressed byte planes; leading zero bytes then cost nothing."""
     planes = np.ascontiguousarray(a).view(np.uint8).reshape(len(a), a.dtype.itemsize).T
-    return a.dtype.str, zstandard.ZstdCompressor(level=1).compress(np.ascontiguousarray(planes).tobytes())
+    return a.dtype.str, zstandard.ZstdCompressor(level=3).compress(np.ascontiguousarray(planes).tobytes())
 
 
 def _open(told: tuple[str, bytes]) -> np.ndarray:
@@ -65,6 +65,14 @@ def _open_sorted(told: tuple[str, bytes]) -> np.ndarray:
     return np.cumsum(_open(told), dtype=np.uint64)
 
 
+def _shut_codes(codes: np.ndarray, size: int) -> dict:
+    """Codes by falling frequency, so that most are small numbers, and the order itself."""
+    order = np.argsort(-np.bincount(codes, minlength=size), kind="stable")
+    rank = np.empty(size, np.uint32)
+    rank[order] = np.arange(size, dtype=np.uint32)
+    return {"codes": _shut(rank[codes]), "order": _shut(order.astype(np.uint32))}
+
+
 def _pairs(h: np.ndarray, w: np.ndarray) -> np.ndarray:
     """One 64-bit hash of two (mixing by odd multipliers and shifts)."""
     x = h * np.uint64(0x9E3779B97F4A7C15) + (w ^ (w >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
@@ -83,16 +91,18 @@ class _Block:
     def __init__(self, hashes: np.ndarray, codes: np.ndarray, lengths: np.ndarray, folds: np.ndarray) -> None:
         # codes index hashes, which is sorted; the end closes each text
         self.hashes, self.codes, self.lengths, self.folds = hashes, codes, lengths, folds
-        self.of_doc = np.repeat(np.arange(len(lengths)), lengths)
+        self.of_doc = np.repeat(np.arange(len(lengths), dtype=np.int32), lengths)
         before = np.empty_like(codes)
         before[1:] = codes[:-1]
         before[np.r_[0, np.cumsum(lengths)[:-1]]] = len(hashes)  # the start, which is no word
         key = before.astype(np.uint64) << np.uint64(32) | codes.astype(np.uint64)
+        del before
         found, self.pair_of = np.unique(key, return_inverse=True)
+        del key
         h, w = (found >> np.uint64(32)).astype(np.int64), (found & np.uint64(0xFFFFFFFF)).astype(np.int64)
         pair = _pairs(np.r_[hashes, np.uint64(xxhash.xxh64_intdigest(START))][h], hashes[w])
         order = np.argsort(pair, kind="stable")
-        rank = np.empty_like(order)
+        rank = np.empty(len(order), np.int32)
         rank[order] = np.arange(len(order))
         self.pairs, self.h, self.w, self.pair_of = pair[order], h[order], w[order], rank[self.pair_of.ravel()]
 
@@ -113,12 +123,12 @@ def _gather(bits: int):
             digest = xxhash.xxh64_intdigest
             own = np.fromiter(map(digest, index), np.uint64, len(index))
             order = np.argsort(own, kind="stable")
-            rank = np.empty(len(order), np.int64)
+            rank = np.empty(len(order), np.int32)
             rank[order] = np.arange(len(order))
             lengths, folds = np.array([len(c) for c in codes]), np.array([fold_of(i) for i in ids])
             block = _Block(own[order], rank[np.concatenate(codes)], lengths, folds)
             name = f"{part}-{number}"
-            told = {"ids": ids, "lengths": _shut(lengths), "folds": _shut(folds), "hashes": _shut_sorted(block.hashes), "codes": _shut(block.codes.astype(np.uint32))}
+            told = {"ids": ids, "lengths": _shut(lengths), "folds": _shut(folds.astype(np.uint8)), "hashes": _shut_sorted(block.hashes)} | _shut_codes(block.codes, len(block.hashes))
             yield _rows([(0, name, number * 7919 + part, pickle.dumps(told))])
             learnt, deleted = (folds != HELD_OUT) & (folds != DELETED), folds == DELETED
             rows = []
@@ -136,7 +146,7 @@ def _gather(bits: int):
                 words = (text.as_py() or "").encode("utf-8", "surrogatepass").lower().split()
                 got = [index.setdefault(w, len(index)) for w in words]
                 got.append(0)
-                codes.append(np.array(got, np.int64))
+                codes.append(np.array(got, np.int32))
                 ids.append(doc)
                 tokens += len(got)
                 if tokens >= BLOCK_TOKENS:
@@ -185,7 +195,7 @@ def _add_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _assemble(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """One row per block: its codes and the corpus's counts of its words and bigrams."""
+    """One row per block: its codes and the corpus's counts of its words and bigrams; kind 4 has its deleted part."""
     for rows in _runs(batches, "block"):
         if rows[0]["kind"] == 3:
             yield _rows([(3, r["block"], 0, r["data"]) for r in rows])
@@ -194,12 +204,16 @@ def _assemble(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for kind, name in ((1, "words"), (2, "pairs")):
             parts = [[_open(x) for x in pickle.loads(r["data"])] for r in sorted((r for r in rows if r["kind"] == kind), key=lambda r: r["bucket"])]
             told[name] = [_shut(np.concatenate([p[i] for p in parts])) for i in (0, 1)]
-        yield _rows([(0, rows[0]["block"], 0, pickle.dumps(told))])
+        data = pickle.dumps(told)
+        yield _rows([(0, rows[0]["block"], 0, data)])
+        if held := _held_out_counts(data):
+            yield _rows([(4, rows[0]["block"], 0, held)])
 
 
 def _read(data: bytes) -> tuple[_Block, dict, list[np.ndarray], list[np.ndarray]]:
     told = pickle.loads(data)
-    block = _Block(_open_sorted(told["hashes"]), _open(told["codes"]).astype(np.int64), _open(told["lengths"]), _open(told["folds"]))
+    codes = _open(told["order"]).astype(np.int32)[_open(told["codes"])]
+    block = _Block(_open_sorted(told["hashes"]), codes, _open(told["lengths"]), _open(told["folds"]))
     words, pairs = ([_open(x).astype(np.float64) for x in told[k]] for k in ("words", "pairs"))
     return block, told, words, pairs
 
@@ -218,17 +232,14 @@ def _estimates(pair: np.ndarray, context: np.ndarray, word: np.ndarray, n: int,
     return np.stack([pair / np.maximum(context, 1), word / max(n, 1), (word + 0.1) / (n + 0.1 * (v + 1))])
 
 
-def _held_out_counts(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Per block the deleted part's bigrams: c(hw), c(h), c(w) in the rest and their count."""
-    for batch in batches:
-        for row in batch.to_pylist():
-            if row["kind"] != 0:
-                continue
-            block, _, words, pairs = _read(row["data"])
-            n = block.counts(block.pair_of, len(block.pairs), block.folds == DELETED)
-            at = np.flatnonzero(n)
-            if len(at):
-                yield _rows([(0, row["block"], 0, pickle.dumps([_shut(x[at].astype(np.uint32)) for x in (pairs[0], _context(words[0], block), words[0][block.w], n)]))])
+def _held_out_counts(data: bytes) -> bytes | None:
+    """A block's deleted bigrams: c(hw), c(h), c(w) in the rest and their count."""
+    block, _, words, pairs = _read(data)
+    n = block.counts(block.pair_of, len(block.pairs), block.folds == DELETED)
+    at = np.flatnonzero(n)
+    if not len(at):
+        return None
+    return pickle.dumps([_shut(x[at].astype(np.uint64)) for x in (pairs[0], _context(words[0], block), words[0][block.w], n)])
 
 
 def _learn(held: DataFrame, n: int, v: int, rounds: int) -> np.ndarray:
@@ -278,8 +289,7 @@ def scores(docs: DataFrame, rounds: int = ROUNDS) -> DataFrame:
     totals = [0, 0, 0, 0]
     for r in blocks.where("kind = 3").select("data").collect():  # four numbers per range of hashes
         totals = [x + y for x, y in zip(totals, pickle.loads(r["data"]))]
-    held = persisted(blocks.mapInArrow(_held_out_counts, ROW))
-    weights = _learn(held, totals[0], totals[1], rounds)
+    weights = _learn(persisted(blocks.where("kind = 4")), totals[0], totals[1], rounds)
     weights[0, 0] = 0  # a context never seen has no bigrams
     weights[0] = weights[0] / weights[0].sum() if weights[0].sum() > 0 else [0, 0, 1]
     n, v = totals[2], totals[3]
