@@ -38,7 +38,7 @@ SHINGLE, DISTANCE, SEED = 4, 4, 42
 SEGMENTS = ((0, 22), (22, 21), (43, 21))
 #: Generator polynomial of the Golay code (degree 11), a fixed value.
 GENERATOR = 0b110001110101
-GROUP_ROWS = 100_000
+GROUP_ROWS = 1_000_000
 
 
 # ---- fingerprints ----------------------------------------------------------------------------
@@ -225,9 +225,9 @@ def links(distinct: DataFrame, distance: int = DISTANCE, group_rows: int = GROUP
     """Links among distinct fingerprints that connect all that are within `distance`; a, b signed longs."""
     if distance > 4:
         raise ValueError("three Golay segments find up to 4 differing bits")
-    keyed = _keyed(distinct)
     parts = int(distinct.sparkSession.conf.get("spark.sql.shuffle.partitions", "200"))
-    rows = distinct.count()
+    distinct = persisted(distinct.repartition(parts, "fp"))  # sixty times as many keys want as many tasks as there are
+    keyed, rows = _keyed(distinct), distinct.count()
     if rows > group_rows:  # only then can a key hold more: deal its fingerprints to blocks that meet pairwise
         sizes = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > group_rows)
         blocks = sizes.select("key", F.ceil(2 * F.col("n") / group_rows).alias("blocks"))
