@@ -71,6 +71,15 @@ def mentions(text: Column) -> Column:
     return F.when(gate(text), F.regexp_extract_all(text, F.lit(PATTERN), F.lit(0))).otherwise(none)
 
 
+def has_mention(text: Column) -> Column:
+    """Stops at the first mention; false for null. Filters use it so that only texts with mentions are extracted from."""
+    return F.coalesce(gate(text) & text.rlike(PATTERN), F.lit(False))
+
+
+def _all(text: Column) -> Column:
+    return F.regexp_extract_all(text, F.lit(PATTERN), F.lit(0))
+
+
 def kind_of(mention: Column) -> Column:
     """The first type that matches the whole mention; what only its surroundings told are secrets and names."""
     out = F.lit("secret")
@@ -177,7 +186,7 @@ def _gender(text: Column) -> Column:
 
 def entities(docs: DataFrame, key: str, text: str = "text", attempts: int = 30) -> DataFrame:
     """kind, form, surrogate: the distinct entities of the corpus and their distinct replacements."""
-    found = docs.where(gate(F.col(text))).select(F.explode(F.array_distinct(mentions(F.col(text)))).alias("m")).distinct()
+    found = docs.where(has_mention(F.col(text))).select(F.explode(_all(F.col(text))).alias("m")).distinct()
     found = found.select(kind_of(F.col("m")).alias("kind"), "m").select("kind", canonical(F.col("kind"), F.col("m")).alias("form")).distinct()
     hints = docs.where(titled(F.col(text))).select(F.explode(_gender(F.col(text))).alias("g"))
     hints = hints.groupBy(F.col("g.name").alias("form")).agg(F.min("g.hint").alias("hint"))
@@ -200,15 +209,14 @@ def entities(docs: DataFrame, key: str, text: str = "text", attempts: int = 30)
 def replace(docs: DataFrame, key: str, text: str = "text") -> DataFrame:
     """docs with the text rewritten; n_entities is added."""
     table = entities(docs, key, text)
-    lists = docs.where(gate(F.col(text))).select(mentions(F.col(text)).alias("old")).where(F.size("old") > 0).distinct()
+    lists = docs.where(has_mention(F.col(text))).select(_all(F.col(text)).alias("old")).distinct()
     each = lists.select("old", F.posexplode("old").alias("at", "m"))
     each = each.select("old", "at", "m", kind_of(F.col("m")).alias("kind")).withColumn("form", canonical(F.col("kind"), F.col("m")))
     new = each.join(table, ["kind", "form"]).select("old", F.struct("at", _written(F.col("kind"), F.col("m"), F.col("surrogate")).alias("new")).alias("x"))
     swaps = new.groupBy("old").agg(F.array_sort(F.collect_list("x")).alias("x")).select(F.col("old").alias("__old"), F.col("x.new").alias("__new"))
     others = [c for c in docs.columns if c not in (text, "n_entities")]
-    gated = docs.withColumn("__m", mentions(F.col(text)))
-    plain = gated.where(F.col("__m").isNull() | (F.size("__m") == 0)).select(*others, text, F.lit(0).cast("long").alias("n_entities"))
-    hit = gated.where(F.size("__m") > 0).join(swaps, F.col("__m") == F.col("__old"))
+    plain = docs.where(~has_mention(F.col(text))).select(*others, text, F.lit(0).cast("long").alias("n_entities"))
+    hit = docs.where(has_mention(F.col(text))).withColumn("__m", _all(F.col(text))).join(swaps, F.col("__m") == F.col("__old"))
     rest = F.split(F.col(text), PATTERN, -1)
     rewritten = let(rest, lambda r: F.array_join(F.transform(r, lambda part, i: F.concat(part, F.coalesce(F.get(F.col("__new"), i), F.lit("")))), ""))
     hit = hit.select(*others, rewritten.alias(text), F.size("__m").cast("long").alias("n_entities"))
