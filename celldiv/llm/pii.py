@@ -34,15 +34,17 @@ _NAME = r"\p{Lu}[\p{L}'’\-]+"
 #: Patterns by type, tried in this order at each place. No capturing groups: the whole match is the mention.
 PATTERNS = {
     "email": r"(?<![\p{L}\p{N}._%+\-])[\p{L}\p{N}._%+\-]++@(?:[\p{L}\p{N}\-]+\.)+\p{L}{2,}",
-    "secret": r"(?<=(?:password|passwd|pwd|token|secret|api_key|apikey|access_key)\s{0,2}[=:]\s{0,2}[\"']?)[A-Za-z0-9+/_\-]{8,}|(?<![\p{L}\p{N}])AKIA[0-9A-Z]{16}(?![\p{L}\p{N}])|(?<![\p{L}\p{N}])(?=[0-9a-f]{0,38}[0-9])[0-9a-fA-F]{40}(?![\p{L}\p{N}])",
+    "secret": r"(?<=[=:\s\"'])(?=[A-Za-z0-9+/_\-]{8})(?<=[=:]\s{0,2}[\"']?)(?<=(?:password|passwd|pwd|token|secret|api_key|apikey|access_key)\s{0,2}[=:]\s{0,2}[\"']?)[A-Za-z0-9+/_\-]{8,}|(?<![\p{L}\p{N}])AKIA[0-9A-Z]{16}(?![\p{L}\p{N}])|(?<![\p{L}\p{N}])(?=[0-9a-fA-F]{40}(?![\p{L}\p{N}]))(?=[0-9a-f]{0,38}[0-9])[0-9a-fA-F]{40}",
     "ip": r"(?<![\p{L}\d.])(?:(?:25[0-5]|2[0-4]\d|1?\d?\d)\.){3}(?:25[0-5]|2[0-4]\d|1?\d?\d)(?![\p{L}\d])(?!\.\d)",
     "phone": r"(?<![\p{L}\d+])(?:\+\d{1,3}[ .\-]?)?\(\d{2,4}\)[ .\-]?\d{3,4}[ .\-]?\d{3,4}(?![\p{L}\d])|(?<![\p{L}\d+])\+\d{1,3}(?:[ .\-]?\d{2,4}){2,5}(?![\p{L}\d])|(?<![\p{L}\d+\-])\d{3}-\d{3}-\d{4}(?![\p{L}\d\-])",
     "ssn": r"(?<![\p{L}\d\-])\d{3}-\d{2}-\d{4}(?![\p{L}\d\-])",
     "iban": r"(?<![\p{L}\d])[A-Z]{2}\d{2}(?: ?[A-Z0-9]{4}){3,7}(?: ?[A-Z0-9]{1,3})?(?![\p{L}\d])",
     "account": r"(?<![\p{L}\d.\-])(?:\d[ \-]?){12,18}\d(?![\p{L}\d])",
-    "name": rf"(?<=\b(?:{TITLES})\.?[ \x{{A0}}]){_NAME}(?: {_NAME}){{0,2}}",
+    "name": rf"(?<=[ \x{{A0}}])(?=\p{{Lu}})(?<=\b(?:{TITLES})\.?[ \x{{A0}}]){_NAME}(?: {_NAME}){{0,2}}",
 }
-PATTERN = "|".join(f"(?:{p})" for p in PATTERNS.values())
+#: No mention starts after a letter or a digit, so the places inside words are left at once. Its other lookaheads and short lookbehinds
+#: before the long ones only refuse places early, too.
+PATTERN = r"(?<![\p{L}\d])(?:" + "|".join(f"(?:{p})" for p in PATTERNS.values()) + ")"
 #: What a text with a secret or a name without digits has.
 CUES = ("password", "passwd", "pwd", "token", "secret", "api_key", "apikey", "access_key", *FEMALE, *MALE, *NEUTRAL)
 
