@@ -17,8 +17,6 @@ stay repeated; an empty table gives an empty one. Columns other than the text ar
 
 from __future__ import annotations
 
-
-
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame, Window
@@ -68,18 +66,19 @@ def gate(text: Column) -> Column:
     return reduce(lambda a, b: a | b, [text.contains(c) for c in CUES], text.rlike("[0-9@]"))
 
 
-def mentions(text: Column) -> Column:
-    none = F.array().cast("array<string>")
-    return F.when(gate(text), F.regexp_extract_all(text, F.lit(PATTERN), F.lit(0))).otherwise(none)
-
-
 def has_mention(text: Column) -> Column:
     """Stops at the first mention; false for null. Filters use it so that only texts with mentions are extracted from."""
     return F.coalesce(gate(text) & text.rlike(PATTERN), F.lit(False))
 
 
 def _all(text: Column) -> Column:
-    return F.regexp_extract_all(text, F.lit(PATTERN), F.lit(0))
+    """The mentions, never null: a nullable list would be extracted once more, to be tested, wherever it is a join's key."""
+    return F.coalesce(F.regexp_extract_all(text, F.lit(PATTERN), F.lit(0)), F.array().cast("array<string>"))
+
+
+def mention_lists(docs: DataFrame, text: str) -> DataFrame:
+    """old: the distinct lists of mentions, kept. Texts are read once for both the entities and their replacement."""
+    return persisted(docs.where(has_mention(F.col(text))).select(_all(F.col(text)).alias("old")).distinct())
 
 
 def kind_of(mention: Column) -> Column:
@@ -139,8 +138,11 @@ def luhn_sum(digits: Column) -> Column:
 
 
 def _surrogate(kind: Column, form: Column, hint: Column, key: str, attempt: int) -> Column:
-    """The canonical form of the replacement."""
-    stream = _stream(key, kind, form, attempt)
+    """The canonical form of the replacement. The keyed digits are made once, not for each character."""
+    return let(_stream(key, kind, form, attempt), lambda stream: _made(kind, form, hint, stream))
+
+
+def _made(kind: Column, form: Column, hint: Column, stream: Column) -> Column:
     digits = _shaped(form, stream, F.lit(False))
     head = F.substring(form, 1, 1)
     card = let(digits, lambda d: let(F.concat(head, F.substr(d, F.lit(2), F.char_length(d) - 2)), lambda b: F.when(
@@ -186,9 +188,10 @@ def _gender(text: Column) -> Column:
         F.when(t.rlike(rf"^(?:{'|'.join(FEMALE)})\b"), "f").when(t.rlike(rf"^(?:{'|'.join(MALE)})\b"), "m").otherwise("n").alias("hint")))
 
 
-def entities(docs: DataFrame, key: str, text: str = "text", attempts: int = 30) -> DataFrame:
+def entities(docs: DataFrame, key: str, text: str = "text", attempts: int = 30, lists: DataFrame | None = None) -> DataFrame:
     """kind, form, surrogate: the distinct entities of the corpus and their distinct replacements."""
-    found = docs.where(has_mention(F.col(text))).select(F.explode(_all(F.col(text))).alias("m")).distinct()
+    lists = mention_lists(docs, text) if lists is None else lists
+    found = lists.select(F.explode("old").alias("m")).distinct()
     found = found.select(kind_of(F.col("m")).alias("kind"), "m").select("kind", canonical(F.col("kind"), F.col("m")).alias("form")).distinct()
     hints = docs.where(titled(F.col(text))).select(F.explode(_gender(F.col(text))).alias("g"))
     hints = hints.groupBy(F.col("g.name").alias("form")).agg(F.min("g.hint").alias("hint"))
@@ -210,8 +213,8 @@ def entities(docs: DataFrame, key: str, text: str = "text", attempts: int = 30)
 
 def replace(docs: DataFrame, key: str, text: str = "text") -> DataFrame:
     """docs with the text rewritten; n_entities is added."""
-    table = entities(docs, key, text)
-    lists = docs.where(has_mention(F.col(text))).select(_all(F.col(text)).alias("old")).distinct()
+    lists = mention_lists(docs, text)
+    table = entities(docs, key, text, lists=lists)
     each = lists.select("old", F.posexplode("old").alias("at", "m"))
     each = each.select("old", "at", "m", kind_of(F.col("m")).alias("kind")).withColumn("form", canonical(F.col("kind"), F.col("m")))
     new = each.join(table, ["kind", "form"]).select("old", F.struct("at", _written(F.col("kind"), F.col("m"), F.col("surrogate")).alias("new")).alias("x"))
