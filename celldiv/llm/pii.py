@@ -1,7 +1,7 @@
 """PII surrogates: every detected entity gets a keyed replacement of its own type and shape.
 
 Mentions are found by one expression of alternatives, typed, and brought to a canonical form (an
-address in lower case, a number's digits), so mentions of one entity that are written differently
+address in lower case, a number's digits, a name's capitals), so mentions of one entity that are written differently
 stay one entity. The table of distinct entities is given surrogates from a keyed hash, attempt by
 attempt: a surrogate that another entity has, or that is itself an entity of the corpus, is
 refused and its entity tries again, so distinct entities stay distinct. Each mention is then
@@ -27,12 +27,20 @@ from celldiv.llm.common import let, persisted
 FEMALE = ("Mrs", "Ms", "Miss", "Frau", "Madame", "Mme", "Señora", "Sra", "Госпожа")
 MALE = ("Mr", "Herr", "Monsieur", "Señor", "Sr", "Господин")
 NEUTRAL = ("Dr", "Prof")
-TITLES = "|".join((*FEMALE, *MALE, *NEUTRAL))
+KEYWORDS = ("password", "passwd", "pwd", "token", "secret", "api_key", "apikey", "access_key")
+
+
+def _any_case(words: tuple[str, ...]) -> str:
+    """Alternatives that match the words in any case. Letter classes, not flags: just what lower() folds to the words."""
+    return "|".join("".join(f"[{c.lower()}{c.upper()}]" if c.isalpha() else c for c in w) for w in words)
+
+
+TITLES = _any_case((*FEMALE, *MALE, *NEUTRAL))
 _NAME = r"\p{Lu}[\p{L}'’\-]+"
 #: Patterns by type, tried in this order at each place. No capturing groups: the whole match is the mention.
 PATTERNS = {
     "email": r"(?<![\p{L}\p{N}._%+\-])[\p{L}\p{N}._%+\-]++@(?:[\p{L}\p{N}\-]+\.)+\p{L}{2,}",
-    "secret": r"(?<=[=:\s\"'])(?=[A-Za-z0-9+/_\-]{8})(?<=[=:]\s{0,2}[\"']?)(?<=(?:password|passwd|pwd|token|secret|api_key|apikey|access_key)\s{0,2}[=:]\s{0,2}[\"']?)[A-Za-z0-9+/_\-]{8,}|(?<![\p{L}\p{N}])AKIA[0-9A-Z]{16}(?![\p{L}\p{N}])|(?<![\p{L}\p{N}])(?=[0-9a-fA-F]{40}(?![\p{L}\p{N}]))(?=[0-9a-f]{0,38}[0-9])[0-9a-fA-F]{40}",
+    "secret": rf"(?<=[=:\s\"'])(?=[A-Za-z0-9+/_\-]{{8}})(?<=[=:]\s{{0,2}}[\"']?)(?<=(?:{_any_case(KEYWORDS)})\s{{0,2}}[=:]\s{{0,2}}[\"']?)[A-Za-z0-9+/_\-]{{8,}}|(?<![\p{{L}}\p{{N}}])AKIA[0-9A-Z]{{16}}(?![\p{{L}}\p{{N}}])|(?<![\p{{L}}\p{{N}}])(?=[0-9a-fA-F]{{40}}(?![\p{{L}}\p{{N}}]))(?=[0-9a-fA-F]{{0,39}}[0-9])[0-9a-fA-F]{{40}}",
     "ip": r"(?<![\p{L}\d.])(?:(?:25[0-5]|2[0-4]\d|1?\d?\d)\.){3}(?:25[0-5]|2[0-4]\d|1?\d?\d)(?![\p{L}\d])(?!\.\d)",
     "phone": r"(?<![\p{L}\d+])(?:\+\d{1,3}[ .\-]?)?\(\d{2,4}\)[ .\-]?\d{3,4}[ .\-]?\d{3,4}(?![\p{L}\d])|(?<![\p{L}\d+])\+\d{1,3}(?:[ .\-]?\d{2,4}){2,5}(?![\p{L}\d])|(?<![\p{L}\d+\-])\d{3}-\d{3}-\d{4}(?![\p{L}\d\-])",
     "ssn": r"(?<![\p{L}\d\-])\d{3}-\d{2}-\d{4}(?![\p{L}\d\-])",
@@ -43,8 +51,8 @@ PATTERNS = {
 #: No mention starts after a letter or a digit, so the places inside words are left at once. Its other lookaheads and short lookbehinds
 #: before the long ones only refuse places early, too.
 PATTERN = r"(?<![\p{L}\d])(?:" + "|".join(f"(?:{p})" for p in PATTERNS.values()) + ")"
-#: What a text with a secret or a name without digits has.
-CUES = ("password", "passwd", "pwd", "token", "secret", "api_key", "apikey", "access_key", *FEMALE, *MALE, *NEUTRAL)
+#: What a text with a secret or a name without digits has, in lower case.
+CUES = (*KEYWORDS, "akia", *(t.lower() for t in (*FEMALE, *MALE, *NEUTRAL)))
 
 LATIN, CYRILLIC, GREEK = "abcdefghijklmnopqrstuvwxyz", "абвгдежзийклмнопрстуфхцчшщыэюя", "αβγδεζηθικλμνξοπρστυφχψω"
 GIVEN = {
@@ -57,13 +65,18 @@ SYLLABLES = {"latin": ("ba", "den", "kor", "la", "mi", "nor", "ris", "sel", "ta"
              "cyrillic": ("ба", "ден", "кор", "ла", "ми", "нор", "рис", "сел", "та", "вен", "вил", "зан", "хо", "гар", "фел", "дор")}
 
 
+def _has_any(text: Column, words: tuple[str, ...]) -> Column:
+    """Whether the text has one of the lower-case words in any case; it is folded once."""
+    return let(F.lower(text), lambda low: reduce(lambda a, b: a | b, [low.contains(w) for w in words]))
+
+
 def titled(text: Column) -> Column:
-    return reduce(lambda a, b: a | b, [text.contains(t) for t in (*FEMALE, *MALE, *NEUTRAL)])
+    return _has_any(text, tuple(t.lower() for t in (*FEMALE, *MALE, *NEUTRAL)))
 
 
 def gate(text: Column) -> Column:
     """A cheap test that any text with a mention passes: plain searches, no backtracking."""
-    return reduce(lambda a, b: a | b, [text.contains(c) for c in CUES], text.rlike("[0-9@]"))
+    return text.rlike("[0-9@]") | _has_any(text, CUES)
 
 
 def has_mention(text: Column) -> Column:
@@ -101,7 +114,7 @@ def _national(kind: Column, mention: Column) -> Column:
 
 def canonical(kind: Column, mention: Column) -> Column:
     return (F.when(kind.isin("phone", "account", "ssn"), F.regexp_replace(_national(kind, mention), r"\D", ""))
-            .when(kind == "email", F.lower(mention)).when(kind == "iban", F.regexp_replace(mention, " ", "")).otherwise(mention))
+            .when(kind == "email", F.lower(mention)).when(kind == "iban", F.regexp_replace(mention, " ", "")).when(kind == "name", F.initcap(mention)).otherwise(mention))
 
 
 def _stream(key: str, kind: Column, form: Column, attempt: int) -> Column:
@@ -119,9 +132,10 @@ def _shaped(form: Column, stream: Column, hexadecimal: Column) -> Column:
     """form with every letter and digit replaced by one of its own class."""
     def letter(c: Column, v: Column) -> Column:
         lower = c == F.lower(c)
+        small = c.rlike("[a-f]") | (form == F.lower(form))  # a hexadecimal digit may become a letter: in the case of the others
         some = lambda letters: F.when(lower, F.element_at(F.array(*[F.lit(x) for x in letters]), F.pmod(v, F.lit(len(letters))) + 1)).otherwise(F.element_at(F.array(*[F.lit(x.upper()) for x in letters]), F.pmod(v, F.lit(len(letters))) + 1))
         plain = F.when(c.rlike(r"\p{IsCyrillic}"), some(CYRILLIC)).when(c.rlike(r"\p{IsGreek}"), some(GREEK)).otherwise(some(LATIN))
-        return F.when(hexadecimal & c.rlike("[0-9a-fA-F]"), F.when(lower, F.lower(F.hex(F.pmod(v, F.lit(16))))).otherwise(F.hex(F.pmod(v, F.lit(16))))).when(c.rlike("[0-9]"), F.pmod(v, F.lit(10)).cast("string")).when(c.rlike(r"\p{L}"), plain).otherwise(c)
+        return F.when(hexadecimal & c.rlike("[0-9a-fA-F]"), F.when(lower & small, F.lower(F.hex(F.pmod(v, F.lit(16))))).otherwise(F.hex(F.pmod(v, F.lit(16))))).when(c.rlike("[0-9]"), F.pmod(v, F.lit(10)).cast("string")).when(c.rlike(r"\p{L}"), plain).otherwise(c)
 
     value = lambda i: F.conv(F.substring(stream, F.pmod(i * 3, F.lit(124)) + 1, 4), 16, 10).cast("int")
     return F.array_join(F.transform(F.split(form, ""), lambda c, i: letter(c, value(i))), "")
@@ -177,15 +191,16 @@ def _written(kind: Column, mention: Column, new: Column) -> Column:
         return F.struct(F.concat(s["out"], F.when(digit, F.substr(new, s["n"] + 1, F.lit(1))).otherwise(c)).alias("out"), (s["n"] + F.when(digit, 1).otherwise(0)).alias("n"))
 
     dealt = F.aggregate(F.split(_national(kind, mention), ""), F.struct(F.lit("").alias("out"), F.lit(0).alias("n")), deal, lambda s: s["out"])
-    return F.when(kind == "phone", F.concat(_country(mention), dealt)).when(kind.isin("account", "ssn", "iban"), dealt).otherwise(new)
+    return (F.when(kind == "phone", F.concat(_country(mention), dealt)).when(kind.isin("account", "ssn", "iban"), dealt)
+            .when((kind == "name") & (mention == F.upper(mention)), F.upper(new)).otherwise(new))
 
 
 def _gender(text: Column) -> Column:
-    """Mentions of names with the gender of the title before them, as m:name or f:name."""
+    """Mentions of names, in canonical form, with the gender of the title before them."""
     titled = F.regexp_extract_all(text, F.lit(rf"\b(?:{TITLES})\.?[ \x{{A0}}]{_NAME}(?: {_NAME}){{0,2}}"), F.lit(0))
     return F.transform(titled, lambda t: F.struct(
-        F.regexp_replace(t, rf"^(?:{TITLES})\.?[ \x{{A0}}]", "").alias("name"),
-        F.when(t.rlike(rf"^(?:{'|'.join(FEMALE)})\b"), "f").when(t.rlike(rf"^(?:{'|'.join(MALE)})\b"), "m").otherwise("n").alias("hint")))
+        canonical(F.lit("name"), F.regexp_replace(t, rf"^(?:{TITLES})\.?[ \x{{A0}}]", "")).alias("name"),
+        F.when(t.rlike(rf"^(?:{_any_case(FEMALE)})\b"), "f").when(t.rlike(rf"^(?:{_any_case(MALE)})\b"), "m").otherwise("n").alias("hint")))
 
 
 def entities(docs: DataFrame, key: str, text: str = "text", attempts: int = 30, lists: DataFrame | None = None) -> DataFrame:
