@@ -61,14 +61,14 @@ def fingerprint(text: str | None, shingle: int = SHINGLE) -> int:
     return int(sum(1 << int(i) for i in np.flatnonzero(2 * ones > n)))
 
 
-def fingerprints(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
-    """doc_id, fp (the fingerprint as a signed long)."""
+def fingerprints(docs: DataFrame, shingle: int = SHINGLE, *strings: str) -> DataFrame:
+    """doc_id, fp (the fingerprint as a signed long), and the named string columns."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             got = np.fromiter((fingerprint(t.as_py(), shingle) for t in batch.column(1)), np.uint64, batch.num_rows)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(got.view(np.int64))], ["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(got.view(np.int64)), *batch.columns[2:]], ["doc_id", "fp", *strings])
 
-    return docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(run, "doc_id long, fp long")
+    return docs.select(F.col("doc_id").cast("long"), "text", *strings).mapInArrow(run, ", ".join(["doc_id long, fp long", *(f"{c} string" for c in strings)]))
 
 
 # ---- Golay keys ------------------------------------------------------------------------------
@@ -264,22 +264,32 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     raise RuntimeError(f"components did not settle in {rounds} rounds")
 
 
+def _rooted(prints: DataFrame, distance: int) -> DataFrame:
+    """fp, first, root: each distinct fingerprint with its least doc_id and the least fingerprint of its component."""
+    firsts = prints.groupBy("fp").agg(F.min("doc_id").alias("first"))
+    roots = components(links(firsts.select("fp"), distance))
+    return firsts.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "first", F.coalesce("root", "fp").alias("root"))
+
+
 def classes(docs: DataFrame, shingle: int = SHINGLE, distance: int = DISTANCE) -> DataFrame:
     """doc_id, fp, component_id for every row; component_id is the least doc_id of its component."""
     prints = persisted(fingerprints(docs, shingle))
-    firsts = prints.groupBy("fp").agg(F.min("doc_id").alias("first"))
-    roots = components(links(firsts.select("fp"), distance))
-    tagged = firsts.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "first", F.coalesce("root", "fp").alias("root"))
+    tagged = _rooted(prints, distance)
     named = tagged.groupBy("root").agg(F.min("first").alias("component_id"))
     of_print = tagged.join(named, "root").select("fp", "component_id")
     return prints.join(of_print, "fp").select("doc_id", "fp", "component_id")
 
 
 def representatives(docs: DataFrame, shingle: int = SHINGLE, distance: int = DISTANCE) -> DataFrame:
-    """The documents, all columns, that are the first of their near-duplicate class.
+    """One document, all columns, of each near-duplicate class: the one of least doc_id, rows without one last.
 
-    Rows that repeat the first's doc_id and text are copies of it: one stays.
+    A row is told by its doc_id and its text's digest, so rows without an id and different texts of one id are
+    rows of their own. Rows that repeat the first's doc_id and text are copies of it: one stays.
     """
-    first = classes(docs, shingle, distance).select(F.col("component_id").alias("__id")).distinct()
-    kept = docs.join(first, docs["doc_id"].eqNullSafe(F.col("__id"))).drop("__id")
-    return kept.dropDuplicates(["doc_id"])
+    told = docs.withColumn("__sha", F.coalesce(F.sha2(F.col("text").cast("binary"), 256), F.lit("")))
+    prints = persisted(fingerprints(told, shingle, "__sha"))
+    of_print = prints.groupBy("fp").agg(F.min(F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "__sha")).alias("row"))
+    firsts = _rooted(prints, distance).join(of_print, "fp").groupBy("root").agg(F.min("row").alias("row"))
+    firsts = firsts.select(F.col("row.doc_id").alias("__id"), F.col("row.__sha").alias("__of"))
+    kept = told.join(firsts, (F.col("__sha") == F.col("__of")) & F.col("doc_id").cast("long").eqNullSafe(F.col("__id")))
+    return kept.dropDuplicates(["doc_id", "__sha"]).drop("__sha", "__id", "__of")

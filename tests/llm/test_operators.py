@@ -338,6 +338,18 @@ def test_simhash_rows(spark, odd, none):
     assert kept.count(5) == 1 and 6 not in kept and 1 in kept
 
 
+def test_representatives_by_class(spark):
+    """Rows without an id and different texts of one id are documents of their own."""
+    text = {k: " ".join(f"{k}{i}" for i in range(40)) for k in "abcdef"}
+    rows = [(None, text["a"]), (None, text["b"]), (None, text["b"]), (None, text["c"]), (7, text["d"]), (7, text["e"]), (7, text["e"]), (None, text["e"]), (9, text["f"]), (8, text["f"]), (None, None), (3, "")]
+    docs = spark.createDataFrame([(i, t, "x") for i, t in rows], "doc_id long, text string, lang string").repartition(3)
+    got = simhash.representatives(docs)
+    assert got.columns == docs.columns
+    want = [(None, text["a"]), (None, text["b"]), (None, text["c"]), (7, text["d"]), (7, text["e"]), (8, text["f"]), (3, "")]
+    assert sorted(map(str, ((r["doc_id"], r["text"]) for r in got.collect()))) == sorted(map(str, want))
+    assert simhash.representatives(docs.limit(0)).count() == 0
+
+
 # 8 language model --------------------------------------------------------------------------------
 
 def test_language_model(spark, odd, none):
