@@ -4,7 +4,7 @@ Mentions are found by one expression of alternatives, typed, and brought to a ca
 address in lower case, a number's digits, a name's capitals), so mentions of one entity that are written differently
 stay one entity. The table of distinct entities is given surrogates from a keyed hash, attempt by
 attempt: a surrogate that another entity has, or that is itself an entity of the corpus, is
-refused and its entity tries again, so distinct entities stay distinct. Each mention is then
+refused and its entity tries again with more room, so distinct entities stay distinct, however many. Each mention is then
 written in its own format: digits for digits, letters for letters of the same script and case, names of
 the gender that the title shows, valid check digits where there was one.
 
@@ -18,6 +18,7 @@ stay repeated; an empty table gives an empty one. Columns other than the text ar
 from __future__ import annotations
 
 from functools import reduce
+from itertools import count
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
@@ -55,6 +56,8 @@ PATTERN = r"(?<![\p{L}\d])(?:" + "|".join(f"(?:{p})" for p in PATTERNS.values())
 CUES = (*KEYWORDS, "akia", *(t.lower() for t in (*FEMALE, *MALE, *NEUTRAL)))
 
 LATIN, CYRILLIC, GREEK = "abcdefghijklmnopqrstuvwxyz", "абвгдежзийклмнопрстуфхцчшщыэюя", "αβγδεζηθικλμνξοπρστυφχψω"
+#: So many attempts keep a format's length.
+ROOMY = 9
 GIVEN = {
     ("latin", "f"): ("Anna", "Clara", "Elena", "Julia", "Laura", "Maria", "Nora", "Sofia"),
     ("latin", "m"): ("Adam", "David", "Felix", "Jonas", "Lukas", "Martin", "Paul", "Simon"),
@@ -153,20 +156,23 @@ def luhn_sum(digits: Column) -> Column:
 
 def _surrogate(kind: Column, form: Column, hint: Column, key: str, attempt: int) -> Column:
     """The canonical form of the replacement. The keyed digits are made once, not for each character."""
-    return let(_stream(key, kind, form, attempt), lambda stream: _made(kind, form, hint, stream))
+    return let(_stream(key, kind, form, attempt), lambda stream: _made(kind, form, hint, stream, attempt))
 
 
-def _made(kind: Column, form: Column, hint: Column, stream: Column) -> Column:
-    digits = _shaped(form, stream, F.lit(False))
+def _made(kind: Column, form: Column, hint: Column, stream: Column, attempt: int) -> Column:
+    """The room grows with the attempt: names by a syllable each time, other types, whose formats rarely run out, by a character each time after ROOMY."""
+    more = max(0, attempt - ROOMY)
+    long = F.concat(form, F.lit("0" * more))
+    digits = _shaped(long, stream, F.lit(False))
     head = F.substring(form, 1, 1)
     card = let(digits, lambda d: let(F.concat(head, F.substr(d, F.lit(2), F.char_length(d) - 2)), lambda b: F.when(
         F.pmod(luhn_sum(form), F.lit(10)) == 0, F.concat(b, F.pmod(10 - luhn_sum(F.concat(b, F.lit("0"))), F.lit(10)).cast("string"))).otherwise(F.concat(b, F.substr(d, F.char_length(d), F.lit(1))))))
-    octet = lambda at: F.pmod(F.conv(F.substring(stream, at, 4), 16, 10).cast("int"), F.lit(256)).cast("string")
+    octet = lambda at: F.pmod(F.conv(F.substring(stream, at, 4), 16, 10).cast("int"), F.lit(1000 if more else 256)).cast("string")
     ip = F.concat_ws(".", (240 + F.pmod(F.conv(F.substring(stream, 1, 2), 16, 10).cast("int"), F.lit(15))).cast("string"), octet(5), octet(9), octet(13))
     at = F.instr(form, "@")
     local = F.substr(form, F.lit(1), at - 1)
     tld = F.element_at(F.array(F.lit("com"), F.lit("net"), F.lit("org")), F.pmod(F.conv(F.substring(stream, 121, 2), 16, 10).cast("int"), F.lit(3)) + 1)
-    email = F.concat(_shaped(local, stream, F.lit(False)), F.lit("@"), F.substring(stream, 101, 8), F.lit(".example."), tld)
+    email = F.concat(_shaped(F.concat(local, F.lit("0" * more)), stream, F.lit(False)), F.lit("@"), F.substring(stream, 101, 8), F.lit(".example."), tld)
     script = F.when(form.rlike(r"\p{IsCyrillic}"), F.lit("cyrillic")).otherwise(F.lit("latin"))
     given, family = F.lit(None).cast("string"), F.lit(None).cast("string")
     for s in ("latin", "cyrillic"):
@@ -174,23 +180,23 @@ def _made(kind: Column, form: Column, hint: Column, stream: Column) -> Column:
         one = F.when(hint == "f", _pick(stream, 1, GIVEN[s, "f"])).when(hint == "m", _pick(stream, 1, GIVEN[s, "m"])).otherwise(_pick(stream, 1, both))
         given = F.when(script == s, one).otherwise(given)
         ending = F.when((script == "cyrillic") & (hint == "f"), "ова").when(script == "cyrillic", "ов").otherwise("")
-        family = F.when(script == s, F.concat(F.initcap(F.concat(*[_pick(stream, p, SYLLABLES[s]) for p in (5, 9, 13, 17)])), ending)).otherwise(family)
+        family = F.when(script == s, F.concat(F.initcap(F.concat(*[_pick(stream, p, SYLLABLES[s]) for p in range(5, min(5 + 4 * (4 + attempt), 126), 4)])), ending)).otherwise(family)
     name = F.when(F.instr(form, " ") > 0, F.concat(given, F.lit(" "), family)).otherwise(family)
     is_hex = form.rlike("^[0-9a-fA-F]+$") & form.rlike("[0-9]")
-    secret = F.when(form.startswith("AKIA"), F.concat(F.lit("AKIA"), _shaped(F.substr(form, F.lit(5), F.char_length(form)), stream, F.lit(False)))).otherwise(_shaped(form, stream, is_hex))
+    secret = F.when(form.startswith("AKIA"), F.concat(F.lit("AKIA"), _shaped(F.substr(long, F.lit(5), F.char_length(long)), stream, F.lit(False)))).otherwise(_shaped(long, stream, is_hex))
     # a country's IBAN and a phone's digits keep their first characters: the type and the length stay
-    iban = F.concat(F.substring(form, 1, 2), _shaped(F.substr(form, F.lit(3), F.char_length(form)), stream, F.lit(False)))
+    iban = F.concat(F.substring(form, 1, 2), _shaped(F.substr(long, F.lit(3), F.char_length(long)), stream, F.lit(False)))
     return (F.when(kind == "account", card).when(kind == "ip", ip).when(kind == "email", email).when(kind == "name", name)
             .when(kind == "iban", iban).when(kind == "secret", secret).otherwise(digits))
 
 
 def _written(kind: Column, mention: Column, new: Column) -> Column:
-    """The surrogate in the mention's own format: its digits dealt to the mention's digits."""
+    """The surrogate in the mention's own format: its digits dealt to the mention's digits, those of a longer one at the end."""
     def deal(s: Column, c: Column) -> Column:
         digit = c.rlike(r"\d") | ((kind == "iban") & c.rlike("[A-Z]"))
         return F.struct(F.concat(s["out"], F.when(digit, F.substr(new, s["n"] + 1, F.lit(1))).otherwise(c)).alias("out"), (s["n"] + F.when(digit, 1).otherwise(0)).alias("n"))
 
-    dealt = F.aggregate(F.split(_national(kind, mention), ""), F.struct(F.lit("").alias("out"), F.lit(0).alias("n")), deal, lambda s: s["out"])
+    dealt = F.aggregate(F.split(_national(kind, mention), ""), F.struct(F.lit("").alias("out"), F.lit(0).alias("n")), deal, lambda s: F.concat(s["out"], F.substr(new, s["n"] + 1, F.char_length(new))))
     return (F.when(kind == "phone", F.concat(_country(mention), dealt)).when(kind.isin("account", "ssn", "iban"), dealt)
             .when((kind == "name") & (mention == F.upper(mention)), F.upper(new)).otherwise(new))
 
@@ -203,7 +209,7 @@ def _gender(text: Column) -> Column:
         F.when(t.rlike(rf"^(?:{_any_case(FEMALE)})\b"), "f").when(t.rlike(rf"^(?:{_any_case(MALE)})\b"), "m").otherwise("n").alias("hint")))
 
 
-def entities(docs: DataFrame, key: str, text: str = "text", attempts: int = 30, lists: DataFrame | None = None) -> DataFrame:
+def entities(docs: DataFrame, key: str, text: str = "text", lists: DataFrame | None = None) -> DataFrame:
     """kind, form, surrogate: the distinct entities of the corpus and their distinct replacements."""
     lists = mention_lists(docs, text) if lists is None else lists
     found = lists.select(F.explode("old").alias("m")).distinct()
@@ -213,7 +219,7 @@ def entities(docs: DataFrame, key: str, text: str = "text", attempts: int = 30,
     pending = persisted(found.join(hints, "form", "left").select("kind", "form", F.when(F.col("kind") == "name", F.coalesce("hint", F.lit("n"))).otherwise("n").alias("hint")))
     every = pending.select("kind", F.col("form").alias("surrogate"))
     settled = None
-    for attempt in range(attempts):
+    for attempt in count():  # ends: each attempt has more room than the last
         tried = pending.withColumn("surrogate", _surrogate(F.col("kind"), F.col("form"), F.col("hint"), key, attempt))
         first = F.row_number().over(Window.partitionBy("kind", "surrogate").orderBy("form")) == 1
         taken = every.withColumn("taken", F.lit(True)) if settled is None else every.union(settled.select("kind", "surrogate")).distinct().withColumn("taken", F.lit(True))
@@ -223,7 +229,6 @@ def entities(docs: DataFrame, key: str, text: str = "text", attempts: int = 30,
         pending = tried.where(~F.col("ok")).select("kind", "form", "hint")
         if pending.isEmpty():
             return settled
-    raise ValueError(f"{attempts} attempts left entities without a surrogate of their own: their formats allow too few")
 
 
 def replace(docs: DataFrame, key: str, text: str = "text") -> DataFrame:

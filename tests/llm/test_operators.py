@@ -162,6 +162,18 @@ def test_surrogates_stay_distinct(spark):
     assert len({r["surrogate"] for r in table}) == 300 and not {r["surrogate"] for r in table} & {r["form"] for r in table}
 
 
+def test_surrogates_have_room(spark, monkeypatch):
+    """More entities than surrogates of the usual length: names, a secret of no letters, phones and secrets that use up their formats."""
+    monkeypatch.setattr(pii, "SYLLABLES", {"latin": ("ba", "den"), "cyrillic": ("ба", "ден")})
+    texts = [f"Mr {c}{d}son wrote" for c in "ABCDEFGH" for d in "abcdef"] + ["Token:\n--------"] + [f"secret={c}-------" for c in "abcdefghijklmnopqrstuvwxyz"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    table = pii.entities(docs, "k").collect()
+    assert len(table) == len(texts) == len({(r["kind"], r["surrogate"]) for r in table}) and not {r["surrogate"] for r in table} & {r["form"] for r in table}
+    assert len({r["text"] for r in pii.replace(docs, "k").collect()}) == len(texts)
+    made = spark.range(1).select(pii._written(F.lit("ssn"), F.lit("123-45-6789"), F.lit("98765432101")).alias("w")).first()["w"]
+    assert made == "987-65-432101"
+
+
 def test_shouted_private_data(spark):
     """Key words, titles and tokens in any case, each in a text with no other cue."""
     token = "A233A8ECF7B1C2D3E4F5A6B7C8D9E0F1A2B3C4D5"
