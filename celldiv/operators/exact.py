@@ -8,34 +8,46 @@ from pyspark.sql import functions as F
 
 from celldiv.model import MicrodataSpec
 
-PAIR_ROWS = 2_000
+#: Cells of either value that the solver takes; their rows are not bounded.
+PAIR_CELLS = 5_000
 
 
-def assignment(cost: np.ndarray) -> np.ndarray:
-    """Column for each row of a square matrix at least total cost (shortest augmenting paths with potentials)."""
-    n = len(cost)
-    u, v, match = np.zeros(n + 1), np.zeros(n + 1), np.full(n + 1, -1)
+def transport(cost: np.ndarray, supply: np.ndarray, demand: np.ndarray) -> np.ndarray:
+    """Amounts from each row to each column at least total cost; supply and demand have one sum (shortest augmenting paths with potentials)."""
+    n, m = cost.shape
+    u, v, flow, free = np.zeros(n), np.zeros(m), np.zeros((n, m), np.int64), demand.astype(np.int64)
     for row in range(n):
-        match[n] = row
-        reach, way, used, col = np.full(n + 1, np.inf), np.full(n + 1, n), np.zeros(n + 1, bool), n
-        while match[col] >= 0:
-            used[col] = True
-            r = match[col]
-            now = cost[r] - u[r] - v[:n]
-            better = ~used[:n] & (now < reach[:n])
-            reach[:n][better], way[:n][better] = now[better], col
-            nxt = int(np.where(used[:n], np.inf, reach[:n]).argmin())
-            step = reach[nxt]
-            u[match[used]] += step
-            v[used] -= step
-            reach[~used] -= step
-            col = nxt
-        while col != n:
-            match[col] = match[way[col]]
-            col = way[col]
-    out = np.empty(n, np.int64)
-    out[match[:n]] = np.arange(n)
-    return out
+        left = int(supply[row])
+        while left:
+            reach, way, done = np.full(m, np.inf), np.full(m, -1), np.zeros(m, bool)
+            entry, back = np.full(n, np.inf), np.full(n, -1)
+            entry[row], fresh, at = 0, [row], 0.0
+            while True:
+                for r in fresh:
+                    now = at + cost[r] - u[r] - v
+                    better = ~done & (now < reach)
+                    reach[better], way[better] = now[better], r
+                col = int(np.where(done, np.inf, reach).argmin())
+                at, done[col] = reach[col], True
+                if free[col]:
+                    break
+                fresh = np.flatnonzero((flow[:, col] > 0) & np.isinf(entry))
+                entry[fresh], back[fresh] = at, col
+            seen = np.isfinite(entry)
+            u[seen] += at - entry[seen]
+            v[done] -= at - reach[done]
+            path, amount, c = [], min(left, int(free[col])), col
+            while (r := way[c]) != row:
+                path.append((r, c, back[r]))
+                amount = min(amount, int(flow[r, back[r]]))
+                c = back[r]
+            for r, to, of in path:
+                flow[r, to] += amount
+                flow[r, of] -= amount
+            flow[row, c] += amount
+            free[col] -= amount
+            left -= amount
+    return flow
 
 
 def pair_cancellation(df: DataFrame, spec: MicrodataSpec) -> DataFrame:
@@ -49,8 +61,9 @@ def pair_cancellation(df: DataFrame, spec: MicrodataSpec) -> DataFrame:
 def pair_exact(df: DataFrame, spec: MicrodataSpec) -> DataFrame:
     """df with cell_id, m = l = 2 and equal counts: cells are pairs; the stars are least.
 
-    The cost of a pair is a metric (twice the differing QIs), so rows with equal QIs pair first; the rest, at
-    most PAIR_ROWS, is an assignment on the driver.
+    The cost of a pair is a metric (twice the differing QIs), so rows with equal QIs pair first. The rest differ
+    only by cell and value: their counts are a transportation problem on the driver, and each amount of its
+    solution pairs a range of one cell's rows with a range of another's.
     """
     order = Window.partitionBy(*spec.qi, spec.sa).orderBy(spec.row_id)
     ranked = df.withColumn("__k", F.row_number().over(order))
@@ -61,19 +74,34 @@ def pair_exact(df: DataFrame, spec: MicrodataSpec) -> DataFrame:
         on = on & F.col(q).eqNullSafe(F.col(f"__{q}"))
     tagged = ranked.join(both.withColumnRenamed("__k", "__k2"), on).drop("__k2", *[f"__{q}" for q in spec.qi])
     free = tagged.where("__b = 2").select(*df.columns, F.xxhash64("__first").alias("cell_id"))
-    rest = tagged.where("__b = 1").select(*df.columns)
-    rows = rest.limit(2 * PAIR_ROWS + 1).collect()
-    if len(rows) > 2 * PAIR_ROWS:
-        raise ValueError("too many unpaired rows for the exact solver")
-    names = sorted({r[spec.sa] for r in rows})
-    if not rows:
+    rest = tagged.where("__b = 1").select(*df.columns, "__k")
+    cells = rest.groupBy(*spec.qi, spec.sa).agg(F.count(F.lit(1)).alias("__n"), F.min("__k").alias("__from")).limit(2 * PAIR_CELLS + 1).collect()
+    if len(cells) > 2 * PAIR_CELLS:
+        raise ValueError("too many cells with unpaired rows for the exact solver")
+    if not cells:
         return free
-    left, right = ([r for r in rows if r[spec.sa] == v] for v in names)
-    codes = [np.array([[hash(r[q]) for q in spec.qi] for r in side]) for side in (left, right)]
-    chosen = assignment(2.0 * (codes[0][:, None, :] != codes[1][None, :, :]).sum(axis=2))
-    pairs = [(r[spec.row_id], i) for i, r in enumerate(left)] + [(right[j][spec.row_id], i) for i, j in enumerate(chosen)]
-    made = df.sparkSession.createDataFrame(pairs, "__r long, cell_id long")
-    return free.unionByName(rest.join(F.broadcast(made), F.col(spec.row_id) == F.col("__r")).drop("__r"))
+    names = sorted({r[spec.sa] for r in cells})
+    sides = [[r for r in cells if r[spec.sa] == v] for v in names]
+    amounts = [np.array([r["__n"] for r in side], np.int64) for side in sides]
+    if len(names) != 2 or amounts[0].sum() != amounts[1].sum():
+        raise ValueError("pairs want two values with equal counts")
+    known: list[dict] = [{} for _ in spec.qi]
+    codes = [np.array([[known[i].setdefault(r[q], len(known[i])) for i, q in enumerate(spec.qi)] for r in side]) for side in sides]
+    cost = sum(2.0 * (codes[0][:, None, i] != codes[1][None, :, i]) for i in range(len(spec.qi)))
+    flow, at, made, base = transport(cost, *amounts), [[r["__from"] for r in side] for side in sides], [], 0
+    for a, b in zip(*np.nonzero(flow)):
+        n = int(flow[a, b])
+        for s, x in ((0, a), (1, b)):
+            r = sides[s][x]
+            made.append((*[r[q] for q in spec.qi], r[spec.sa], at[s][x], at[s][x] + n, base))
+            at[s][x] += n
+        base += n
+    types = {f.name: f.dataType.simpleString() for f in df.schema}
+    ranges = df.sparkSession.createDataFrame(made, ", ".join([*(f"`__{c}` {types[c]}" for c in (*spec.qi, spec.sa)), "__start long, __stop long, __base long"]))
+    on = (F.col("__k") >= F.col("__start")) & (F.col("__k") < F.col("__stop"))
+    for c in (*spec.qi, spec.sa):
+        on = on & F.col(c).eqNullSafe(F.col(f"__{c}"))
+    return free.unionByName(rest.join(F.broadcast(ranges), on).select(*df.columns, (F.col("__base") + F.col("__k") - F.col("__start")).alias("cell_id")))
 
 
 def _codes(sizes: list[int], m: int) -> list[int]:
