@@ -123,6 +123,14 @@ def linking_candidates(spark, sf):
     return cells.linking_attack(df.withColumn("star_mask", F.lit(0)), known, spec)
 
 
+@query(f"""WITH v AS ({_V4}), h AS (SELECT o_orderstatus, order_year, c_mktsegment, r_name, o_orderpriority AS sa, count(*) AS rows FROM v GROUP BY ALL)
+SELECT 'p' || row_id AS person, sa, rows FROM v JOIN h USING (o_orderstatus, order_year, c_mktsegment, r_name)""")
+def linking_candidates_all(spark, sf):
+    df, spec = views.order_microdata(spark, sf)
+    known = df.select(F.concat(F.lit("p"), F.col("row_id").cast("string")).alias("person"), *spec.qi)
+    return cells.linking_attack(df.withColumn("star_mask", F.lit(0)), known, spec)
+
+
 # ---- phase one -------------------------------------------------------------------------------
 
 def _trim_query(name: str, view_sql: str, view, qi: tuple[str, ...], sa: str, l: int) -> None:

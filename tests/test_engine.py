@@ -172,6 +172,11 @@ def test_curve_groups_are_eligible():
         assert all(vectors.eligible(Counter(sa[cell == c].tolist()), l) for c in set(cell.tolist()))
 
 
+def test_linking_attacks_every_order(spark, data):
+    got = queries.QUERIES["linking_candidates_all"](spark, data).select("person").distinct().count()
+    assert got == spark.read.parquet(f"{data}/orders.parquet").count() > 40
+
+
 def test_pairs(spark):
     rnd = random.Random(1)
     for _ in range(3):
