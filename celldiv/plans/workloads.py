@@ -59,14 +59,28 @@ def run_stars_by_d(spark, sf_dir, l=6, ds=range(1, 8), most=None):
     return figures(spark, sf_dir, "stars_by_d", [(v, q, m, l, 6) for v in VIEWS for d in ds for q in projections(views.WIDE, d, most) for m in METHODS])
 
 
+def averaged(rows: DataFrame) -> DataFrame:
+    """The family's figures, averaged over its projections."""
+    return rows.groupBy("workload", "view", "method", "l", "d").agg(F.count(F.lit(1)).alias("projections"), *[F.avg(c).alias(c) for c in ("stars", "starred_rows", "kl")])
+
+
 def run_phases(spark, sf_dir, ls=range(2, 11), ds=range(1, 8)):
-    """(view, grouping, l, residue_rows, height, done): phase one of all projections at once; only those not done need more."""
-    out = None
+    """(view, grouping, l, residue_rows, height, done, phase): phase one of all projections at once; those not done are taken through the others.
+
+    phase is the one that a release ended in; null where none is feasible."""
+    out, ends = None, []
     for name, view in VIEWS.items():
         df, spec = view(spark, sf_dir)
-        got = tiered.lattice_trim(df, spec, tuple(ds), list(ls)).withColumn("view", F.lit(name))
+        got = persisted(tiered.lattice_trim(df, spec, tuple(ds), list(ls)).withColumn("view", F.lit(name)))
+        for r in got.where("not done").collect():  # at most one row per projection and l
+            qi = tuple(q for i, q in enumerate(spec.qi) if not r["grouping"] >> len(spec.qi) - 1 - i & 1)
+            try:
+                ends.append((name, r["grouping"], r["l"], tiered.tiered_suppress(*view(spark, sf_dir, qi), r["l"]).report["phase"]))
+            except Infeasible:
+                continue
         out = got if out is None else out.unionByName(got)
-    return out
+    later = spark.createDataFrame(ends, "view string, grouping int, l int, later int")
+    return out.join(F.broadcast(later), ["view", "grouping", "l"], "left").withColumn("phase", F.when(F.col("done"), 1).otherwise(F.col("later"))).drop("later")
 
 
 def run_time_by_n(spark, sf_dir, l=6, d=4, most=1):

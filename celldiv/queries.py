@@ -404,11 +404,11 @@ def coarsening_sweep(spark, sf):
 
 
 def stars_by_l(spark, sf):
-    return workloads.run_stars_by_l(spark, sf, (2, 6), 4, 1).drop("seconds")
+    return workloads.averaged(workloads.run_stars_by_l(spark, sf))
 
 
 def phase_lattice(spark, sf):
-    return workloads.run_phases(spark, sf, (2, 6, 10), (1, 2, 3))
+    return workloads.run_phases(spark, sf)
 
 
 QUERIES |= {f.__name__: f for f in (coarsening_sweep, stars_by_l, phase_lattice)}

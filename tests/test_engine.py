@@ -12,6 +12,7 @@ from celldiv.functions import measures
 from celldiv.functions.curve import hilbert_numbers
 from celldiv.model import Infeasible, MicrodataSpec
 from celldiv.operators import cells, curve, drain, exact, publish, tiered, trim, vectors
+from celldiv.plans import workloads
 from celldiv.storage import persisted
 from tests.conftest import same
 
@@ -177,6 +178,18 @@ def test_linking_attacks_every_order(spark, data):
     assert got == spark.read.parquet(f"{data}/orders.parquet").count() > 40
 
 
+def test_experiments_are_whole(spark, data, monkeypatch):
+    """Undone projections go through the later phases; a family is averaged over all projections and l."""
+    got = workloads.run_phases(spark, data, (10,), (1,)).collect()
+    assert len(got) == 14 and all((r["phase"] == 1) == r["done"] for r in got)
+    assert all(r["phase"] in (1, 2, 3) for r in got)
+    asked = []
+    rows = [("w", "v", q, "m", 2, 1, 9, n, n, 1, None, 0.0) for q, n in (("a", 2), ("b", 4))]
+    monkeypatch.setattr(workloads, "figures", lambda s, d, w, cases: asked.extend(cases) or s.createDataFrame(rows, workloads.FIGURES))
+    mean = queries.QUERIES["stars_by_l"](spark, data).first()
+    assert (mean["projections"], mean["stars"]) == (2, 3.0) and len(asked) == len(set(asked)) == 2 * 35 * 3 * 9
+
+
 def test_pairs(spark):
     rnd = random.Random(1)
     for _ in range(3):
