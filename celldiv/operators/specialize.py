@@ -34,7 +34,7 @@ def balanced(values: list) -> dict:
     return paths
 
 
-def top_down(df: DataFrame, spec: MicrodataSpec, taxonomies: dict[str, dict], l: int | None = None, k: int | None = None, max_steps: int = 200) -> dict[str, dict]:
+def top_down(df: DataFrame, spec: MicrodataSpec, taxonomies: dict[str, dict], l: int | None = None, k: int | None = None) -> dict[str, dict]:
     """The final cut: per QI leaf -> (node, number of leaves below it). One aggregate scores all candidates of a step.
 
     All QIs begin at their roots; the refinement with the greatest information gain whose cells all pass is made.
@@ -43,7 +43,7 @@ def top_down(df: DataFrame, spec: MicrodataSpec, taxonomies: dict[str, dict], l:
     hist = persisted(df.groupBy(*spec.qi, F.col(spec.sa).alias("sa")).agg(F.count(F.lit(1)).alias("h")))
     depth = {q: dict.fromkeys(taxonomies[q], 0) for q in spec.qi}
     closed: set[tuple[str, str]] = set()
-    for _ in range(max_steps):
+    while True:  # each step refines a node or is the last
         got, any_open = hist, False
         for q in spec.qi:
             kind = df.schema[q].dataType.simpleString()

@@ -1,5 +1,6 @@
 """The publishing engine against worked vectors, brute force, SQL and its proven bounds."""
 
+import inspect
 import random
 from collections import Counter
 
@@ -11,7 +12,7 @@ from celldiv import queries
 from celldiv.functions import measures
 from celldiv.functions.curve import hilbert_numbers
 from celldiv.model import Infeasible, MicrodataSpec
-from celldiv.operators import cells, curve, drain, exact, publish, tiered, trim, vectors
+from celldiv.operators import cells, curve, drain, exact, publish, specialize, tiered, trim, vectors
 from celldiv.plans import workloads
 from celldiv.storage import persisted
 from tests.conftest import same
@@ -178,6 +179,13 @@ def test_linking_attacks_every_order(spark, data):
     assert got == spark.read.parquet(f"{data}/orders.parquet").count() > 40
 
 
+def test_specialization_has_no_step_limit(spark):
+    """All nodes are refined; that no count of steps ends the loop is told by the signature, for 200 steps take minutes."""
+    df, spec = spark.createDataFrame([(i // 2, i % 2, i) for i in range(8)], "x int, b int, row_id long"), MicrodataSpec(("x",), "b")
+    cuts = specialize.top_down(df, spec, specialize.default_taxonomies(df, spec), l=2)
+    assert all(n == 1 for _, n in cuts["x"].values()) and "max_steps" not in inspect.signature(specialize.top_down).parameters
+
+
 def test_experiments_are_whole(spark, data, monkeypatch):
     """Undone projections go through the later phases; a family is averaged over all projections and l."""
     got = workloads.run_phases(spark, data, (10,), (1,)).collect()
