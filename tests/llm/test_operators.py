@@ -404,33 +404,113 @@ def test_block_max_search_is_exact():
     vectors = []
     for _ in range(700):
         at = np.sort(rnd.choice(60, rnd.integers(1, 9), replace=False))
-        w = rnd.random(len(at))
-        vectors.append((at, w / np.linalg.norm(w)))
-    index = toxicity.BlockMaxIndex(vectors, [0] * 700, 60, block=16)
+        w = rnd.random(len(at)) * np.where(at < 5, 6.0, 1.0)
+        vectors.append((at.astype(np.int32), w / np.linalg.norm(w)))
+    relevant = np.arange(60) < 5
     dense = np.zeros((700, 60))
     for i, (at, w) in enumerate(vectors):
         dense[i, at] = w
-    opened = 0
-    for i in range(0, 700, 7):
-        got, n = index.nearest(*vectors[i], 10)
-        opened += n
-        want = np.sort(dense @ dense[i])[::-1]
-        assert np.allclose(sorted([c for c, g in got for _ in index.members[g]], reverse=True)[:10], want[:10], atol=1e-8)
-    assert opened < 100 * index.blocks
+    for frequent in (0.01, 0.07, 2.0):  # all, some and no terms stored by block
+        index = toxicity.BlockMaxIndex(vectors, [0] * 700, relevant, block=16, frequent=frequent)
+        asked = list(range(0, 700, 7))
+        got, opened = index.nearest([vectors[i] for i in asked], 10)
+        less = index.nearest([vectors[i] for i in asked], 10, asked)[0]
+        for i, near, others in zip(asked, got, less):
+            cosines = dense @ dense[i]
+            want = np.sort(cosines)[::-1]
+            assert np.allclose([c for c, _ in near][:10], want[:10][want[:10] > 1e-9], atol=2e-6)
+            assert all(abs(cosines[e] - c) < 2e-6 for c, e in near)
+            assert i not in [e for _, e in others] and np.allclose([c for c, _ in others][:9], np.delete(cosines, i)[np.argsort(-np.delete(cosines, i))][:len(others)][:9], atol=2e-6)
+        assert opened < 100 * index.blocks
+
+
+def test_calibration_never_falls():
+    x, y = toxicity.isotonic(np.array([0.9] * 1000 + [1.0] + [0.2, 0.3, 0.4]), np.array([1.0] * 900 + [0.0] * 100 + [1.0] + [0.0, 1.0, 0.0]))
+    assert (np.diff(x) > 0).all() and (np.diff(y) > 0).all()
+    rnd = np.random.default_rng(4)
+    for _ in range(200):
+        x, y = toxicity.isotonic(np.round(rnd.random(60), 1), (rnd.random(60) < 0.4).astype(float))
+        assert (np.diff(x) > 0).all() and (np.diff(y) > 0).all()
+
+
+def plain_toxicity(shown, asked, k=toxicity.NEAREST):
+    """Scores by dictionaries and all pairs. shown: (text, label); asked: texts."""
+    words = [toxicity.terms(t) for t, _ in shown]
+    df, hot = Counter(t for w in words for t in w), Counter(t for w, (_, y) in zip(words, shown) if y for t in w)
+    n, n1 = len(shown), sum(y for _, y in shown)
+    weight = {}
+    for t, d in df.items():
+        a = hot[t]
+        cells = ((a, d * n1 / n), (d - a, d * (n - n1) / n), (n1 - a, (n - d) * n1 / n), (n - n1 - d + a, (n - d) * (n - n1) / n))
+        gain = sum(2 * o * math.log(o / e) for o, e in cells if o)
+        relevant = a / d > n1 / n and gain > toxicity.GAIN
+        if d >= toxicity.LEAST and (relevant or not t.endswith("*")):
+            weight[t] = (math.log((n + 1) / (d + 1)) + 1) * (toxicity.FLOOR + (math.sqrt(gain - toxicity.GAIN) if relevant else 0))
+
+    def vector(text):
+        v = {t: (1 + math.log(c)) * weight[t] for t, c in toxicity.terms(text).items() if t in weight}
+        length = math.sqrt(sum(x * x for x in v.values()))
+        return {t: x / length for t, x in v.items()}
+
+    rows = [(vector(t), y) for t, y in shown]
+    none = [y for v, y in rows if not v]
+    rows = [(v, y) for v, y in rows if v]
+
+    def vote(v, skip=None):
+        near = sorted(((round(min(sum(x * u.get(t, 0) for t, x in v.items()), 1), 6), y) for i, (u, y) in enumerate(rows) if i != skip), reverse=True)
+        near = [x for x in near if x[0] > 0]
+        if not near:
+            return sum(none) / (len(none) + 1), False
+        near = [x for x in near if x[0] >= near[min(k, len(near)) - 1][0]]
+        return sum(y / (1.05 - c) for c, y in near) / sum(1 / (1.05 - c) for c, _ in near), True
+
+    pools = []
+    for x, y in sorted((vote(v, i)[0], y) for i, (v, y) in enumerate(rows)):
+        if pools and abs(pools[-1][3] - x) < 1e-9:
+            pools[-1][:3] = pools[-1][0] + x, pools[-1][1] + y, pools[-1][2] + 1
+        else:
+            pools.append([x, y, 1, x])
+    at = 0
+    while at + 1 < len(pools):
+        (x, a, m, _), (z, b, o, last) = pools[at:at + 2]
+        if (a + 0.5) / (m + 1) >= (b + 0.5) / (o + 1):
+            pools[at:at + 2] = [[x + z, a + b, m + o, last]]
+            at = max(at - 1, 0)
+        else:
+            at += 1
+    out = []
+    for t in asked:
+        value, any_ = vote(vector(t))
+        out.append(np.interp(value, [p[0] / p[2] for p in pools], [(p[1] + 0.5) / (p[2] + 1) for p in pools]) if any_ else value)
+    return out
+
+
+def test_toxicity_equals_plain_search(spark):
+    rnd = random.Random(11)
+    common = ["".join(rnd.choices("abcdefgh", k=4)) for _ in range(120)]
+    docs = [(i, " ".join(rnd.choices(common, k=30)) + (f" lumpen{rnd.choice('xyz')} " if i % 4 == 0 and i % 12 else "")) for i in range(160)] + [(500, ""), (501, None)]
+    df = spark.createDataFrame(docs, "doc_id long, text string").repartition(3)
+    labels = spark.createDataFrame([(i, int(i % 4 == 0)) for i, _ in docs if i % 3 != 1], "doc_id long, toxic int")
+    got = {r["doc_id"]: r["score"] for r in toxicity.score(df, toxicity.fit(df, labels)).collect()}
+    want = plain_toxicity([(t, int(i % 4 == 0)) for i, t in docs if i % 3 != 1], [t for _, t in docs])
+    assert max(abs(got[i] - x) for (i, _), x in zip(docs, want)) < 1e-4
 
 
 def test_toxicity(spark, odd, none):
     rnd = random.Random(3)
     prose = lambda: " ".join("".join(rnd.choices("abcdefgh", k=5)) for _ in range(40))
-    docs = [(i, prose() + (" vile scoundrel " + prose() if i % 5 == 0 else "")) for i in range(400)]
+    docs = [(i, prose() + (" vile scoundrel " + prose() if i % 5 == 0 else " of the ")) for i in range(400)]
     df = spark.createDataFrame(docs, "doc_id long, text string")
     labels = spark.createDataFrame([(i, int(i % 5 == 0)) for i, _ in docs if i % 3] + [(3, None), (None, 1)], "doc_id long, toxic int")
     model = toxicity.fit(df, labels)
     got = {r["doc_id"]: r for r in toxicity.score(df, model).collect()}
     assert all((got[i]["score"] >= 0.7) == (i % 5 == 0) for i, _ in docs)
-    assert all(got[0]["evidence"]) or got[0]["evidence"]
+    assert all(len(got[i]["evidence"]) == toxicity.NEAREST for i, _ in docs)  # every text is searched for
+    assert all(e % 5 == 0 for e in got[0]["evidence"])
     assert toxicity.reject(df, model).count() == 320
     assert toxicity.score(odd, model).count() == len(ODD) and toxicity.score(none, model).count() == 0
+    twice = toxicity.fit(df.union(df), labels, 100)  # repeated ids stay within the bound
+    assert len(twice.ids) <= 100
     empty = toxicity.fit(df, labels.limit(0))
     assert {r["score"] for r in toxicity.score(odd, empty).collect()} == {0.0}
 
