@@ -7,10 +7,13 @@ import pandas as pd
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
+#: Bits of a position that fit a long.
+POSITION_BITS = 63
+
 
 def hilbert_numbers(x: np.ndarray, bits: int) -> np.ndarray:
     """x: n by d integers below 2^bits. Gray-code descent: each plane of bits picks an orthant and turns what lies below."""
-    x = x.astype(np.int64).copy()
+    x = np.asfortranarray(x.astype(np.int64))
     d = x.shape[1]
     top = 1 << (bits - 1)
     q = top
@@ -38,15 +41,16 @@ def hilbert_numbers(x: np.ndarray, bits: int) -> np.ndarray:
 
 
 def hilbert_index(codes: list[Column], bits: int) -> Column:
-    """The position as a long; bits times the number of columns may be 63 at most."""
-    if bits * len(codes) > 63:
-        raise ValueError("the curve's positions do not fit 63 bits")
-
+    """The position as a long. Where bits times the number of columns exceed 63, the lowest bits of the codes are left out:
+    the curve then runs over a coarser grid, and rows of one grid cell have one position."""
     d = len(codes)
+    keep = max(1, min(bits, POSITION_BITS // d))
+    if d > POSITION_BITS:
+        raise ValueError(f"the curve takes {POSITION_BITS} columns at most")
 
     @F.pandas_udf("long")
-    def run(packed: pd.Series) -> pd.Series:
-        x = np.stack(packed.to_numpy()) if len(packed) else np.empty((0, d), np.int64)
-        return pd.Series(hilbert_numbers(x, bits))
+    def run(*columns: pd.Series) -> pd.Series:
+        x = np.column_stack([c.to_numpy() for c in columns]) if len(columns[0]) else np.empty((0, d), np.int64)
+        return pd.Series(hilbert_numbers(x >> (bits - keep), keep))
 
-    return run(F.array(*[c.cast("long") for c in codes]))
+    return run(*[c.cast("long") for c in codes])

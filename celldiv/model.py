@@ -35,6 +35,12 @@ def check_l(l: int) -> int:
     return l
 
 
+#: Names that releases add.
+RESERVED = {"cell", "sa", "h", "moved", "in_residue", "cell_id", "star_mask"}
+
+
 def shown(df: DataFrame, spec: MicrodataSpec) -> DataFrame:
     """The columns a release needs, and no others."""
+    if clash := RESERVED & {*spec.qi, spec.row_id} | {"in_residue", "cell_id", "star_mask"} & {spec.sa}:
+        raise ValueError(f"rename the columns {sorted(clash)}: releases add columns of these names")
     return df.select(*spec.qi, spec.sa, spec.row_id)

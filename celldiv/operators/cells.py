@@ -1,4 +1,8 @@
-"""Histograms of cells, eligibility, and checks of released tables."""
+"""Histograms of cells, eligibility, and checks of released tables.
+
+Defined results throughout: a null is an ordinary QI or sensitive value; an empty table has no cells, breaks no rule and is
+feasible for every l of 2 or more; repeated rows count each; columns that the spec does not name are not read.
+"""
 
 from __future__ import annotations
 
@@ -6,6 +10,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from celldiv.model import Infeasible, MicrodataSpec, check_l
+from celldiv.storage import small
 
 
 def cell_histogram(df: DataFrame, spec: MicrodataSpec) -> DataFrame:
@@ -35,12 +40,18 @@ def is_eligible(df: DataFrame, sa: str, l: int) -> bool:
 
 def require_solution(df: DataFrame, spec: MicrodataSpec, l: int) -> tuple[int, int]:
     """(n, m), or Infeasible if the table itself is not eligible."""
+    check_l(l)
     r = max_feasible_l(df, spec.sa).first()
-    if r["n"] and r["n"] < check_l(l) * r["top"]:
+    if r["n"] and r["n"] < l * r["top"]:
         raise Infeasible(f"a value of {spec.sa} has {r['top']} of {r['n']} rows; l may be {r['max_l']} at most")
     return r["n"] or 0, r["m"]
 
 
+def monotone_union(a: DataFrame, b: DataFrame) -> DataFrame:
+    """The histogram (sa, h) of two disjoint sets of rows together. If both are eligible it is too: heights add up at most."""
+    return a.unionByName(b).groupBy("sa").agg(F.sum("h").alias("h"))
+
+
 def _released(pub: DataFrame, spec: MicrodataSpec, level: str) -> list:
     return ["cell_id"] if level == "strict" else ["star_mask", *spec.qi]
 
@@ -80,18 +91,22 @@ def adversary_confidence(pub: DataFrame, spec: MicrodataSpec, level: str = "stri
 def linking_attack(pub: DataFrame, known: DataFrame, spec: MicrodataSpec) -> DataFrame:
     """known has a person and the QI columns: per person the sensitive values of the rows that may be theirs.
 
-    One equality join per pattern of stars, at most 2^d.
+    One equality join per pattern of stars, at most 2^d. A null is met by a null, a star by anything.
     """
     kept = pub.groupBy("star_mask", *spec.qi, spec.sa).agg(F.count(F.lit(1)).alias("h"))
-    masks = [r[0] for r in kept.select("star_mask").distinct().collect()]  # at most 2^d numbers
+    masks = [r[0] for r in kept.select("star_mask").distinct().collect()] or [0]  # at most 2^d numbers
     out = None
     for mask in masks:
         plain = [q for i, q in enumerate(spec.qi) if not mask >> i & 1]
-        right = kept.where(F.col("star_mask") == mask).select(*[F.col(q).alias(f"__{q}") for q in plain], F.col(spec.sa).alias("sa"), "h")
-        on = F.lit(True)
-        for q in plain:
-            on = on & F.col(q).eqNullSafe(F.col(f"__{q}"))
-        found = known.join(right, on).select("person", "sa", "h")
+        right = kept.where(F.col("star_mask") == mask).groupBy(*[F.col(q).alias(f"__{q}") for q in plain], F.col(spec.sa).alias("sa")).agg(F.sum("h").alias("h"))
+        if plain:
+            on = F.lit(True)
+            for q in plain:
+                on = on & F.col(q).eqNullSafe(F.col(f"__{q}"))
+            found = known.join(right, on)
+        else:  # a row of stars may be anyone's: one row per sensitive value meets each person
+            found = known.crossJoin(F.broadcast(right))
+        found = found.select("person", "sa", "h")
         out = found if out is None else out.union(found)
     return out.groupBy("person", "sa").agg(F.sum("h").alias("rows"))
 
@@ -101,8 +116,8 @@ def closeness_report(pub: DataFrame, spec: MicrodataSpec) -> DataFrame:
     whole = pub.groupBy(F.col(spec.sa).alias("sa")).agg(F.count(F.lit(1)).alias("g"))
     total = whole.agg(F.sum("g").alias("n"))
     per = pub.groupBy("cell_id", F.col(spec.sa).alias("sa")).agg(F.count(F.lit(1)).alias("h"))
-    sizes = per.groupBy("cell_id").agg(F.sum("h").alias("size"))
-    both = per.join(sizes, "cell_id").join(whole, "sa").crossJoin(F.broadcast(total))
+    sizes = per.groupBy(F.col("cell_id").alias("__id")).agg(F.sum("h").alias("size"))
+    both = per.join(sizes, F.col("cell_id").eqNullSafe(F.col("__id"))).join(small(whole.withColumnRenamed("sa", "__s")), F.col("sa").eqNullSafe(F.col("__s"))).crossJoin(F.broadcast(total))
     p, q = F.col("h") / F.col("size"), F.col("g") / F.col("n")
     # values absent from a cell contribute their global share, which is one minus that of those present
     return both.groupBy("cell_id").agg(((F.sum(F.abs(p - q)) + 1 - F.sum(q)) / 2).alias("distance"))

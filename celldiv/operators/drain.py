@@ -16,7 +16,8 @@ from pyspark.sql import functions as F
 from celldiv.operators import vectors
 from celldiv.storage import persisted
 
-BUCKETS = 64
+#: Offers of one bucket, on average: the number of buckets follows from the offers.
+BUCKET_OFFERS = 100_000
 #: State rows up to which phases two and three run on the driver.
 DRIVER_ROWS = 200_000
 
@@ -54,7 +55,7 @@ def _running(df: DataFrame, value: str, by: list[str]) -> DataFrame:
 
 
 def _offers(state: DataFrame, residue: Counter, l: int) -> DataFrame:
-    """(cell, sa, x, package): loose cells offer values rarest in the residue first, up to their surplus; tight ones that
+    """(cell, sa, x, r, package, spot): loose cells offer values rarest in the residue first, up to their surplus; tight ones that
     do not clash offer one row of each peak value, all or nothing."""
     height = max(residue.values(), default=0)
     got = classify(state, residue, l).where(~F.col("frozen"))
@@ -63,7 +64,7 @@ def _offers(state: DataFrame, residue: Counter, l: int) -> DataFrame:
     loose = F.greatest(F.lit(0), F.least("free", F.col("surplus") - F.coalesce(F.sum("free").over(rare), F.lit(0))))
     got = got.withColumn("free", free).withColumn("x", F.when(F.col("surplus") > 0, loose).otherwise((F.col("h") == F.col("peak")).cast("long")))
     spot = F.xxhash64("cell")
-    return got.where("x > 0").select("cell", "sa", F.col("x").cast("long").alias("x"), "r", (F.col("surplus") == 0).alias("package"), spot.alias("spot"), F.pmod(spot, F.lit(BUCKETS)).alias("bucket"))
+    return got.where("x > 0").select("cell", "sa", F.col("x").cast("long").alias("x"), "r", (F.col("surplus") == 0).alias("package"), spot.alias("spot"))
 
 
 def drain_bulk(state: DataFrame, residue: Counter, l: int) -> tuple[DataFrame, Counter, int]:
@@ -72,8 +73,9 @@ def drain_bulk(state: DataFrame, residue: Counter, l: int) -> tuple[DataFrame, C
     while not vectors.eligible(residue, l):
         deficit = l * at_start - sum(residue.values())
         offers = persisted(_offers(state, residue, l))
-        if offers.isEmpty():
+        if not (many := offers.count()):
             break
+        offers = offers.withColumn("bucket", F.pmod("spot", F.lit(max(16, many // BUCKET_OFFERS))))
         rounds += 1
         slack = at_start - F.col("r")
         clipped = _running(offers, "x", ["sa"]).withColumn("fit", F.greatest(F.lit(0), F.least("x", slack - F.col("before")))).drop("before")

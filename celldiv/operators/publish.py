@@ -1,4 +1,8 @@
-"""From counts to rows, and from cells to stars."""
+"""From counts to rows, and from cells to stars.
+
+Column names of the input are free, but for those that the results add (in_residue, cell_id, star_mask, box_<qi>): a QI
+of such a name is refused by `shown`.
+"""
 
 from __future__ import annotations
 
@@ -6,20 +10,34 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from celldiv.model import MicrodataSpec
+from celldiv.storage import persisted, small
+
+#: Parts into which the rows of a pair are dealt before any of them is ranked.
+SALTS = 64
 
 
 def pick_rows(df: DataFrame, plan: DataFrame, spec: MicrodataSpec) -> DataFrame:
     """df with in_residue. plan: (cell, sa, h, moved) of pairs that lose rows; other pairs stay whole.
 
-    Only pairs that lose some rows but not all are ranked, by a hash of the row id.
+    Rows of pairs that lose some rows but not all are dealt to SALTS parts by a hash of the row id. Parts go or stay
+    whole by their counts, but for the one in which the pair's quota ends: only its rows are ranked. So a
+    pair that holds a third of all rows is ranked one part of it at most.
     """
-    p = plan.where("moved > 0").select(F.col("cell").alias("__c"), F.col("sa").alias("__s"), "moved", F.col("h").alias("left_h"))
-    joined = df.withColumn("__cell", spec.cell()).join(p, (F.col("__cell") == F.col("__c")) & F.col(spec.sa).eqNullSafe(F.col("__s")), "left")
-    some = F.col("moved").isNotNull() & (F.col("left_h") > 0)
-    order = Window.partitionBy("__cell", spec.sa).orderBy(F.xxhash64(spec.row_id), spec.row_id)
-    whole = joined.where(~some).withColumn("in_residue", F.col("moved").isNotNull())
-    part = joined.where(some).withColumn("in_residue", F.row_number().over(order) <= F.col("moved"))
-    return whole.unionByName(part).drop("__cell", "__c", "__s", "moved", "left_h")
+    p = plan.where("moved > 0").select(F.col("cell").alias("__c"), F.col("sa").alias("__s"), F.col("moved").alias("__moved"), F.col("h").alias("__left"))
+    joined = df.withColumn("__cell", spec.cell()).join(small(p), (F.col("__cell") == F.col("__c")) & F.col(spec.sa).eqNullSafe(F.col("__s")), "left")
+    some = F.col("__moved").isNotNull() & (F.col("__left") > 0)
+    whole = joined.where(~some).withColumn("in_residue", F.col("__moved").isNotNull())
+    part = joined.where(some).withColumn("__salt", F.pmod(F.xxhash64(spec.row_id), F.lit(SALTS)))
+    sizes = part.groupBy("__c", "__s", "__salt").agg(F.count(F.lit(1)).alias("__size"))
+    earlier = Window.partitionBy("__c", "__s").orderBy("__salt").rowsBetween(Window.unboundedPreceding, -1)
+    sizes = sizes.withColumn("__before", F.coalesce(F.sum("__size").over(earlier), F.lit(0))).withColumnsRenamed({"__c": "__c2", "__s": "__s2", "__salt": "__salt2"})
+    dealt = part.join(sizes, (F.col("__c") == F.col("__c2")) & F.col("__s").eqNullSafe(F.col("__s2")) & (F.col("__salt") == F.col("__salt2"))).withColumn("__quota", F.col("__moved") - F.col("__before"))
+    edge = (F.col("__quota") > 0) & (F.col("__quota") < F.col("__size"))
+    order = Window.partitionBy("__c", "__s", "__salt").orderBy(F.xxhash64(spec.row_id, F.lit(1)), spec.row_id)
+    plain = dealt.where(~edge).withColumn("in_residue", F.col("__quota") > 0)
+    ranked = dealt.where(edge).withColumn("in_residue", F.row_number().over(order) <= F.col("__quota"))
+    own = [*df.columns, "in_residue"]
+    return whole.select(own).unionByName(plain.select(own)).unionByName(ranked.select(own))
 
 
 def publish(df: DataFrame, spec: MicrodataSpec, cell_id: str = "cell_id") -> DataFrame:
@@ -30,14 +48,19 @@ def publish(df: DataFrame, spec: MicrodataSpec, cell_id: str = "cell_id") -> Dat
     per = df.groupBy(F.col(cell_id).alias("__id")).agg(F.count(F.lit(1)).alias("__n"), *told)
     differs = {q: ~((F.col(f"n_{q}") == 0) | ((F.col(f"n_{q}") == F.col("__n")) & (F.col(f"lo_{q}") == F.col(f"hi_{q}")))) for q in spec.qi}
     mask = sum((F.when(differs[q], 1 << i).otherwise(0) for i, q in enumerate(spec.qi)), F.lit(0))
-    per = per.select("__id", mask.alias("star_mask"))
-    got = df.join(per, F.col(cell_id) == F.col("__id")).drop("__id")
+    per = persisted(per.select("__id", mask.alias("star_mask")))
+    got = df.join(small(per), F.col(cell_id).eqNullSafe(F.col("__id"))).drop("__id")
     return got.withColumns({q: F.when(F.col("star_mask").bitwiseAND(F.lit(1 << i)) == 0, F.col(q)) for i, q in enumerate(spec.qi)})
 
 
+def kept_rows(split: DataFrame, spec: MicrodataSpec) -> DataFrame:
+    """The rows outside the residue as they are published: no star, the cell's own number."""
+    return split.where(~F.col("in_residue")).select(*spec.qi, spec.sa, spec.row_id, F.xxhash64(spec.cell()).alias("cell_id"), F.lit(0).alias("star_mask"))
+
+
 def publish_residue(df: DataFrame, spec: MicrodataSpec) -> DataFrame:
     """The release of a table split by in_residue: only the residue is aggregated, kept rows carry no star."""
-    kept = df.where(~F.col("in_residue")).select(*spec.qi, spec.sa, spec.row_id, F.xxhash64(spec.cell()).alias("cell_id"), F.lit(0).alias("star_mask"))
+    kept = kept_rows(df, spec)
     gone = publish(df.where("in_residue").withColumn("cell_id", F.lit(0).cast("long")), spec)
     return kept.unionByName(gone.select(*kept.columns))
 
@@ -52,7 +75,10 @@ def render_stars(pub: DataFrame, spec: MicrodataSpec) -> DataFrame:
 
 
 def to_boxes(df: DataFrame, pub: DataFrame, spec: MicrodataSpec, kind: str = "set") -> DataFrame:
-    """Multi-dimensional recoding: each star becomes the sub-domain of the values in its cell (a set, or an interval)."""
+    """Multi-dimensional recoding: each star becomes the sub-domain of the values in its cell (a set, or an interval); a null is no member.
+
+    Row ids must be unique. A box never holds more than the star's whole domain.
+    """
     made = (lambda q: F.array_sort(F.collect_set(q))) if kind == "set" else (lambda q: F.array(F.min(q), F.max(q)))
     raw = df.select(F.col(spec.row_id).alias("__r"), *[F.col(q).alias(f"__{q}") for q in spec.qi])
     cells = pub.select("cell_id", spec.row_id).join(raw, F.col(spec.row_id) == F.col("__r")).groupBy("cell_id").agg(*[made(f"__{q}").alias(f"box_{q}") for q in spec.qi])

@@ -4,15 +4,16 @@ from __future__ import annotations
 
 from collections.abc import Callable
 from dataclasses import dataclass
+from itertools import combinations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from celldiv.functions.measures import star_counts
 from celldiv.model import MicrodataSpec, shown
 from celldiv.operators import curve, drain, vectors
-from celldiv.operators.cells import cell_histogram, require_solution
-from celldiv.operators.publish import pick_rows, publish, publish_residue
+from celldiv.operators.cells import cell_histogram, require_solution, violations
+from celldiv.operators.publish import kept_rows, pick_rows, publish, publish_residue
 from celldiv.operators.trim import trim_cells
 from celldiv.storage import persisted
 
@@ -34,6 +35,9 @@ def tiered_plan(df: DataFrame, spec: MicrodataSpec, l: int, how: str = "auto") -
     bound = l * max(first.values(), default=0)
     report = {"l": l, "d": len(spec.qi), "n": n, "m": m, "phase": phase, "rounds": rounds, "trim_rows": sum(first.values()), "residue_rows": sum(residue.values()), "lower_bound": bound,
               "certificate": {1: "optimal in rows", 2: "optimal in rows plus l - 1", 3: "l times the optimum in rows"}[phase]}
+    # each starred row has a star at least, so these are upper bounds of the true ratios; the gap is l - 1 at most after phase two
+    report |= {"rows_to_bound": report["residue_rows"] / bound if bound else 1.0, "gap": report["residue_rows"] - bound,
+               "trace": [("trim", sum(first.values()), max(first.values(), default=0)), ("end", sum(residue.values()), max(residue.values(), default=0))]}
     if phase == 2 and report["residue_rows"] > bound + l - 1 or phase < 3 and max(residue.values(), default=0) != max(first.values(), default=0):
         raise AssertionError("phase two broke its bound")
     if not vectors.eligible(residue, l):
@@ -51,19 +55,21 @@ def tiered_suppress(df: DataFrame, spec: MicrodataSpec, l: int, how: str = "auto
 def hybrid_suppress(df: DataFrame, spec: MicrodataSpec, l: int, refiner: Callable[[DataFrame, MicrodataSpec, int], DataFrame] | None = None, how: str = "auto") -> Result:
     """Tiered suppression, then the residue alone is split by the refiner (residue -> the same with cell_id)."""
     base = tiered_suppress(df, spec, l, how)
-    split = persisted(base.split)
-    kept = split.where(~F.col("in_residue")).select(*spec.qi, spec.sa, spec.row_id, F.xxhash64(spec.cell()).alias("cell_id"), F.lit(0).alias("star_mask"))
-    gone = split.where("in_residue").drop("in_residue")
+    pub = kept_rows(base.split, spec)
     if base.report["residue_rows"]:
-        cells = (refiner or curve.curve_cells)(gone, spec, l)
-        kept = kept.unionByName(publish(persisted(cells), spec).select(*kept.columns))
-    return Result(kept, split, base.report | {"method": "hybrid"})
+        # only the residue is cut out and kept; rows that stay are read from the table
+        gone = persisted(base.split.where("in_residue").drop("in_residue"))
+        cells = persisted((refiner or curve.curve_cells)(gone, spec, l))
+        if not violations(cells, spec, l).isEmpty():
+            raise ValueError("the refiner made a cell that is not diverse")
+        pub = pub.unionByName(publish(cells, spec).select(*pub.columns))
+    return Result(pub, base.split, base.report | {"method": "hybrid"})
 
 
-def curve_suppress(df: DataFrame, spec: MicrodataSpec, l: int, chunking: str = "stratified") -> Result:
+def curve_suppress(df: DataFrame, spec: MicrodataSpec, l: int, chunking: str = "stratified", chunk_rows: int = curve.CHUNK_ROWS) -> Result:
     rows = shown(df, spec)
     n, m = require_solution(rows, spec, l)
-    cells = persisted(curve.curve_cells(rows, spec, l, chunking))
+    cells = persisted(curve.curve_cells(rows, spec, l, chunking, chunk_rows))
     pub = publish(cells, spec).select(*spec.qi, spec.sa, spec.row_id, "cell_id", "star_mask")
     return Result(pub, cells, {"method": "curve", "l": l, "d": len(spec.qi), "n": n, "m": m, "phase": 0, "rounds": 0})
 
@@ -85,17 +91,16 @@ def sweep_coarsening(df: DataFrame, spec: MicrodataSpec, levels: dict[str, dict]
 def lattice_trim(df: DataFrame, spec: MicrodataSpec, sizes: tuple[int, ...], ls: list[int]) -> DataFrame:
     """(grouping, l, residue_rows, height, done) of phase one for all projections of the sizes and all l in one job.
 
-    The cube is taken over the full-QI histogram, not over rows; grouping has a bit per QI left out.
+    The grouping sets are taken over the full-QI histogram, not over rows; grouping has a bit per QI left out.
     """
     d = len(spec.qi)
     base = df.groupBy(*spec.qi, F.col(spec.sa).alias("sa")).agg(F.count(F.lit(1)).alias("h"))
-    one = base.cube(*spec.qi, "sa").agg(F.sum("h").alias("h"), F.grouping_id().alias("g"))
-    wanted = F.bit_count(F.expr("g div 2")).isin([d - k for k in sizes])
-    cells = one.where((F.col("g") % 2 == 0) & wanted).select(F.struct(F.expr("cast(g div 2 as int)").alias("grouping"), *spec.qi).alias("key"), "sa", "h")
+    # just the projections wanted, each with the sensitive value
+    sets = [[*some, "sa"] for k in sizes for some in combinations(spec.qi, k)]
+    one = base.groupingSets(sets, *spec.qi, "sa").agg(F.sum("h").alias("h"), F.grouping_id().alias("g"))
+    cells = one.select(F.struct(F.expr("cast(g div 2 as int)").alias("grouping"), *spec.qi).alias("key"), "sa", "h")
     all_l = cells.withColumn("l", F.explode(F.array(*[F.lit(x) for x in ls])))
     # l is part of the cell, and the cap of a cell depends on it: the same clipping with l as a column
-    from pyspark.sql import Window
-
     order = Window.partitionBy("key", "l").orderBy(F.desc("h"), "sa")
     whole = Window.partitionBy("key", "l")
     ranked = all_l.withColumns({"j": F.row_number().over(order) - 1, "total": F.sum("h").over(whole), "k": F.count(F.lit(1)).over(whole), "before": F.coalesce(F.sum("h").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))})

@@ -30,7 +30,7 @@ def cap_of(heights: Column, l: int) -> Column:
     total = F.aggregate(heights, F.lit(0).cast("long"), lambda s, x: s + x)
 
     def step(s: Column, x: Column) -> Column:
-        bound = F.when(s["j"] < l, F.floor((total - s["before"]) / (F.lit(l) - s["j"])))
+        bound = F.when(s["j"] < l, F.call_function("div", total - s["before"], F.lit(l) - s["j"]))
         return F.struct((s["j"] + 1).alias("j"), (s["before"] + x).alias("before"), F.least(s["cap"], bound).alias("cap"))
 
     start = F.struct(F.lit(0).alias("j"), F.lit(0).cast("long").alias("before"), F.lit(None).cast("long").alias("cap"))
