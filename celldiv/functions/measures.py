@@ -19,7 +19,7 @@ def star_counts(pub: DataFrame) -> DataFrame:
 def domain_sizes(df: DataFrame, spec: MicrodataSpec, approximate: bool = False) -> DataFrame:
     """(attribute, size): distinct values, nulls as one."""
     count = F.approx_count_distinct if approximate else F.countDistinct
-    row = df.agg(*[(count(c) + F.max(F.col(c).isNull().cast("int"))).alias(c) for c in (*spec.qi, spec.sa)])
+    row = df.agg(*[(count(c) + F.coalesce(F.max(F.col(c).isNull().cast("int")), F.lit(0))).alias(c) for c in (*spec.qi, spec.sa)])
     return row.select(F.explode(F.array(*[F.struct(F.lit(c).alias("attribute"), F.col(c).cast("long").alias("size")) for c in (*spec.qi, spec.sa)])).alias("x")).select("x.*")
 
 
@@ -32,10 +32,10 @@ def kl_divergence(df: DataFrame, pub: DataFrame, spec: MicrodataSpec) -> DataFra
     support = df.groupBy(*spec.qi, F.col(spec.sa).alias("sa")).agg(F.count(F.lit(1)).alias("h"))
     n = support.agg(F.sum("h").alias("n"))
     forms = pub.groupBy("star_mask", *spec.qi, F.col(spec.sa).alias("sa")).agg(F.count(F.lit(1)).alias("c"))
-    masks = sorted(r[0] for r in forms.select("star_mask").distinct().collect())  # at most 2^d numbers
+    masks = sorted(r[0] for r in forms.select("star_mask").distinct().collect()) or [0]  # at most 2^d numbers
     points = support.withColumn("mask", F.explode(F.array(*[F.lit(m) for m in masks])))
     starred = lambda i: F.col("mask").bitwiseAND(F.lit(1 << i)) != 0
-    weight = reduce(lambda a, b: a * b, [F.when(starred(i), 1.0 / sizes[q]).otherwise(1.0) for i, q in enumerate(spec.qi)], F.lit(1.0))
+    weight = reduce(lambda a, b: a * b, [F.when(starred(i), 1.0 / max(sizes[q], 1)).otherwise(1.0) for i, q in enumerate(spec.qi)], F.lit(1.0))
     points = points.select(*spec.qi, "sa", "h", "mask", weight.alias("w"), F.struct(*[F.when(~starred(i), F.col(q)).alias(q) for i, q in enumerate(spec.qi)]).alias("form"))
     forms = forms.select(F.col("star_mask").alias("__m"), F.struct(*spec.qi).alias("__f"), F.col("sa").alias("__s"), "c")
     met = points.join(forms, (F.col("mask") == F.col("__m")) & (F.col("form") == F.col("__f")) & F.col("sa").eqNullSafe(F.col("__s")))
@@ -58,6 +58,51 @@ def kl_recoded(df: DataFrame, spec: MicrodataSpec, cuts: dict[str, dict]) -> Dat
     return got.agg(F.sum(F.col("h") / F.col("n") * F.log(F.col("h") * F.col("w") / F.col("c"))).alias("kl"))
 
 
+def kl_boxes(df: DataFrame, boxes: DataFrame, spec: MicrodataSpec) -> DataFrame:
+    """The same for sub-domain releases (`to_boxes` of kind "set"): a starred value stands evenly for the values of its cell.
+
+    A cell's first starred QI is unrolled to its values, so a support point meets the cells that share its sensitive value, its
+    plain values and that one by equality; the other stars are tested. Boxes hold no null: a null QI value is a plain one.
+    """
+    support = df.groupBy(*spec.qi, F.col(spec.sa).alias("sa")).agg(F.count(F.lit(1)).alias("h"))
+    n = support.agg(F.sum("h").alias("n"))
+    starred = lambda i: F.col("star_mask").bitwiseAND(F.lit(1 << i)) != 0
+    box = [f"box_{q}" for q in spec.qi]
+    forms = boxes.groupBy("cell_id", "star_mask", *spec.qi, *box, F.col(spec.sa).alias("sa")).agg(F.count(F.lit(1)).alias("c"))
+    forms = forms.withColumn("w", reduce(lambda a, b: a / b, [F.when(starred(i), F.greatest(F.size(b), F.lit(1))).otherwise(1) for i, b in enumerate(box)], F.lit(1.0)))
+    masks = sorted(r[0] for r in forms.select("star_mask").distinct().collect())  # at most 2^d numbers
+    found = None
+    for mask in masks:
+        some = [i for i in range(len(spec.qi)) if mask >> i & 1]
+        right = forms.where(F.col("star_mask") == mask)
+        keys = {q: F.col(q) for i, q in enumerate(spec.qi) if i not in some}
+        if some:
+            right = right.withColumn("__first", F.explode_outer(box[some[0]]))
+            keys[spec.qi[some[0]]] = F.col("__first")
+        right = right.select(*[k.alias(f"__{q}") for q, k in keys.items()], *[F.col(box[i]).alias(f"__b{i}") for i in some[1:]], F.col("sa").alias("__s"), "c", "w")
+        on = F.col("sa").eqNullSafe(F.col("__s"))
+        for q in keys:
+            on = on & F.col(q).eqNullSafe(F.col(f"__{q}"))
+        for i in some[1:]:
+            on = on & (F.array_contains(f"__b{i}", F.col(spec.qi[i])) | (F.col(spec.qi[i]).isNull() & (F.size(f"__b{i}") == 0)))
+        part = support.join(right, on).select(*spec.qi, "sa", "h", (F.col("c") * F.col("w")).alias("g"))
+        found = part if found is None else found.unionByName(part)
+    if found is None:
+        found = support.limit(0).withColumn("g", F.lit(0.0))
+    star = found.groupBy(F.struct(*spec.qi).alias("p"), "sa").agg(F.max("h").alias("h"), F.sum("g").alias("g"))
+    return star.crossJoin(F.broadcast(n)).agg(F.coalesce(F.sum(F.col("h") / F.col("n") * F.log(F.col("h") / F.col("g"))), F.lit(0.0)).alias("kl"))
+
+
+def family_average(rows: DataFrame) -> DataFrame:
+    """Figures of runs averaged over their projections, by workload, view, method, l and d."""
+    return rows.groupBy("workload", "view", "method", "l", "d").agg(F.count(F.lit(1)).alias("projections"), *[F.avg(c).alias(c) for c in ("stars", "starred_rows", "kl", "seconds")])
+
+
+def phase_frequency(rows: DataFrame) -> DataFrame:
+    """(view, d, l, phase, tables): in which phase runs ended."""
+    return rows.groupBy("view", "d", "l", "phase").agg(F.count(F.lit(1)).alias("tables"))
+
+
 def cell_sizes(pub: DataFrame) -> DataFrame:
     return pub.groupBy("cell_id").agg(F.count(F.lit(1)).alias("size")).groupBy("size").agg(F.count(F.lit(1)).alias("cells"))
 

@@ -6,7 +6,8 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from celldiv.model import MicrodataSpec
+from celldiv.model import Infeasible, MicrodataSpec
+from celldiv.operators.cells import max_feasible_l
 
 #: Cells of either value that the solver takes; their rows are not bounded.
 PAIR_CELLS = 5_000
@@ -65,9 +66,12 @@ def pair_exact(df: DataFrame, spec: MicrodataSpec) -> DataFrame:
     only by cell and value: their counts are a transportation problem on the driver, and each amount of its
     solution pairs a range of one cell's rows with a range of another's.
     """
+    whole = max_feasible_l(df, spec.sa).first()
+    if whole["n"] and (whole["m"] != 2 or whole["n"] != 2 * whole["top"]):
+        raise Infeasible("pairs want two sensitive values with equal counts")
     order = Window.partitionBy(*spec.qi, spec.sa).orderBy(spec.row_id)
     ranked = df.withColumn("__k", F.row_number().over(order))
-    both = ranked.groupBy(*spec.qi, "__k").agg(F.countDistinct(spec.sa).alias("__b"), F.min(spec.row_id).alias("__first"))
+    both = ranked.groupBy(*spec.qi, "__k").agg(F.count(F.lit(1)).alias("__b"), F.min(spec.row_id).alias("__first"))
     on = F.col("__k") == F.col("__k2")
     for q in spec.qi:
         both = both.withColumnRenamed(q, f"__{q}")
@@ -80,11 +84,9 @@ def pair_exact(df: DataFrame, spec: MicrodataSpec) -> DataFrame:
         raise ValueError("too many cells with unpaired rows for the exact solver")
     if not cells:
         return free
-    names = sorted({r[spec.sa] for r in cells})
+    names = sorted({r[spec.sa] for r in cells}, key=lambda v: (v is not None, v))
     sides = [[r for r in cells if r[spec.sa] == v] for v in names]
     amounts = [np.array([r["__n"] for r in side], np.int64) for side in sides]
-    if len(names) != 2 or amounts[0].sum() != amounts[1].sum():
-        raise ValueError("pairs want two values with equal counts")
     known: list[dict] = [{} for _ in spec.qi]
     codes = [np.array([[known[i].setdefault(r[q], len(known[i])) for i, q in enumerate(spec.qi)] for r in side]) for side in sides]
     cost = sum(2.0 * (codes[0][:, None, i] != codes[1][None, :, i]) for i in range(len(spec.qi)))
@@ -114,12 +116,13 @@ def _codes(sizes: list[int], m: int) -> list[int]:
     return out
 
 
-def matching_to_microdata(spark: SparkSession, points: list[tuple], m: int) -> tuple[DataFrame, MicrodataSpec]:
+def matching_to_microdata(spark: SparkSession, points: list[tuple], m: int, domains: list[list] | None = None) -> tuple[DataFrame, MicrodataSpec]:
     """The hard instance of a matching problem: a row per coordinate value, a QI per point: 0 where the value belongs to the point, else the row's code.
 
-    points of any number of dimensions (three is the hard case for l = 3)."""
+    points of any number of dimensions (three is the hard case for l = 3). domains lists each dimension's values, of which some
+    may be on no point; by default those that points use."""
     arity = len(points[0])
-    values = [sorted({p[k] for p in points}) for k in range(arity)]
+    values = [sorted(d) for d in domains] if domains else [sorted({p[k] for p in points}) for k in range(arity)]
     if not arity <= m <= sum(map(len, values)):
         raise ValueError("m must lie between the number of dimensions and of rows")
     rows, codes, i = [], _codes([len(v) for v in values], m), 0

@@ -19,9 +19,8 @@ SALTS = 64
 def pick_rows(df: DataFrame, plan: DataFrame, spec: MicrodataSpec) -> DataFrame:
     """df with in_residue. plan: (cell, sa, h, moved) of pairs that lose rows; other pairs stay whole.
 
-    Rows of pairs that lose some rows but not all are dealt to SALTS parts by a hash of the row id. Parts go or stay
-    whole by their counts, but for the one in which the pair's quota ends: only its rows are ranked. So a
-    pair that holds a third of all rows is ranked one part of it at most.
+    Rows of pairs that lose some rows but not all are dealt to SALTS parts by a hash of the row id, and ranked in them
+    against what the parts before leave of the pair's quota. So no task ranks all rows of a pair that holds a third of the table.
     """
     p = plan.where("moved > 0").select(F.col("cell").alias("__c"), F.col("sa").alias("__s"), F.col("moved").alias("__moved"), F.col("h").alias("__left"))
     joined = df.withColumn("__cell", spec.cell()).join(small(p), (F.col("__cell") == F.col("__c")) & F.col(spec.sa).eqNullSafe(F.col("__s")), "left")
@@ -32,12 +31,10 @@ def pick_rows(df: DataFrame, plan: DataFrame, spec: MicrodataSpec) -> DataFrame:
     earlier = Window.partitionBy("__c", "__s").orderBy("__salt").rowsBetween(Window.unboundedPreceding, -1)
     sizes = sizes.withColumn("__before", F.coalesce(F.sum("__size").over(earlier), F.lit(0))).withColumnsRenamed({"__c": "__c2", "__s": "__s2", "__salt": "__salt2"})
     dealt = part.join(sizes, (F.col("__c") == F.col("__c2")) & F.col("__s").eqNullSafe(F.col("__s2")) & (F.col("__salt") == F.col("__salt2"))).withColumn("__quota", F.col("__moved") - F.col("__before"))
-    edge = (F.col("__quota") > 0) & (F.col("__quota") < F.col("__size"))
     order = Window.partitionBy("__c", "__s", "__salt").orderBy(F.xxhash64(spec.row_id, F.lit(1)), spec.row_id)
-    plain = dealt.where(~edge).withColumn("in_residue", F.col("__quota") > 0)
-    ranked = dealt.where(edge).withColumn("in_residue", F.row_number().over(order) <= F.col("__quota"))
+    part = dealt.withColumn("in_residue", F.row_number().over(order) <= F.col("__quota"))
     own = [*df.columns, "in_residue"]
-    return whole.select(own).unionByName(plain.select(own)).unionByName(ranked.select(own))
+    return whole.select(own).unionByName(part.select(own))
 
 
 def publish(df: DataFrame, spec: MicrodataSpec, cell_id: str = "cell_id") -> DataFrame:
@@ -58,13 +55,6 @@ def kept_rows(split: DataFrame, spec: MicrodataSpec) -> DataFrame:
     return split.where(~F.col("in_residue")).select(*spec.qi, spec.sa, spec.row_id, F.xxhash64(spec.cell()).alias("cell_id"), F.lit(0).alias("star_mask"))
 
 
-def publish_residue(df: DataFrame, spec: MicrodataSpec) -> DataFrame:
-    """The release of a table split by in_residue: only the residue is aggregated, kept rows carry no star."""
-    kept = kept_rows(df, spec)
-    gone = publish(df.where("in_residue").withColumn("cell_id", F.lit(0).cast("long")), spec)
-    return kept.unionByName(gone.select(*kept.columns))
-
-
 def suppress_all(df: DataFrame, spec: MicrodataSpec) -> DataFrame:
     """One cell: the trivial release."""
     return publish(df.withColumn("cell_id", F.lit(0).cast("long")), spec)

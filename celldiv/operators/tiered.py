@@ -13,7 +13,7 @@ from celldiv.functions.measures import star_counts
 from celldiv.model import MicrodataSpec, shown
 from celldiv.operators import curve, drain, vectors
 from celldiv.operators.cells import cell_histogram, require_solution, violations
-from celldiv.operators.publish import kept_rows, pick_rows, publish, publish_residue
+from celldiv.operators.publish import kept_rows, pick_rows, publish, suppress_all
 from celldiv.operators.trim import trim_cells
 from celldiv.storage import persisted
 
@@ -45,25 +45,32 @@ def tiered_plan(df: DataFrame, spec: MicrodataSpec, l: int, how: str = "auto") -
     return state, report
 
 
-def tiered_suppress(df: DataFrame, spec: MicrodataSpec, l: int, how: str = "auto") -> Result:
+def tiered_split(df: DataFrame, spec: MicrodataSpec, l: int, how: str = "auto") -> tuple[DataFrame, DataFrame, dict]:
+    """The rows with in_residue; the residue alone, cut out and kept; the report. Rows that stay are read from the table."""
     rows = shown(df, spec)
     state, report = tiered_plan(rows, spec, l, how)
     split = pick_rows(rows, state, spec)
-    return Result(publish_residue(split, spec), split, report | {"method": "tiered"})
+    return split, persisted(split.where("in_residue").drop("in_residue")), report
+
+
+def tiered_suppress(df: DataFrame, spec: MicrodataSpec, l: int, how: str = "auto") -> Result:
+    split, residue, report = tiered_split(df, spec, l, how)
+    pub = kept_rows(split, spec)
+    if report["residue_rows"]:
+        pub = pub.unionByName(suppress_all(residue, spec).select(*pub.columns))
+    return Result(pub, split, report | {"method": "tiered"})
 
 
 def hybrid_suppress(df: DataFrame, spec: MicrodataSpec, l: int, refiner: Callable[[DataFrame, MicrodataSpec, int], DataFrame] | None = None, how: str = "auto") -> Result:
-    """Tiered suppression, then the residue alone is split by the refiner (residue -> the same with cell_id)."""
-    base = tiered_suppress(df, spec, l, how)
-    pub = kept_rows(base.split, spec)
-    if base.report["residue_rows"]:
-        # only the residue is cut out and kept; rows that stay are read from the table
-        gone = persisted(base.split.where("in_residue").drop("in_residue"))
-        cells = persisted((refiner or curve.curve_cells)(gone, spec, l))
+    """Tiered suppression, then the residue alone is split by the refiner (residue -> the same with cell_id, diverse)."""
+    split, residue, report = tiered_split(df, spec, l, how)
+    pub = kept_rows(split, spec)
+    if report["residue_rows"]:
+        cells = persisted((refiner or curve.curve_cells)(residue, spec, l))
         if not violations(cells, spec, l).isEmpty():
             raise ValueError("the refiner made a cell that is not diverse")
         pub = pub.unionByName(publish(cells, spec).select(*pub.columns))
-    return Result(pub, base.split, base.report | {"method": "hybrid"})
+    return Result(pub, split, report | {"method": "hybrid"})
 
 
 def curve_suppress(df: DataFrame, spec: MicrodataSpec, l: int, chunking: str = "stratified", chunk_rows: int = curve.CHUNK_ROWS) -> Result:

@@ -59,11 +59,6 @@ def run_stars_by_d(spark, sf_dir, l=6, ds=range(1, 8), most=None):
     return figures(spark, sf_dir, "stars_by_d", [(v, q, m, l, 6) for v in VIEWS for d in ds for q in projections(views.WIDE, d, most) for m in METHODS])
 
 
-def averaged(rows: DataFrame) -> DataFrame:
-    """The family's figures, averaged over its projections."""
-    return rows.groupBy("workload", "view", "method", "l", "d").agg(F.count(F.lit(1)).alias("projections"), *[F.avg(c).alias(c) for c in ("stars", "starred_rows", "kl")])
-
-
 def run_phases(spark, sf_dir, ls=range(2, 11), ds=range(1, 8)):
     """(view, grouping, l, residue_rows, height, done, phase): phase one of all projections at once; those not done are taken through the others.
 

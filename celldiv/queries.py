@@ -404,7 +404,7 @@ def coarsening_sweep(spark, sf):
 
 
 def stars_by_l(spark, sf):
-    return workloads.averaged(workloads.run_stars_by_l(spark, sf))
+    return measures.family_average(workloads.run_stars_by_l(spark, sf))
 
 
 def phase_lattice(spark, sf):
