@@ -115,17 +115,10 @@ def adversary_confidence(spark, sf):
     return cells.adversary_confidence(raw, spec, "visible").agg(F.round(F.max("confidence"), 6).alias("worst"), F.round(F.avg("confidence"), 6).alias("mean"))
 
 
-@query(f"""WITH v AS ({_V4}), k AS (SELECT 'p' || row_id AS person, o_orderstatus, order_year, c_mktsegment, r_name FROM v WHERE row_id <= 40)
-SELECT person, v.o_orderpriority AS sa, count(*) AS rows FROM k JOIN v USING (o_orderstatus, order_year, c_mktsegment, r_name) GROUP BY ALL""")
-def linking_candidates(spark, sf):
-    df, spec = views.order_microdata(spark, sf)
-    known = df.where("row_id <= 40").select(F.concat(F.lit("p"), F.col("row_id").cast("string")).alias("person"), *spec.qi)
-    return cells.linking_attack(df.withColumn("star_mask", F.lit(0)), known, spec)
-
-
 @query(f"""WITH v AS ({_V4}), h AS (SELECT o_orderstatus, order_year, c_mktsegment, r_name, o_orderpriority AS sa, count(*) AS rows FROM v GROUP BY ALL)
 SELECT 'p' || row_id AS person, sa, rows FROM v JOIN h USING (o_orderstatus, order_year, c_mktsegment, r_name)""")
-def linking_candidates_all(spark, sf):
+def linking_candidates(spark, sf):
+    """Every order is attacked."""
     df, spec = views.order_microdata(spark, sf)
     known = df.select(F.concat(F.lit("p"), F.col("row_id").cast("string")).alias("person"), *spec.qi)
     return cells.linking_attack(df.withColumn("star_mask", F.lit(0)), known, spec)
@@ -191,6 +184,23 @@ def trim_lattice(spark, sf):
     return _longs(tiered.lattice_trim(df, spec, (1,), [2, 6]), "grouping", "l", "residue_rows", "height")
 
 
+def _residue_sql(qi: tuple[str, ...]) -> str:
+    """One row: the residue's rows and, per QI, whether it is starred there. The rows that go are interchangeable, so both are unique where phase one ends."""
+    return "gone AS (SELECT * FROM trimmed WHERE moved > 0), k AS (SELECT coalesce(sum(moved), 0) AS n_gone, " + ", ".join(f"count(DISTINCT {q}) > 1 AS s_{q}" for q in qi) + " FROM gone)"
+
+
+@query(f"""WITH {_trim_sql(_V1, Q4, 'l_quantity', 6)}, {_residue_sql(Q4)}, u AS (SELECT DISTINCT {', '.join(Q4)} FROM v),
+m AS (SELECT u.ship_month, u.l_linestatus, u.tax, u.discount, g.sa, sum(g.moved) AS rows FROM u, k JOIN gone g ON true WHERE {' AND '.join(f'(s_{q} OR u.{q} = g.{q})' for q in Q4)} GROUP BY ALL
+  UNION ALL SELECT ship_month, l_linestatus, tax, discount, sa, kept FROM trimmed WHERE kept > 0)
+SELECT concat_ws('-', ship_month, l_linestatus, tax, discount) AS person, sa, CAST(sum(rows) AS BIGINT) AS rows FROM m GROUP BY ALL""")
+def linking_starred(spark, sf):
+    """What an intruder who knows a QI tuple finds in the tiered release: its own rows and the starred ones that may be meant."""
+    df, spec = views.quantity_microdata(spark, sf, Q4)
+    pub = persisted(tiered.tiered_suppress(df, spec, 6).published)
+    known = df.select(*Q4).distinct().withColumn("person", F.concat_ws("-", *Q4))
+    return _longs(cells.linking_attack(pub, known, spec), "sa", "rows")
+
+
 # ---- phases two and three --------------------------------------------------------------------
 
 def _drain_facts(spark, sf, how):
@@ -230,53 +240,75 @@ def overhaul_fixtures(spark, sf):
 
 # ---- releases --------------------------------------------------------------------------------
 
-def _checked(got: tiered.Result, spec, l: int) -> DataFrame:
-    pub = persisted(got.published)
-    strict, seen = cells.violations(pub, spec, l).count(), cells.violations(pub, spec, l, "visible").count()
-    d = len(spec.qi)
-    facts = measures.star_counts(pub)
-    return facts.select("n", F.lit(strict).cast("long").alias("strict_violations"), F.lit(seen).cast("long").alias("visible_violations"), (F.col("stars") <= d * F.col("starred_rows")).alias("stars_within_d"), (F.col("stars") >= F.col("starred_rows")).alias("a_star_per_row"))
+def _broken(pub: DataFrame, spec, l: int) -> int:
+    return cells.violations(pub, spec, l).count() + cells.violations(pub, spec, l, "visible").count()
 
 
-_CHECKED = "SELECT count(*) AS n, 0::BIGINT AS strict_violations, 0::BIGINT AS visible_violations, true AS stars_within_d, true AS a_star_per_row FROM {}"
+#: Views and l at which phase one ends the method, so that rows, stars and starred rows of the release are unique.
+UNIQUE = [("quantity", Q4, "l_quantity", 6), ("quantity", Q4, "l_quantity", 10), ("size", Q4, "p_size", 6), ("quantity", Q3, "l_quantity", 2)]
 
 
-@query(_CHECKED.format("events"))
+def _unique_sql() -> str:
+    out = []
+    for name, qi, sa, l in UNIQUE:
+        starred = " + ".join(f"s_{q}::INT" for q in qi)
+        out.append(f"""(WITH {_trim_sql(_V1, qi, sa, l)}, {_residue_sql(qi)} SELECT '{name}' AS view, CAST({len(qi)} AS BIGINT) AS d, CAST({l} AS BIGINT) AS l, (SELECT count(*) FROM v) AS n,
+  CAST(n_gone * ({starred}) AS BIGINT) AS stars, CAST(CASE WHEN {starred} > 0 THEN n_gone ELSE 0 END AS BIGINT) AS starred_rows, 0::BIGINT AS broken FROM k)""")
+    return " UNION ALL ".join(out)
+
+
+@query(_unique_sql())
 def tiered_release(spark, sf):
-    df, spec = views.event_microdata(spark, sf, E3)
-    return _checked(tiered.tiered_suppress(df, spec, 3), spec, 3)
+    out = []
+    for name, qi, _, l in UNIQUE:
+        df, spec = workloads.VIEWS[name](spark, sf, qi)
+        pub = persisted(tiered.tiered_suppress(df, spec, l).published)
+        out.append((name, len(qi), l, *measures.star_counts(pub).first(), _broken(pub, spec, l)))
+    return spark.createDataFrame(out, "view string, d long, l long, n long, stars long, starred_rows long, broken long")
 
 
-@query(_CHECKED.format("events"))
+@query(f"""WITH {_trim_sql(_V1, Q4, 'l_quantity', 6)}, {_residue_sql(Q4)}
+SELECT sa, CAST(sum(kept) AS BIGINT) AS kept, CAST(sum(moved) AS BIGINT) AS refined, (SELECT CAST(n_gone * ({' + '.join(f's_{q}::INT' for q in Q4)}) AS BIGINT) FROM k) AS stars_before, true AS not_more, 0::BIGINT AS broken FROM trimmed GROUP BY sa""")
 def hybrid_release(spark, sf):
-    df, spec = views.event_microdata(spark, sf, E3)
-    return _checked(tiered.hybrid_suppress(df, spec, 3), spec, 3)
+    """Rows that stay in their cells and rows of refined cells by sensitive value; stars against those of the tiered release."""
+    df, spec = views.quantity_microdata(spark, sf, Q4)
+    got = tiered.hybrid_suppress(df, spec, 6)
+    pub = persisted(got.published)
+    own = F.col("cell_id") == F.xxhash64(spec.cell())
+    before = measures.star_counts(tiered.tiered_suppress(df, spec, 6).published).first()["stars"]
+    after = measures.star_counts(pub).first()["stars"]
+    per = pub.groupBy(F.col(spec.sa).cast("long").alias("sa")).agg(F.count_if(own).alias("kept"), F.count_if(~own).alias("refined"))
+    return per.withColumns({"stars_before": F.lit(before), "not_more": F.lit(after <= before), "broken": F.lit(_broken(pub, spec, 6)).cast("long")})
 
 
-@query(_CHECKED.format("lineitem"))
-def hybrid_release_quantity(spark, sf):
-    df, spec = views.quantity_microdata(spark, sf, Q4)
-    return _checked(tiered.hybrid_suppress(df, spec, 6), spec, 6)
+_RATES = """WITH r AS (SELECT 'tax' AS kind, CAST(round(l_tax * 100) AS BIGINT) AS rate FROM lineitem UNION ALL SELECT 'discount', CAST(round(l_discount * 100) AS BIGINT) FROM lineitem)"""
+_CURVE_SQL = f"""{_RATES}, o AS (SELECT kind, rate, row_number() OVER (PARTITION BY kind ORDER BY rate) AS spot FROM r),
+p AS (SELECT a.rate <> b.rate AS starred FROM o a JOIN o b USING (spot) WHERE a.kind = 'tax' AND b.kind = 'discount')
+SELECT CAST(2 * count(*) AS BIGINT) AS n, CAST(2 * count_if(starred) AS BIGINT) AS stars, CAST(2 * count_if(starred) AS BIGINT) AS starred_rows, 0::BIGINT AS broken FROM p"""
 
 
-@query(_CHECKED.format("lineitem"))
+@query(_CURVE_SQL)
 def curve_release(spark, sf):
-    df, spec = views.quantity_microdata(spark, sf, Q4)
-    return _checked(tiered.curve_suppress(df, spec, 6), spec, 6)
+    """On one QI the curve is its order, and with l = m = 2 equally frequent values cells pair equal ranks, whatever the chunks."""
+    df, spec = views.rate_microdata(spark, sf)
+    pub = persisted(tiered.curve_suppress(df, spec, 2, chunk_rows=2_500).published)
+    return measures.star_counts(pub).withColumn("broken", F.lit(_broken(pub, spec, 2)).cast("long"))
 
 
-@query(_CHECKED.format("lineitem"))
+@query(_CURVE_SQL)
 def curve_release_range(spark, sf):
+    """One range chunk holds all rows here; tests hold several against their rules."""
+    df, spec = views.rate_microdata(spark, sf)
+    pub = persisted(tiered.curve_suppress(df, spec, 2, "range", chunk_rows=10_000_000).published)
+    return measures.star_counts(pub).withColumn("broken", F.lit(_broken(pub, spec, 2)).cast("long"))
+
+
+def curve_release_wide(spark, sf):
     df, spec = views.quantity_microdata(spark, sf, Q4)
-    return _checked(tiered.curve_suppress(df, spec, 6, "range"), spec, 6)
+    return measures.star_counts(tiered.curve_suppress(df, spec, 6).published)
 
 
-@query(f"""WITH {_trim_sql(_V1, Q3, 'l_quantity', 2)}, gone AS (SELECT * FROM trimmed WHERE moved > 0), k AS (SELECT sum(moved) AS n, count(DISTINCT l_linestatus) AS a, count(DISTINCT tax) AS b, count(DISTINCT p_type) AS c FROM gone)
-SELECT CAST((SELECT count(*) FROM v) AS BIGINT) AS n, CAST(coalesce(n * ((a > 1)::INT + (b > 1)::INT + (c > 1)::INT), 0) AS BIGINT) AS stars, CAST(CASE WHEN a > 1 OR b > 1 OR c > 1 THEN n ELSE 0 END AS BIGINT) AS starred_rows FROM k""")
-def published_stars(spark, sf):
-    """Phase one ends here, so the stars are unique."""
-    df, spec = views.quantity_microdata(spark, sf, Q3)
-    return _longs(measures.star_counts(tiered.tiered_suppress(df, spec, 2).published), "n", "stars", "starred_rows")
+QUERIES["curve_release_wide"] = curve_release_wide
 
 
 @query(f"WITH v AS ({_V3}) SELECT value_band, count(*) AS n FROM v GROUP BY ALL")
@@ -291,14 +323,6 @@ def full_suppression(spark, sf):
     return measures.star_counts(publish.suppress_all(df, spec))
 
 
-@query("SELECT true AS hybrid_within_tiered")
-def hybrid_never_worse(spark, sf):
-    df, spec = views.quantity_microdata(spark, sf, Q4)
-    a = measures.star_counts(tiered.tiered_suppress(df, spec, 6).published).first()["stars"]
-    b = measures.star_counts(tiered.hybrid_suppress(df, spec, 6).published).first()["stars"]
-    return spark.createDataFrame([(b <= a,)], "hybrid_within_tiered boolean")
-
-
 @query("SELECT count(*) AS n, count(*) AS covered FROM events")
 def boxes_cover(spark, sf):
     df, spec = views.event_microdata(spark, sf, E3)
@@ -312,10 +336,14 @@ def boxes_cover(spark, sf):
 
 # ---- baselines, exact cases, measures ---------------------------------------------------------
 
-@query("SELECT x, y, CAST(p AS BIGINT) AS position FROM (VALUES (0::BIGINT,0::BIGINT,0),(0,1,1),(1,1,2),(1,0,3)) AS t(x, y, p)")
+@query("""WITH RECURSIVE c AS (SELECT 0 AS k, 0::BIGINT AS x, 0::BIGINT AS y, 0::BIGINT AS p UNION ALL
+  SELECT k + 1, CASE q WHEN 0 THEN y WHEN 1 THEN x WHEN 2 THEN x + s ELSE 2 * s - 1 - y END, CASE q WHEN 0 THEN x WHEN 1 THEN y + s WHEN 2 THEN y + s ELSE s - 1 - x END, p + q * s * s
+  FROM (SELECT k, x, y, p, CAST(1 << k AS BIGINT) AS s, unnest([0, 1, 2, 3]) AS q FROM c WHERE k < 4))
+SELECT x, y, CAST(p AS BIGINT) AS position FROM c WHERE k = 4""")
 def hilbert_square(spark, sf):
-    grid = spark.createDataFrame([(x, y) for x in range(2) for y in range(2)], "x long, y long")
-    return grid.withColumn("position", hilbert_index([F.col("x"), F.col("y")], 1))
+    """The plane's curve on a 16 by 16 grid; the SQL builds it from four turned copies of the half as wide one."""
+    grid = spark.range(16).withColumnRenamed("id", "x").join(F.broadcast(spark.range(16).withColumnRenamed("id", "y")))
+    return grid.withColumn("position", hilbert_index([F.col("x"), F.col("y")], 4))
 
 
 def hilbert_positions(spark, sf):
@@ -326,19 +354,46 @@ def hilbert_positions(spark, sf):
 QUERIES["hilbert_positions"] = hilbert_positions
 
 
-@query("SELECT 0::BIGINT AS violations, count(*) AS n FROM events")
+def _cut_sql(fits: str) -> str:
+    """The cut of one ordered QI: a range of its values is halved if both halves fit; with one QI the order of refinements does not matter."""
+    return f"""WITH RECURSIVE v AS ({_V3}), vals AS (SELECT dom, row_number() OVER (ORDER BY dom) - 1 AS r FROM (SELECT DISTINCT dom FROM v)),
+h AS (SELECT r, dom, value_band AS sa, count(*) AS c FROM v JOIN vals USING (dom) GROUP BY ALL),
+tree AS (SELECT 0::BIGINT AS lo, (SELECT count(*) FROM vals) AS hi UNION ALL SELECT CASE s WHEN 0 THEN lo ELSE lo + (hi - lo) // 2 END, CASE s WHEN 0 THEN lo + (hi - lo) // 2 ELSE hi END FROM (SELECT lo, hi, unnest([0, 1]) AS s FROM tree WHERE hi - lo > 1)),
+heights AS (SELECT lo, hi, sa, sum(c) AS h FROM tree JOIN h ON r >= lo AND r < hi GROUP BY ALL),
+good AS (SELECT lo, hi FROM heights GROUP BY lo, hi HAVING {fits}),
+split AS (SELECT lo, hi FROM tree t WHERE hi - lo > 1 AND (lo, lo + (hi - lo) // 2) IN (SELECT (lo, hi) FROM good) AND (lo + (hi - lo) // 2, hi) IN (SELECT (lo, hi) FROM good)),
+reached AS (SELECT lo, hi FROM tree WHERE lo = 0 AND hi = (SELECT count(*) FROM vals) UNION ALL SELECT CASE s WHEN 0 THEN lo ELSE lo + (hi - lo) // 2 END, CASE s WHEN 0 THEN lo + (hi - lo) // 2 ELSE hi END FROM (SELECT lo, hi, unnest([0, 1]) AS s FROM reached JOIN split USING (lo, hi)))
+SELECT min(dom) AS first, max(dom) AS last, CAST(sum(c) AS BIGINT) AS rows FROM reached JOIN h ON r >= lo AND r < hi WHERE (lo, hi) NOT IN (SELECT (lo, hi) FROM split) GROUP BY lo, hi"""
+
+
+def _cut(spark, sf, **test) -> DataFrame:
+    df, spec = views.event_microdata(spark, sf, ("dom",))
+    node = specialize.recode(df.withColumn("day", F.col("dom").cast("long")), spec, specialize.top_down(df, spec, specialize.default_taxonomies(df, spec), **test))
+    return node.groupBy("dom").agg(F.min("day").alias("first"), F.max("day").alias("last"), F.count(F.lit(1)).alias("rows")).drop("dom")
+
+
+@query(_cut_sql("sum(h) >= 3 * max(h)"))
 def top_down_release(spark, sf):
-    df, spec = views.event_microdata(spark, sf, E3)
-    cuts = specialize.top_down(df, spec, specialize.default_taxonomies(df, spec), l=2)
-    pub = specialize.recode(df, spec, cuts).withColumn("star_mask", F.lit(0))
-    return spark.createDataFrame([(cells.violations(pub, spec, 2, "visible").count(), pub.count())], "violations long, n long")
+    return _cut(spark, sf, l=3)
 
 
-@query("SELECT 0::BIGINT AS violations")
+@query(_cut_sql("sum(h) >= 500"))
 def top_down_k_anonymity(spark, sf):
-    df, spec = views.event_microdata(spark, sf, E3)
-    cuts = specialize.top_down(df, spec, specialize.default_taxonomies(df, spec), k=25)
-    return cells.k_anonymity_violations(specialize.recode(df, spec, cuts), spec.qi, 25).agg(F.count(F.lit(1)).alias("violations"))
+    return _cut(spark, sf, k=500)
+
+
+def top_down_wide(spark, sf):
+    """The cut of three QIs: how many values each keeps, by either score."""
+    df, spec = views.quantity_microdata(spark, sf, ("ship_month", "l_linestatus", "tax"))
+    trees, out = specialize.default_taxonomies(df, spec), []
+    for score in ("gain", "gain_per_loss"):
+        cuts = specialize.top_down(df, spec, trees, l=6, score=score)
+        pub = specialize.recode(df, spec, cuts).withColumn("star_mask", F.lit(0))
+        out += [(score, q, len({n for n, _ in c.values()}), cells.violations(pub, spec, 6, "visible").count()) for q, c in cuts.items()]
+    return spark.createDataFrame(out, "score string, qi string, nodes long, violations long")
+
+
+QUERIES["top_down_wide"] = top_down_wide
 
 
 @query(f"""WITH v AS ({_V3}), s AS (SELECT event_type, day_part, dow, value_band AS sa, count(*) AS h FROM v GROUP BY ALL), k AS (SELECT count(DISTINCT event_type) * count(DISTINCT day_part) * count(DISTINCT dow) AS c, count(*) AS n FROM v),
@@ -348,13 +403,18 @@ def kl_full_suppression(spark, sf):
     return measures.kl_divergence(df, publish.suppress_all(df, spec), spec).select(F.round("kl", 6).alias("kl"))
 
 
-@query("SELECT true AS hybrid_below_top_down, true AS boxes_of_measure")
-def kl_hybrid_below_top_down(spark, sf):
-    df, spec = views.quantity_microdata(spark, sf, Q3)
+@query(f"""WITH {_trim_sql(_V1, Q4, 'l_quantity', 6)}, {_residue_sql(Q4)}, n AS (SELECT count(*) AS n, {', '.join(f'count(DISTINCT {q}) AS a_{q}' for q in Q4)} FROM v),
+w AS (SELECT {' * '.join(f'(CASE WHEN s_{q} THEN 1.0 / a_{q} ELSE 1.0 END)' for q in Q4)} AS w FROM k, n),
+s AS (SELECT t.ship_month, t.l_linestatus, t.tax, t.discount, t.sa, t.h, t.kept, coalesce(sum(g.moved), 0) AS met FROM trimmed t CROSS JOIN k LEFT JOIN gone g ON g.sa = t.sa AND {' AND '.join(f'(s_{q} OR t.{q} = g.{q})' for q in Q4)} GROUP BY ALL)
+SELECT round(sum(h / n * ln(h / (kept + met * w))), 6) AS kl_tiered, true AS hybrid_not_above, true AS boxes_not_above FROM s, w, n""")
+def kl_releases(spark, sf):
+    """KL of the tiered release by its exact value, and the orders hybrid <= tiered and boxes <= stars."""
+    df, spec = views.quantity_microdata(spark, sf, Q4)
+    df = persisted(df)
+    tier = measures.kl_divergence(df, persisted(tiered.tiered_suppress(df, spec, 6).published), spec).first()["kl"]
     pub = persisted(tiered.hybrid_suppress(df, spec, 6).published)
-    a = measures.kl_divergence(df, pub, spec).first()["kl"]
-    b = measures.kl_recoded(df, spec, specialize.top_down(df, spec, specialize.default_taxonomies(df, spec), l=6)).first()["kl"]
-    return spark.createDataFrame([(a <= b + 1e-9, a >= -1e-9)], "hybrid_below_top_down boolean, boxes_of_measure boolean")
+    hybrid, boxes = measures.kl_divergence(df, pub, spec).first()["kl"], measures.kl_boxes(df, publish.to_boxes(df, pub, spec), spec).first()["kl"]
+    return spark.createDataFrame([(round(tier, 6), hybrid <= tier + 1e-9, boxes <= hybrid + 1e-9)], "kl_tiered double, hybrid_not_above boolean, boxes_not_above boolean")
 
 
 @query(f"WITH v AS ({_V1}) " + " UNION ALL ".join(f"SELECT '{q}' AS attribute, count(DISTINCT {q}) AS size FROM v" for q in (*views.WIDE, "l_quantity")))
@@ -369,12 +429,27 @@ def two_value_balance(spark, sf):
     return df.groupBy(spec.sa).agg(F.count(F.lit(1)).alias("c")).agg(F.sum("c").alias("n"), (F.min("c") == F.max("c")).alias("balanced"))
 
 
+@query(f"""{_RATES}, c AS (SELECT rate, count_if(kind = 'tax') AS a, count_if(kind = 'discount') AS b FROM r GROUP BY rate)
+SELECT CAST(sum(a + b) AS BIGINT) AS n, CAST(2 * sum(a - least(a, b)) AS BIGINT) AS stars, CAST(2 * sum(a - least(a, b)) AS BIGINT) AS starred_rows FROM c""")
 def pair_release(spark, sf):
+    """On one QI the optimum is known: rows of equal rates pair, every other pair costs two stars."""
+    df, spec = views.rate_microdata(spark, sf)
+    return measures.star_counts(publish.publish(persisted(exact.pair_exact(persisted(df), spec)), spec))
+
+
+def pair_release_wide(spark, sf):
     df, spec = views.two_value_microdata(spark, sf)
     return measures.star_counts(publish.publish(persisted(exact.pair_exact(persisted(df), spec)), spec))
 
 
-QUERIES["pair_release"] = pair_release
+QUERIES["pair_release_wide"] = pair_release_wide
+
+
+@query("SELECT * FROM (VALUES ('orders', 5::BIGINT, (SELECT count(*) >= 5 * max(c) FROM (SELECT o_orderpriority, count(*) OVER (PARTITION BY o_orderpriority) AS c FROM orders))), ('lines', 3::BIGINT, (SELECT count(*) >= 3 * max(c) FROM (SELECT count(*) OVER (PARTITION BY l_returnflag) AS c FROM lineitem)))) AS t(view, l, feasible)")
+def infeasible_views(spark, sf):
+    orders, line = views.order_microdata(spark, sf)[0], views.table(spark, sf, "lineitem")
+    rows = [("orders", 5, cells.is_eligible(orders, "o_orderpriority", 5)), ("lines", 3, cells.is_eligible(line, "l_returnflag", 3))]
+    return spark.createDataFrame(rows, "view string, l long, feasible boolean")
 
 
 @query("SELECT 'a' || i AS qi, 3::BIGINT AS zeros, 4::BIGINT AS alphabet FROM range(3) t(i)")

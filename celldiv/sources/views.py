@@ -54,14 +54,30 @@ def order_microdata(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, Microd
     return got.select("o_orderstatus", F.year("o_orderdate").alias("order_year"), "c_mktsegment", "r_name", "o_orderpriority", F.col("o_orderkey").alias("row_id")), MicrodataSpec(qi, "o_orderpriority")
 
 
-def two_value_microdata(spark: SparkSession, sf_dir: str, limit: int | None = None) -> tuple[DataFrame, MicrodataSpec]:
-    """Equal numbers of rows of the two line states, of least hash; limit is a sampling feature for exact solvers."""
+def two_value_microdata(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, MicrodataSpec]:
+    """Equal numbers of rows of the two line states: all of the rarer one, as many of the other, of least hash.
+
+    How many of the other's hashes lie below a border is counted by its leading bits, so only the rows at the border are ranked.
+    """
     line = table(spark, sf_dir, "lineitem").select(
         "l_returnflag", F.round(F.col("l_tax") * 100).cast("int").alias("tax"), F.round(F.col("l_discount") * 100).cast("int").alias("discount"), "l_linestatus",
         F.xxhash64("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey").alias("row_id"))
+    line = line.withColumn("lead", F.shiftright("row_id", 48))  # 65,536 shares
     least = line.groupBy("l_linestatus").count().agg(F.min("count")).first()[0] or 0
-    rank = F.row_number().over(Window.partitionBy("l_linestatus").orderBy("row_id"))
-    return line.withColumn("k", rank).where(F.col("k") <= min(least, limit or least)).drop("k"), MicrodataSpec(("l_returnflag", "tax", "discount"), "l_linestatus")
+    sizes = line.groupBy(F.col("l_linestatus").alias("s"), F.col("lead").alias("b")).agg(F.count(F.lit(1)).alias("c"))
+    before = Window.partitionBy("s").orderBy("b").rowsBetween(Window.unboundedPreceding, -1)
+    sizes = sizes.withColumn("quota", least - F.coalesce(F.sum("c").over(before), F.lit(0))).where("quota > 0")
+    rank = F.row_number().over(Window.partitionBy("l_linestatus", "lead").orderBy("row_id"))
+    met = line.join(F.broadcast(sizes), (F.col("l_linestatus") == F.col("s")) & (F.col("lead") == F.col("b"))).withColumn("k", rank).where("k <= quota")
+    return met.select("l_returnflag", "tax", "discount", "l_linestatus", "row_id"), MicrodataSpec(("l_returnflag", "tax", "discount"), "l_linestatus")
+
+
+def rate_microdata(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, MicrodataSpec]:
+    """Two rows a line, its tax and its discount as one rate: two sensitive values with equal counts by construction."""
+    line = table(spark, sf_dir, "lineitem")
+    key = ("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
+    sides = [line.select(F.round(F.col(c) * 100).cast("int").alias("rate"), F.lit(c[2:]).alias("kind"), F.xxhash64(F.lit(c), *key).alias("row_id")) for c in ("l_tax", "l_discount")]
+    return sides[0].unionByName(sides[1]), MicrodataSpec(("rate",), "kind")
 
 
 def labelled_documents(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, MicrodataSpec]:
