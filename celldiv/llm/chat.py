@@ -7,9 +7,13 @@ parts commute it can be summed by blocks, so one endless conversation is not one
 Conversations whose full hash is a proper prefix hash of another go (anti-join); of equal ones the
 smallest conv_id stays.
 
+Only hashes of the texts travel until it is known what stays. Texts then travel once, by conversation; those of a
+conversation of more than `long_rows` rows travel by turn, and again by part.
+
 Defined results: equal rows are one turn; turns are ordered by (turn, role, text), nulls first, and
 a null differs from an empty text; a null conv_id is a conversation of its own; extra columns are
-dropped. Of every kept conversation the parts of `part_turns` turns are rendered, one row each.
+dropped. Of every kept conversation the parts of `part_turns` turns are rendered, one row each. Turns without a number, or with
+equal ones, are ordered in one task per conversation, by their hashes and roles (texts only where role and number are equal).
 """
 
 from __future__ import annotations
@@ -17,59 +21,95 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from celldiv.llm.common import persisted
+from celldiv.llm.common import persisted, small
 
 #: Fixed marks around a rendered turn.
 OPEN, MIDDLE, CLOSE = "<|im_start|>", "\n", "<|im_end|>\n"
+#: Rows of a conversation from which it is dealt to several tasks.
+LONG_ROWS = 4_096
+#: Conversations in a list that is broadcast.
+BROADCAST_ROWS = 1_000_000
+CONV, BLOCK = ["c", "none"], ["c", "none", "block"]
+TURN = [*BLOCK, "turn", "role", "t1", "t2"]
+
+
+def _keyed(turns: DataFrame, block_turns: int) -> DataFrame:
+    """Turns with non-null keys: the conversation (c, none), its block of turn numbers, and two hashes of role and text."""
+    shown = [x for v in ("role", "text") for x in (F.col(v).isNull(), F.col(v))]
+    block = F.coalesce(F.floor(F.col("turn").cast("long") / block_turns), F.lit(-(1 << 62)))  # turns without a number come first
+    return turns.select(
+        F.coalesce("conv_id", F.lit(0)).alias("c"), F.col("conv_id").isNull().alias("none"), block.cast("long").alias("block"), F.col("turn").cast("long").alias("turn"), "role", "text",
+        F.xxhash64(F.lit("a"), *shown).alias("t1"), F.xxhash64(F.lit("b"), *reversed(shown)).alias("t2"))
 
 
-def _hashes(*values: Column) -> tuple[Column, Column]:
-    shown = [x for v in values for x in (v.isNull(), v)]
-    return F.xxhash64(F.lit("a"), *shown), F.xxhash64(F.lit("b"), *reversed(shown))
+def _order(*last: str) -> list[Column]:
+    return [F.col(c).asc_nulls_first() for c in ("turn", "role", *last)]
 
 
 def placed_turns(turns: DataFrame, block_turns: int = 256) -> DataFrame:
-    """Distinct turns with their place in the conversation and the rolling hashes up to it."""
-    one = persisted(turns.select("conv_id", "turn", "role", "text").distinct())
-    one = one.withColumn("block", F.floor(F.coalesce("turn", F.lit(0)) / block_turns))
-    inside = Window.partitionBy("conv_id", "block").orderBy(F.col("turn").asc_nulls_first(), F.col("role").asc_nulls_first(), F.col("text").asc_nulls_first())
-    one = one.withColumn("rank", F.row_number().over(inside))
-    sizes = one.groupBy("conv_id", "block").agg(F.count(F.lit(1)).alias("size"))
-    before = Window.partitionBy("conv_id").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
-    sizes = sizes.select("conv_id", "block", F.coalesce(F.sum("size").over(before), F.lit(0)).alias("skipped"))
-    placed = _again(one, sizes).withColumn("place", F.col("rank") + F.col("skipped"))
-    a, b = _hashes(F.col("place"), F.col("role"), F.col("text"))
-    placed = placed.withColumns({"a": a, "b": b})
-    sums = placed.groupBy("conv_id", "block").agg(F.bit_xor("a").alias("a"), F.bit_xor("b").alias("b"))
-    sums = sums.select("conv_id", "block", *[F.coalesce(F.bit_xor(c).over(before), F.lit(0).cast("long")).alias(f"{c}0") for c in "ab"])
-    rolling = Window.partitionBy("conv_id", "block").orderBy("place").rowsBetween(Window.unboundedPreceding, 0)
-    rolled = _again(placed, sums).withColumns({f"h{c}": F.bit_xor(c).over(rolling).bitwiseXOR(F.col(f"{c}0")) for c in "ab"})
-    return rolled.select("conv_id", "turn", "role", "text", "place", "ha", "hb")
-
-
-def _again(left: DataFrame, right: DataFrame) -> DataFrame:
-    """Join on conv_id and block where a null conv_id meets itself."""
-    r = right.withColumnsRenamed({"conv_id": "__c", "block": "__b"})
-    return left.join(r, F.col("conv_id").eqNullSafe(F.col("__c")) & (F.col("block") == F.col("__b"))).drop("__c", "__b")
+    """Distinct turns without texts: their place in the conversation, the rolling hashes up to it, the conversation's turns and rows."""
+    keyed = _keyed(turns, block_turns)
+    same = Window.partitionBy(*BLOCK, "turn", "role")
+    one = keyed.groupBy(*TURN).agg(F.count(F.lit(1)).alias("copies")).withColumn("alike", F.count(F.lit(1)).over(same))
+    one = persisted(one.withColumn("tie", F.lit(None).cast("string")))
+    if not (open_ := one.where("alike > 1")).isEmpty():  # turns that only their texts put in order
+        wanted = open_.select(*[F.col(c).alias(f"__{c}") for c in TURN])
+        on = F.lit(True)
+        for c in TURN:
+            on = on & F.col(c).eqNullSafe(F.col(f"__{c}"))
+        texts = keyed.join(small(wanted, BROADCAST_ROWS // 10), on).groupBy(*TURN, "__c").agg(F.any_value("text").alias("tie"))
+        one = one.where("alike = 1").unionByName(_met(open_.drop("tie"), texts.select(*TURN, "tie")))
+    inside = Window.partitionBy(*BLOCK)
+    one = one.select(*TURN, "copies", F.row_number().over(inside.orderBy(*_order("tie"), "t1", "t2")).alias("rank"))
+    earlier = Window.partitionBy(*CONV).orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
+    sizes = one.groupBy(*BLOCK).agg(F.count(F.lit(1)).alias("size"), F.sum("copies").alias("copies"))
+    sizes = sizes.select(*BLOCK, F.coalesce(F.sum("size").over(earlier), F.lit(0)).alias("skipped"), *[F.sum(x).over(Window.partitionBy(*CONV)).alias(y) for x, y in (("size", "n_turns"), ("copies", "n_rows"))])
+    placed = one.drop("copies").join(sizes, BLOCK).withColumn("place", F.col("rank") + F.col("skipped")).drop("rank", "skipped")
+    placed = placed.withColumns({"a": F.xxhash64(F.lit("a"), "place", "t1"), "b": F.xxhash64("t2", "place", F.lit("b"))})
+    sums = placed.groupBy(*BLOCK).agg(F.bit_xor("a").alias("a"), F.bit_xor("b").alias("b"))
+    sums = sums.select(*BLOCK, *[F.coalesce(F.bit_xor(x).over(earlier), F.lit(0).cast("long")).alias(f"{x}0") for x in "ab"])
+    rolling = inside.orderBy("place").rowsBetween(Window.unboundedPreceding, 0)
+    rolled = placed.join(sums, BLOCK).withColumns({f"h{x}": F.bit_xor(x).over(rolling).bitwiseXOR(F.col(f"{x}0")) for x in "ab"})
+    return rolled.select(*TURN, "place", "ha", "hb", "n_turns", "n_rows")
+
+
+def _met(left: DataFrame, right: DataFrame) -> DataFrame:
+    """Join on the keys of a turn; nulls meet."""
+    r = right.select(*[F.col(c).alias(f"__{c}") for c in TURN], *[c for c in right.columns if c not in TURN])
+    on = F.lit(True)
+    for c in TURN:
+        on = on & (F.col(c).eqNullSafe(F.col(f"__{c}")) if c in ("turn", "role") else F.col(c) == F.col(f"__{c}"))
+    return left.join(r, on).drop(*[f"__{c}" for c in TURN])
 
 
 def maximal(placed: DataFrame) -> DataFrame:
-    """(conv_id, n_turns, n_copies): the conversations that no other one continues."""
-    ends = placed.groupBy("conv_id").agg(F.max_by(F.struct("place", "ha", "hb"), "place").alias("end"))
-    ends = ends.select("conv_id", F.col("end.place").alias("n_turns"), F.col("end.ha").alias("ha"), F.col("end.hb").alias("hb"))
-    full = ends.groupBy("n_turns", "ha", "hb").agg(F.min("conv_id").alias("conv_id"), F.count(F.lit(1)).alias("n_copies"))
-    # a turn is followed by another iff its place is below its conversation's length
-    known = ends.select(F.col("conv_id").alias("__c"), F.col("n_turns").alias("__n"))
-    inner = placed.select("conv_id", "place", "ha", "hb").join(known, F.col("conv_id").eqNullSafe(F.col("__c")))
-    inner = inner.where("place < __n").select(F.col("place").alias("n_turns"), "ha", "hb").distinct()
-    return full.join(inner, ["n_turns", "ha", "hb"], "left_anti").select("conv_id", "n_turns", "n_copies")
-
-
-def collapse(turns: DataFrame, block_turns: int = 256) -> DataFrame:
+    """(conv_id, n_turns, n_copies, n_rows): the conversations that no other one continues."""
+    own = F.when(~F.col("none"), F.col("c"))
+    ends = placed.where("place = n_turns").groupBy("n_turns", "ha", "hb")
+    full = ends.agg(F.min(F.struct(F.col("none").alias("last"), own.alias("conv_id"), "n_rows")).alias("x"), F.count(F.lit(1)).alias("n_copies"))
+    inner = placed.where("place < n_turns").select(F.col("place").alias("n_turns"), "ha", "hb").distinct()
+    return full.join(inner, ["n_turns", "ha", "hb"], "left_anti").select("x.conv_id", "n_turns", "n_copies", "x.n_rows")
+
+
+def collapse(turns: DataFrame, block_turns: int = 256, long_rows: int = LONG_ROWS) -> DataFrame:
     """The turns of maximal conversations: conv_id, place, role, text, n_turns, n_copies."""
     placed = persisted(placed_turns(turns, block_turns))
-    kept = maximal(placed).withColumnRenamed("conv_id", "__c")
-    return placed.join(kept, F.col("conv_id").eqNullSafe(F.col("__c"))).select("conv_id", "place", "role", "text", "n_turns", "n_copies")
+    kept = persisted(maximal(placed).select(F.coalesce("conv_id", F.lit(0)).alias("c"), F.col("conv_id").isNull().alias("none"), "n_turns", "n_copies", "n_rows"))
+    keyed = _keyed(turns, block_turns)
+    shown = [F.when(~F.col("none"), F.col("c")).alias("conv_id"), "place", "role", "text", "n_turns", "n_copies"]
+    # a conversation of few rows: all in one place, where distinct turns are numbered once more
+    few = keyed.select(*CONV, "turn", "role", "text").join(kept.where(F.col("n_rows") <= long_rows).drop("n_rows"), CONV)
+    order = Window.partitionBy(*CONV).orderBy(*_order("text"))
+    before = lambda x: F.lag(x).over(order)
+    again = (F.row_number().over(order) > 1) & before("turn").eqNullSafe(F.col("turn")) & before("role").eqNullSafe(F.col("role")) & before("text").eqNullSafe(F.col("text"))
+    few = few.withColumn("again", again).where(~F.col("again")).withColumn("place", F.row_number().over(order))
+    long = kept.where(F.col("n_rows") > long_rows).drop("n_rows")
+    if long.isEmpty():
+        return few.select(*shown)
+    long = small(long, BROADCAST_ROWS)
+    texts = keyed.join(long.select(*CONV), CONV, "left_semi").groupBy(*TURN).agg(F.any_value("text").alias("text"))
+    many = _met(texts, placed.select(*TURN, "place").join(long, CONV))
+    return few.select(*shown).unionByName(many.select(*shown))
 
 
 def render(kept: DataFrame, part_turns: int = 256) -> DataFrame:

@@ -53,6 +53,20 @@ def test_chat_blocks_do_not_matter(spark):
     assert chat.render(chat.collapse(turns), 100).count() == 7
 
 
+def test_chat_order_and_long_conversations(spark):
+    """Numbers below zero, no numbers, equal numbers, repeated rows; a conversation is dealt by turn or kept together alike."""
+    rows = [(1, -5, "u", "minus"), (1, None, "u", "none"), (1, 0, "u", "b"), (1, 0, "u", "a"), (1, 0, None, "z"), (1, 0, "u", None), (1, 300, "u", "last"), (1, 300, "u", "last")]
+    rows += [(2, None, "u", "none"), (2, -5, "u", "minus"), (3, None, "u", "other")] + [(4, t // 2, "u", f"t{t // 2}") for t in range(1200)]
+    turns = spark.createDataFrame(rows, "conv_id long, turn long, role string, text string").repartition(3)
+    want = ["none", "minus", "z", None, "a", "b", "last"]
+    for long_rows in (3, 10**6):
+        for size in (4, 1000):
+            got = chat.collapse(turns, size, long_rows).collect()
+            assert [r["text"] for r in sorted((r for r in got if r["conv_id"] == 1), key=lambda r: r["place"])] == want
+            assert sorted((r["place"], r["text"]) for r in got if r["conv_id"] == 4) == [(t + 1, f"t{t}") for t in range(600)]
+            assert {r["conv_id"] for r in got} == {1, 3, 4}
+
+
 # 2 packing ---------------------------------------------------------------------------------------
 
 def least_bins(sizes, capacity):
