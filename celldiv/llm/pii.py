@@ -5,8 +5,10 @@ address in lower case, a number's digits, a name's capitals), so mentions of one
 stay one entity. The table of distinct entities is given surrogates from a keyed hash, attempt by
 attempt: a surrogate that another entity has, or that is itself an entity of the corpus, is
 refused and its entity tries again with more room, so distinct entities stay distinct, however many. Each mention is then
-written in its own format: digits for digits, letters for letters of the same script and case, names of
-the gender that the title shows, valid check digits where there was one.
+written in its own format: digits for digits, letters for letters of the same script and case, valid check digits where
+there were. Names are replaced word by word, given names by ones of the gender that the title shows, so their number of
+words, hyphens and case stay, and a person named in part or in full stays one. In a text that names people after
+titles, their words are mentions wherever else they stand in it; words that no title of the text precedes are not found.
 
 Everything is built-in expressions. The lists of mentions of a text, not the texts, are what is
 joined; equal lists are worked once.
@@ -63,9 +65,17 @@ GIVEN = {
     ("latin", "m"): ("Adam", "David", "Felix", "Jonas", "Lukas", "Martin", "Paul", "Simon"),
     ("cyrillic", "f"): ("Анна", "Вера", "Елена", "Ирина", "Мария", "Нина", "Ольга", "Софья"),
     ("cyrillic", "m"): ("Антон", "Борис", "Иван", "Лев", "Марк", "Олег", "Павел", "Юрий"),
+    ("greek", "f"): ("Άννα", "Ελένη", "Ειρήνη", "Ιωάννα", "Κατερίνα", "Μαρία", "Σοφία", "Χριστίνα"),
+    ("greek", "m"): ("Αλέξης", "Ανδρέας", "Γιάννης", "Δημήτρης", "Κώστας", "Μάρκος", "Νίκος", "Πέτρος"),
 }
 SYLLABLES = {"latin": ("ba", "den", "kor", "la", "mi", "nor", "ris", "sel", "ta", "ven", "wil", "zan", "ho", "gar", "fel", "dor"),
-             "cyrillic": ("ба", "ден", "кор", "ла", "ми", "нор", "рис", "сел", "та", "вен", "вил", "зан", "хо", "гар", "фел", "дор")}
+             "cyrillic": ("ба", "ден", "кор", "ла", "ми", "нор", "рис", "сел", "та", "вен", "вил", "зан", "хо", "гар", "фел", "дор"),
+             "greek": ("βα", "δεν", "κορ", "λα", "μι", "νορ", "ρισ", "σελ", "τα", "βεν", "βιλ", "ζαν", "χο", "γαρ", "φελ", "δορ")}
+#: Endings of made-up given names, and of family names after a title, by script and gender; n is neither.
+ENDINGS = {"latin": {"f": "a", "m": "us", "n": ""}, "cyrillic": {"f": "а", "m": "", "n": ""}, "greek": {"f": "α", "m": "ος", "n": ""}}
+FAMILY_ENDINGS = {"latin": {"f": "", "m": "", "n": ""}, "cyrillic": {"f": "ова", "m": "ов", "n": "ов"}, "greek": {"f": "ου", "m": "ης", "n": "ης"}}
+#: A word of a name; what stands between words (spaces, hyphens) is kept.
+NAME_WORD = r"[\p{L}'’]+"
 
 
 def _has_any(text: Column, words: tuple[str, ...]) -> Column:
@@ -82,25 +92,60 @@ def gate(text: Column) -> Column:
     return text.rlike("[0-9@]") | _has_any(text, CUES)
 
 
+def _titled_names(text: Column) -> Column:
+    return F.regexp_extract_all(text, F.lit(rf"\b(?:{TITLES})\.?[ \x{{A0}}]{_NAME}(?: {_NAME}){{0,2}}"), F.lit(0))
+
+
+def _untitled(title_and_name: Column) -> Column:
+    return F.regexp_replace(title_and_name, rf"^(?:{TITLES})\.?[ \x{{A0}}]", "")
+
+
+def pattern_of(text: Column) -> Column:
+    """The pattern for one text: where it names people after titles, their words count as mentions wherever else they stand."""
+    words = F.array_distinct(F.flatten(F.transform(_titled_names(text), lambda t: F.regexp_extract_all(_untitled(t), F.lit(NAME_WORD), F.lit(0)))))
+    long = F.filter(words, lambda w: F.char_length(w) > 2)
+    # as they are written, and with only the first letter or all letters large
+    forms = F.array_distinct(F.flatten(F.transform(long, lambda w: F.array(w, F.initcap(w), F.upper(w)))))
+    other = lambda some: F.concat(F.lit(PATTERN[:-1] + r"|(?:"), F.array_join(some, "|"), F.lit(rf")(?![\p{{L}}\p{{N}}'’])(?:[ \-](?:"), F.array_join(some, "|"), F.lit(r")(?![\p{L}\p{N}'’]))*)"))
+    return F.when(titled(text), let(forms, lambda some: F.when(F.size(some) > 0, other(some)).otherwise(F.lit(PATTERN)))).otherwise(F.lit(PATTERN))
+
+
 def has_mention(text: Column) -> Column:
     """Stops at the first mention; false for null. Filters use it so that only texts with mentions are extracted from."""
     return F.coalesce(gate(text) & text.rlike(PATTERN), F.lit(False))
 
 
-def _all(text: Column) -> Column:
-    """The mentions, never null: a nullable list would be extracted once more, to be tested, wherever it is a join's key."""
-    return F.coalesce(F.regexp_extract_all(text, F.lit(PATTERN), F.lit(0)), F.array().cast("array<string>"))
+def _cut(text: Column, titles: bool) -> Column:
+    """The mentions of a text, never null, and what stands between them."""
+    both = lambda p: F.struct(F.coalesce(F.regexp_extract_all(text, p, F.lit(0)), F.array().cast("array<string>")).alias("m"), F.split(text, p, -1).alias("rest"))
+    return let(pattern_of(text), both) if titles else both(F.lit(PATTERN))
+
+
+def cut_texts(docs: DataFrame, text: str, *others: str) -> DataFrame:
+    """The named columns, m (mentions) and rest of texts that have a mention. Few texts hold titles: only they get patterns of their own."""
+    hit, t = docs.where(has_mention(F.col(text))), F.col(text)
+    parts = [hit.where(cond).select(*others, _cut(t, titles).alias("__x")) for titles, cond in ((True, titled(t)), (False, ~titled(t)))]
+    return parts[0].unionByName(parts[1]).select(*others, F.col("__x.m").alias("__m"), F.col("__x.rest").alias("__rest"))
 
 
 def mention_lists(docs: DataFrame, text: str) -> DataFrame:
     """old: the distinct lists of mentions, kept. Texts are read once for both the entities and their replacement."""
-    return persisted(docs.where(has_mention(F.col(text))).select(_all(F.col(text)).alias("old")).distinct())
+    return persisted(cut_texts(docs, text).select(F.col("__m").alias("old")).distinct())
+
+
+def parts_of(mention: Column, kind: Column) -> Column:
+    """A name's words, each an entity (so a person named in part or in full stays one), with what stands before and after; other mentions whole."""
+    words = F.regexp_extract_all(mention, F.lit(NAME_WORD), F.lit(0))
+    gaps = F.split(mention, NAME_WORD, -1)
+    cut = let(F.struct(words.alias("w"), gaps.alias("g")), lambda x: F.transform(x["w"], lambda w, i: F.struct(
+        w.alias("part"), F.get(x["g"], i).alias("before"), F.when(i == F.size(x["w"]) - 1, F.get(x["g"], i + 1)).otherwise(F.lit("")).alias("after"))))
+    return F.when(kind == "name", cut).otherwise(F.array(F.struct(mention.alias("part"), F.lit("").alias("before"), F.lit("").alias("after"))))
 
 
 def kind_of(mention: Column) -> Column:
     """The first type that matches the whole mention; what only its surroundings told are secrets and names."""
     out = F.lit("secret")
-    bare = {"name": rf"^{_NAME}(?: {_NAME}){{0,2}}$"} | {k: f"^(?:{PATTERNS[k]})$" for k in ("account", "iban", "ssn", "phone", "ip", "email")}
+    bare = {"name": rf"^{_NAME}(?:[ \-]{_NAME})*$"} | {k: f"^(?:{PATTERNS[k]})$" for k in ("account", "iban", "ssn", "phone", "ip", "email")}
     for kind, pattern in bare.items():
         out = F.when(mention.rlike(pattern), F.lit(kind)).otherwise(out)
     return F.when(mention.rlike(r"^AKIA[0-9A-Z]{16}$"), F.lit("secret")).otherwise(out)
@@ -154,6 +199,17 @@ def luhn_sum(digits: Column) -> Column:
     return F.aggregate(right, F.lit(0), add)
 
 
+def iban_rest(iban: Column) -> Column:
+    """The check number of an IBAN: the remainder by 97 of its digits, letters as 10 to 35, from the fifth character on, the first four last."""
+    turned = F.concat(F.substr(iban, F.lit(5), F.char_length(iban)), F.substring(iban, 1, 4))
+
+    def add(s: Column, c: Column) -> Column:
+        v = F.when(c.rlike("[0-9]"), c.cast("int")).otherwise(F.ascii(c) - 55)
+        return F.pmod(s * F.when(v > 9, 100).otherwise(10) + v, F.lit(97))
+
+    return F.aggregate(F.filter(F.split(turned, ""), lambda c: c != ""), F.lit(0), add)
+
+
 def _surrogate(kind: Column, form: Column, hint: Column, key: str, attempt: int) -> Column:
     """The canonical form of the replacement. The keyed digits are made once, not for each character."""
     return let(_stream(key, kind, form, attempt), lambda stream: _made(kind, form, hint, stream, attempt))
@@ -173,19 +229,21 @@ def _made(kind: Column, form: Column, hint: Column, stream: Column, attempt: int
     local = F.substr(form, F.lit(1), at - 1)
     tld = F.element_at(F.array(F.lit("com"), F.lit("net"), F.lit("org")), F.pmod(F.conv(F.substring(stream, 121, 2), 16, 10).cast("int"), F.lit(3)) + 1)
     email = F.concat(_shaped(F.concat(local, F.lit("0" * more)), stream, F.lit(False)), F.lit("@"), F.substring(stream, 101, 8), F.lit(".example."), tld)
-    script = F.when(form.rlike(r"\p{IsCyrillic}"), F.lit("cyrillic")).otherwise(F.lit("latin"))
-    given, family = F.lit(None).cast("string"), F.lit(None).cast("string")
-    for s in ("latin", "cyrillic"):
-        both = GIVEN[s, "f"] + GIVEN[s, "m"]
-        one = F.when(hint == "f", _pick(stream, 1, GIVEN[s, "f"])).when(hint == "m", _pick(stream, 1, GIVEN[s, "m"])).otherwise(_pick(stream, 1, both))
-        given = F.when(script == s, one).otherwise(given)
-        ending = F.when((script == "cyrillic") & (hint == "f"), "ова").when(script == "cyrillic", "ов").otherwise("")
-        family = F.when(script == s, F.concat(F.initcap(F.concat(*[_pick(stream, p, SYLLABLES[s]) for p in range(5, min(5 + 4 * (4 + attempt), 126), 4)])), ending)).otherwise(family)
-    name = F.when(F.instr(form, " ") > 0, F.concat(given, F.lit(" "), family)).otherwise(family)
+    script = F.when(form.rlike(r"\p{IsCyrillic}"), F.lit("cyrillic")).when(form.rlike(r"\p{IsGreek}"), F.lit("greek")).otherwise(F.lit("latin"))
+    # hint: gender, and whether the word is a given name; the first attempts take common given names, later ones make some up
+    gender, name = F.substring(hint, 1, 1), F.lit(None).cast("string")
+    for s in SYLLABLES:
+        made = F.initcap(F.concat(*[_pick(stream, p, SYLLABLES[s]) for p in range(5, min(5 + 4 * (3 + attempt), 126), 4)]))
+        ends = lambda some: F.when(gender == "f", some["f"]).when(gender == "m", some["m"]).otherwise(some["n"])  # noqa: E731, B023
+        common = F.when(gender == "f", _pick(stream, 1, GIVEN[s, "f"])).when(gender == "m", _pick(stream, 1, GIVEN[s, "m"])).otherwise(_pick(stream, 1, GIVEN[s, "f"] + GIVEN[s, "m"]))
+        given = common if attempt < 2 else F.concat(made, ends(ENDINGS[s]))
+        name = F.when(script == s, F.when(F.substring(hint, 2, 1) == "g", given).otherwise(F.concat(made, ends(FAMILY_ENDINGS[s])))).otherwise(name)
     is_hex = form.rlike("^[0-9a-fA-F]+$") & form.rlike("[0-9]")
     secret = F.when(form.startswith("AKIA"), F.concat(F.lit("AKIA"), _shaped(F.substr(long, F.lit(5), F.char_length(long)), stream, F.lit(False)))).otherwise(_shaped(long, stream, is_hex))
     # a country's IBAN and a phone's digits keep their first characters: the type and the length stay
-    iban = F.concat(F.substring(form, 1, 2), _shaped(F.substr(long, F.lit(3), F.char_length(long)), stream, F.lit(False)))
+    plain = F.concat(F.substring(form, 1, 2), _shaped(F.substr(long, F.lit(3), F.char_length(long)), stream, F.lit(False)))
+    # valid check digits where there were
+    iban = let(plain, lambda i: F.when(iban_rest(form) == 1, F.concat(F.substring(i, 1, 2), F.lpad((98 - iban_rest(F.concat(F.substring(i, 1, 2), F.lit("00"), F.substr(i, F.lit(5), F.char_length(i))))).cast("string"), 2, "0"), F.substr(i, F.lit(5), F.char_length(i)))).otherwise(i))
     return (F.when(kind == "account", card).when(kind == "ip", ip).when(kind == "email", email).when(kind == "name", name)
             .when(kind == "iban", iban).when(kind == "secret", secret).otherwise(digits))
 
@@ -202,21 +260,26 @@ def _written(kind: Column, mention: Column, new: Column) -> Column:
 
 
 def _gender(text: Column) -> Column:
-    """Mentions of names, in canonical form, with the gender of the title before them."""
-    titled = F.regexp_extract_all(text, F.lit(rf"\b(?:{TITLES})\.?[ \x{{A0}}]{_NAME}(?: {_NAME}){{0,2}}"), F.lit(0))
-    return F.transform(titled, lambda t: F.struct(
-        canonical(F.lit("name"), F.regexp_replace(t, rf"^(?:{TITLES})\.?[ \x{{A0}}]", "")).alias("name"),
-        F.when(t.rlike(rf"^(?:{_any_case(FEMALE)})\b"), "f").when(t.rlike(rf"^(?:{_any_case(MALE)})\b"), "m").otherwise("n").alias("hint")))
+    """The words of titled names, in canonical form: the gender of the title, and whether the word is a given name (not the last one)."""
+    def words(t: Column) -> Column:
+        gender = F.when(t.rlike(rf"^(?:{_any_case(FEMALE)})\b"), "f").when(t.rlike(rf"^(?:{_any_case(MALE)})\b"), "m").otherwise("n")
+        return let(F.regexp_extract_all(_untitled(t), F.lit(NAME_WORD), F.lit(0)), lambda w: F.transform(w, lambda x, i: F.struct(
+            canonical(F.lit("name"), x).alias("name"), gender.alias("gender"), (i < F.size(w) - 1).alias("given"))))
+
+    return F.flatten(F.transform(_titled_names(text), words))
 
 
 def entities(docs: DataFrame, key: str, text: str = "text", lists: DataFrame | None = None) -> DataFrame:
     """kind, form, surrogate: the distinct entities of the corpus and their distinct replacements."""
     lists = mention_lists(docs, text) if lists is None else lists
     found = lists.select(F.explode("old").alias("m")).distinct()
-    found = found.select(kind_of(F.col("m")).alias("kind"), "m").select("kind", canonical(F.col("kind"), F.col("m")).alias("form")).distinct()
-    hints = docs.where(titled(F.col(text))).select(F.explode(_gender(F.col(text))).alias("g"))
-    hints = hints.groupBy(F.col("g.name").alias("form")).agg(F.min("g.hint").alias("hint"))
-    pending = persisted(found.join(hints, "form", "left").select("kind", "form", F.when(F.col("kind") == "name", F.coalesce("hint", F.lit("n"))).otherwise("n").alias("hint")))
+    found = found.select(kind_of(F.col("m")).alias("kind"), "m").select("kind", F.explode(parts_of(F.col("m"), F.col("kind"))).alias("x"))
+    found = found.select("kind", canonical(F.col("kind"), F.col("x.part")).alias("form")).distinct()
+    hints = docs.where(titled(F.col(text))).select(F.explode(_gender(F.col(text))).alias("g")).groupBy(F.col("g.name").alias("form"))
+    # a word that titles of both genders precede is neither; one that ever stands before another is a given name
+    sole = lambda x: F.bool_or(F.col("g.gender") == x)
+    hints = hints.agg(F.concat(F.when(sole("f") & ~sole("m"), "f").when(sole("m") & ~sole("f"), "m").otherwise("n"), F.when(F.bool_or("g.given"), "g").otherwise("f")).alias("hint"))
+    pending = persisted(found.join(hints, "form", "left").select("kind", "form", F.when(F.col("kind") == "name", F.coalesce("hint", F.lit("nf"))).otherwise("nf").alias("hint")))
     every = pending.select("kind", F.col("form").alias("surrogate"))
     settled = None
     for attempt in count():  # ends: each attempt has more room than the last
@@ -236,13 +299,15 @@ def replace(docs: DataFrame, key: str, text: str = "text") -> DataFrame:
     lists = mention_lists(docs, text)
     table = entities(docs, key, text, lists=lists)
     each = lists.select("old", F.posexplode("old").alias("at", "m"))
-    each = each.select("old", "at", "m", kind_of(F.col("m")).alias("kind")).withColumn("form", canonical(F.col("kind"), F.col("m")))
-    new = each.join(table, ["kind", "form"]).select("old", F.struct("at", _written(F.col("kind"), F.col("m"), F.col("surrogate")).alias("new")).alias("x"))
-    swaps = new.groupBy("old").agg(F.array_sort(F.collect_list("x")).alias("x")).select(F.col("old").alias("__old"), F.col("x.new").alias("__new"))
+    each = each.select("old", "at", kind_of(F.col("m")).alias("kind"), "m").select("old", "at", "kind", F.posexplode(parts_of(F.col("m"), F.col("kind"))).alias("j", "x"))
+    each = each.withColumn("form", canonical(F.col("kind"), F.col("x.part")))
+    new = each.join(table, ["kind", "form"]).select("old", F.struct("at", "j", F.concat("x.before", _written(F.col("kind"), F.col("x.part"), F.col("surrogate")), "x.after").alias("new")).alias("x"))
+    lists_ = new.groupBy("old").agg(F.array_sort(F.collect_list("x")).alias("x"))
+    whole = F.transform(F.sequence(F.lit(0), F.size("old") - 1), lambda i: F.array_join(F.transform(F.filter("x", lambda p: p["at"] == i), lambda p: p["new"]), ""))
+    swaps = lists_.select(F.col("old").alias("__old"), whole.alias("__new"))
     others = [c for c in docs.columns if c not in (text, "n_entities")]
     plain = docs.where(~has_mention(F.col(text))).select(*others, text, F.lit(0).cast("long").alias("n_entities"))
-    hit = docs.where(has_mention(F.col(text))).withColumn("__m", _all(F.col(text))).join(swaps, F.col("__m") == F.col("__old"))
-    rest = F.split(F.col(text), PATTERN, -1)
-    rewritten = let(rest, lambda r: F.array_join(F.transform(r, lambda part, i: F.concat(part, F.coalesce(F.get(F.col("__new"), i), F.lit("")))), ""))
+    hit = cut_texts(docs, text, *others).join(swaps, F.col("__m") == F.col("__old"))
+    rewritten = F.array_join(F.transform("__rest", lambda part, i: F.concat(part, F.coalesce(F.get(F.col("__new"), i), F.lit("")))), "")
     hit = hit.select(*others, rewritten.alias(text), F.size("__m").cast("long").alias("n_entities"))
     return plain.unionByName(hit)
