@@ -3,7 +3,11 @@
 from __future__ import annotations
 
 import itertools
+import json
+import os
+import time
 from collections.abc import Iterable
+from concurrent.futures import ThreadPoolExecutor
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -25,30 +29,59 @@ def projections(qi: tuple[str, ...], d: int, most: int | None = None) -> list[tu
     return every if not most or most >= len(every) else [every[i * len(every) // most] for i in range(most)]
 
 
+def figure(spark: SparkSession, sf_dir: str, workload: str, case: tuple, with_kl: bool = False) -> tuple | None:
+    """One row of figures; None where no release is feasible. case: (view, projection, method, l, share of six)."""
+    view, qi, method, l, share = case
+    df, spec = VIEWS[view](spark, sf_dir, qi)
+    df = persisted(views.sample(df, spec, share) if share < 6 else df)
+    kl, stars, starred, phase = None, None, None, None
+    start = time.time()
+    try:
+        if method == "top_down":
+            cuts = specialize.top_down(df, spec, specialize.default_taxonomies(df, spec), l=l)
+            seconds, n = time.time() - start, df.count()
+            kl = float(measures.kl_recoded(df, spec, cuts).first()[0]) if with_kl else None
+        else:
+            got = METHODS[method](df, spec, l)
+            pub = persisted(got.published)
+            seconds, (n, stars, starred), phase = time.time() - start, measures.star_counts(pub).first(), got.report["phase"]
+            kl = float(measures.kl_divergence(df, pub, spec).first()[0]) if with_kl else None
+    except Infeasible:
+        return None
+    return workload, view, "+".join(qi), method, l, len(qi), n, stars, starred, phase, kl, round(seconds, 3)
+
+
 def figures(spark: SparkSession, sf_dir: str, workload: str, cases: Iterable[tuple], with_kl: bool = False) -> DataFrame:
-    """cases: (view, projection, method, l, share of six)."""
-    rows = []
-    for view, qi, method, l, share in cases:
-        df, spec = VIEWS[view](spark, sf_dir, qi)
-        df = persisted(views.sample(df, spec, share) if share < 6 else df)
-        kl = None
-        import time
-
-        start = time.time()
-        try:
-            if method == "top_down":
-                cuts = specialize.top_down(df, spec, specialize.default_taxonomies(df, spec), l=l)
-                seconds, stars, starred, n, phase = time.time() - start, None, None, df.count(), None
-                kl = float(measures.kl_recoded(df, spec, cuts).first()[0]) if with_kl else None
-            else:
-                got = METHODS[method](df, spec, l)
-                pub = persisted(got.published)
-                seconds, (n, stars, starred), phase = time.time() - start, measures.star_counts(pub).first(), got.report["phase"]
-                kl = float(measures.kl_divergence(df, pub, spec).first()[0]) if with_kl else None
-        except Infeasible:
-            continue
-        rows.append((workload, view, "+".join(qi), method, l, len(qi), n, stars, starred, phase, kl, round(seconds, 3)))
-    return spark.createDataFrame(rows, FIGURES)
+    made = (figure(spark, sf_dir, workload, case, with_kl) for case in cases)
+    return spark.createDataFrame([r for r in made if r], FIGURES)
+
+
+def resumed(spark: SparkSession, sf_dir: str, workload: str, cases: Iterable[tuple], path: str, with_kl: bool = False, workers: int = 1, until: float = float("inf")) -> int:
+    """The same, row by row into a file of JSON lines; cases that the file has are not run again. Returns the cases left when `until` came.
+
+    Seconds mean something with one worker only."""
+    done = set()
+    if os.path.exists(path):
+        with open(path, encoding="utf-8") as f:
+            done = {tuple(json.loads(line)["case"]) for line in f}
+    name = lambda c: (workload, c[0], "+".join(c[1]), c[2], c[3], c[4])
+    todo = [c for c in cases if name(c) not in done]
+
+    def run(case: tuple) -> bool:
+        if time.time() > until:
+            return False
+        row = figure(spark, sf_dir, workload, case, with_kl)
+        with open(path, "a", encoding="utf-8") as f:
+            f.write(json.dumps({"case": name(case), "row": row}) + "\n")
+        return True
+
+    with ThreadPoolExecutor(workers) as pool:
+        return sum(not x for x in pool.map(run, todo))
+
+
+def read_figures(spark: SparkSession, path: str) -> DataFrame:
+    with open(path, encoding="utf-8") as f:
+        return spark.createDataFrame([tuple(r) for r in (json.loads(line)["row"] for line in f) if r], FIGURES)
 
 
 def run_stars_by_l(spark, sf_dir, ls=range(2, 11), d=4, most=None):
