@@ -58,6 +58,8 @@ PATTERN = r"(?<![\p{L}\d])(?:" + "|".join(f"(?:{p})" for p in PATTERNS.values())
 CUES = (*KEYWORDS, "akia", *(t.lower() for t in (*FEMALE, *MALE, *NEUTRAL)))
 
 LATIN, CYRILLIC, GREEK = "abcdefghijklmnopqrstuvwxyz", "абвгдежзийклмнопрстуфхцчшщыэюя", "αβγδεζηθικλμνξοπρστυφχψω"
+#: Bytes of all distinct lists of mentions and their surrogates up to which they are broadcast.
+BROADCAST_BYTES = 48_000_000
 #: So many attempts keep a format's length.
 ROOMY = 9
 GIVEN = {
@@ -115,22 +117,13 @@ def has_mention(text: Column) -> Column:
     return F.coalesce(gate(text) & text.rlike(PATTERN), F.lit(False))
 
 
-def _cut(text: Column, titles: bool) -> Column:
-    """The mentions of a text, never null, and what stands between them."""
-    both = lambda p: F.struct(F.coalesce(F.regexp_extract_all(text, p, F.lit(0)), F.array().cast("array<string>")).alias("m"), F.split(text, p, -1).alias("rest"))
-    return let(pattern_of(text), both) if titles else both(F.lit(PATTERN))
-
-
 def cut_texts(docs: DataFrame, text: str, *others: str) -> DataFrame:
-    """The named columns, m (mentions) and rest of texts that have a mention. Few texts hold titles: only they get patterns of their own."""
-    hit, t = docs.where(has_mention(F.col(text))), F.col(text)
-    parts = [hit.where(cond).select(*others, _cut(t, titles).alias("__x")) for titles, cond in ((True, titled(t)), (False, ~titled(t)))]
-    return parts[0].unionByName(parts[1]).select(*others, F.col("__x.m").alias("__m"), F.col("__x.rest").alias("__rest"))
-
-
-def mention_lists(docs: DataFrame, text: str) -> DataFrame:
-    """old: the distinct lists of mentions, kept. Texts are read once for both the entities and their replacement."""
-    return persisted(cut_texts(docs, text).select(F.col("__m").alias("old")).distinct())
+    """Of texts that have a mention, kept: the named columns, __m (the mentions), __rest (what stands between them), __g (the words of titled
+    names). Each text is searched once for all that follows; these are few of the texts."""
+    t, none = F.col(text), F.array().cast("array<string>")
+    both = let(pattern_of(t), lambda p: F.struct(F.coalesce(F.regexp_extract_all(t, p, F.lit(0)), none).alias("m"), F.split(t, p, -1).alias("rest")))
+    cut = docs.where(has_mention(t)).select(*others, both.alias("__x"), F.when(titled(t), _gender(t)).alias("__g"))
+    return persisted(cut.select(*others, F.col("__x.m").alias("__m"), F.col("__x.rest").alias("__rest"), "__g"))
 
 
 def parts_of(mention: Column, kind: Column) -> Column:
@@ -269,13 +262,16 @@ def _gender(text: Column) -> Column:
     return F.flatten(F.transform(_titled_names(text), words))
 
 
-def entities(docs: DataFrame, key: str, text: str = "text", lists: DataFrame | None = None) -> DataFrame:
+def entities(docs: DataFrame, key: str, text: str = "text") -> DataFrame:
     """kind, form, surrogate: the distinct entities of the corpus and their distinct replacements."""
-    lists = mention_lists(docs, text) if lists is None else lists
-    found = lists.select(F.explode("old").alias("m")).distinct()
+    return _entities(cut_texts(docs, text), key)
+
+
+def _entities(cut: DataFrame, key: str) -> DataFrame:
+    found = cut.select(F.explode("__m").alias("m")).distinct()
     found = found.select(kind_of(F.col("m")).alias("kind"), "m").select("kind", F.explode(parts_of(F.col("m"), F.col("kind"))).alias("x"))
     found = found.select("kind", canonical(F.col("kind"), F.col("x.part")).alias("form")).distinct()
-    hints = docs.where(titled(F.col(text))).select(F.explode(_gender(F.col(text))).alias("g")).groupBy(F.col("g.name").alias("form"))
+    hints = cut.select(F.explode("__g").alias("g")).groupBy(F.col("g.name").alias("form"))
     # a word that titles of both genders precede is neither; one that ever stands before another is a given name
     sole = lambda x: F.bool_or(F.col("g.gender") == x)
     hints = hints.agg(F.concat(F.when(sole("f") & ~sole("m"), "f").when(sole("m") & ~sole("f"), "m").otherwise("n"), F.when(F.bool_or("g.given"), "g").otherwise("f")).alias("hint"))
@@ -296,18 +292,21 @@ def entities(docs: DataFrame, key: str, text: str = "text", lists: DataFrame | N
 
 def replace(docs: DataFrame, key: str, text: str = "text") -> DataFrame:
     """docs with the text rewritten; n_entities is added."""
-    lists = mention_lists(docs, text)
-    table = entities(docs, key, text, lists=lists)
-    each = lists.select("old", F.posexplode("old").alias("at", "m"))
+    others = [c for c in docs.columns if c not in (text, "n_entities")]
+    cut = cut_texts(docs, text, *others)
+    table = _entities(cut, key)
+    each = cut.select(F.col("__m").alias("old")).distinct().select("old", F.posexplode("old").alias("at", "m"))
     each = each.select("old", "at", kind_of(F.col("m")).alias("kind"), "m").select("old", "at", "kind", F.posexplode(parts_of(F.col("m"), F.col("kind"))).alias("j", "x"))
     each = each.withColumn("form", canonical(F.col("kind"), F.col("x.part")))
     new = each.join(table, ["kind", "form"]).select("old", F.struct("at", "j", F.concat("x.before", _written(F.col("kind"), F.col("x.part"), F.col("surrogate")), "x.after").alias("new")).alias("x"))
     lists_ = new.groupBy("old").agg(F.array_sort(F.collect_list("x")).alias("x"))
     whole = F.transform(F.sequence(F.lit(0), F.size("old") - 1), lambda i: F.array_join(F.transform(F.filter("x", lambda p: p["at"] == i), lambda p: p["new"]), ""))
-    swaps = lists_.select(F.col("old").alias("__old"), whole.alias("__new"))
-    others = [c for c in docs.columns if c not in (text, "n_entities")]
+    swaps = persisted(lists_.select(F.col("old").alias("__old"), whole.alias("__new")))
+    # lists that many texts share would meet in one task: not where all distinct lists fit a broadcast
+    size = swaps.agg(F.sum(F.octet_length(F.array_join("__old", "")) + F.octet_length(F.array_join("__new", "")) + 64 * F.size("__old"))).first()[0]
+    swaps = F.broadcast(swaps) if (size or 0) <= BROADCAST_BYTES else swaps
     plain = docs.where(~has_mention(F.col(text))).select(*others, text, F.lit(0).cast("long").alias("n_entities"))
-    hit = cut_texts(docs, text, *others).join(swaps, F.col("__m") == F.col("__old"))
+    hit = cut.join(swaps, F.col("__m") == F.col("__old"))
     rewritten = F.array_join(F.transform("__rest", lambda part, i: F.concat(part, F.coalesce(F.get(F.col("__new"), i), F.lit("")))), "")
     hit = hit.select(*others, rewritten.alias(text), F.size("__m").cast("long").alias("n_entities"))
     return plain.unionByName(hit)
