@@ -35,7 +35,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-MAX_EXAMPLES, LEAST = 6_000, 3
+MAX_EXAMPLES, LEAST = 4_000, 3
 NEAREST, BLOCK, BATCH = 15, 64, 64
 LIMIT = 0.7
 BEGINNINGS = (4, 5, 6, 8)
