@@ -7,7 +7,7 @@ training documents whose counts are deleted for that. All counts are over all tr
 Texts stay where they are read. A task folds its texts to blocks: the sequence of word codes, and
 the block's distinct words and bigrams as sorted 64-bit hashes with their counts. The hashes travel
 once, by ranges of the hash, to where they are added up over all blocks, and only the sums
-travel back to the block. So a frequent word or pair is one row per block, whatever its count,
+travel back to the block. The number of ranges follows the bytes of text. So a frequent word or pair is one row per block, whatever its count,
 and both shuffles hold packed columns, not a row per token.
 
 Defined results: a null text is empty (one token, the end); a null doc_id counts as the empty id, is held
@@ -33,6 +33,8 @@ from celldiv.llm.common import persisted
 
 FOLDS, HELD_OUT, DELETED = 10, 0, 1
 BLOCK_TOKENS = 4_200_000
+#: Bytes of text for each range of hashes (one is added up in memory at a time) and for each task that adds up.
+RANGE_BYTES, TASK_BYTES = 64 << 20, 256 << 20
 CONTEXT_BUCKETS = 40
 ROUNDS = 15
 END, START = b"", b" "  # no word is either
@@ -163,12 +165,12 @@ def _gather(bits: int):
     return run
 
 
-def _runs(batches: Iterator[pa.RecordBatch], column: str) -> Iterator[list[dict]]:
-    """Rows, sorted by column, as lists that share its value."""
+def _runs(batches: Iterator[pa.RecordBatch], *columns: str) -> Iterator[list[dict]]:
+    """Rows, sorted by the columns, as lists that share their values."""
     have: list[dict] = []
     for batch in batches:
         for row in batch.to_pylist():
-            if have and have[-1][column] != row[column]:
+            if have and any(have[-1][c] != row[c] for c in columns):
                 yield have
                 have = []
             have.append(row)
@@ -178,25 +180,23 @@ def _runs(batches: Iterator[pa.RecordBatch], column: str) -> Iterator[list[dict]
 
 def _add_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Sums over all blocks, sent back to each; kind 3 has the corpus's totals. Kind 0 passes."""
-    for rows in _runs(batches, "route"):
-        for r in rows:
-            if r["kind"] == 0:
+    for rows in _runs(batches, "route", "kind", "bucket"):
+        kind, bucket = rows[0]["kind"], rows[0]["bucket"]
+        if kind == 0:
+            for r in rows:
                 yield _rows([(0, r["block"], 0, r["data"])])
-        for kind in (1, 2):
-            some = [(r["block"], r["bucket"], pickle.loads(r["data"])) for r in rows if r["kind"] == kind]
-            if not some:
-                continue
-            for bucket in sorted({b for _, b, _ in some}):
-                own = [(block, _open_sorted(d[0]), _open(d[1]), _open(d[2])) for block, b, d in some if b == bucket]
-                found, at = np.unique(np.concatenate([x[1] for x in own]), return_inverse=True)
-                a, b = (np.bincount(at.ravel(), weights=np.concatenate([x[i] for x in own]), minlength=len(found)).astype(np.uint64) for i in (2, 3))
-                begin = 0
-                for block, hashes, *_ in own:
-                    mine = at.ravel()[begin:begin + len(hashes)]
-                    begin += len(hashes)
-                    yield _rows([(kind, block, bucket, pickle.dumps((_shut(a[mine]), _shut(b[mine]))))])
-                if kind == 1:
-                    yield _rows([(3, f"totals-{bucket}", bucket, pickle.dumps((int(a.sum()), int((a > 0).sum()), int((a + b).sum()), int((a + b > 0).sum()))))])
+            continue
+        own = [(r["block"], _open_sorted(d[0]), _open(d[1]), _open(d[2])) for r in rows for d in [pickle.loads(r.pop("data"))]]
+        found, at = np.unique(np.concatenate([x[1] for x in own]), return_inverse=True)
+        at = at.ravel()
+        a, b = (np.bincount(at, weights=np.concatenate([x[i] for x in own]), minlength=len(found)).astype(np.uint64) for i in (2, 3))
+        begin = 0
+        for block, hashes, *_ in own:
+            mine = at[begin:begin + len(hashes)]
+            begin += len(hashes)
+            yield _rows([(kind, block, bucket, pickle.dumps((_shut(a[mine]), _shut(b[mine]))))])
+        if kind == 1:
+            yield _rows([(3, f"totals-{bucket}", bucket, pickle.dumps((int(a.sum()), int((a > 0).sum()), int((a + b).sum()), int((a + b > 0).sum()))))])
 
 
 def _assemble(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -287,10 +287,11 @@ SCORES = "doc_id long, held_out boolean, n_tokens long, n_known long, train_toke
 def scores(docs: DataFrame, rounds: int = ROUNDS) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score for every document row."""
     spark = docs.sparkSession
-    parts = int(spark.conf.get("spark.sql.shuffle.partitions", "200"))
-    bits = max(1, (2 * parts - 1).bit_length())
+    size = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()[0]
+    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions", "200")), size // TASK_BYTES + 1)
+    bits = max(1, (max(2 * parts, size // RANGE_BYTES) - 1).bit_length())
     gathered = docs.select(F.col("doc_id").cast("long"), "text").mapInArrow(_gather(bits), ROW)
-    routed = gathered.withColumn("route", F.when(F.col("kind") == 0, F.xxhash64("block")).otherwise(F.xxhash64("bucket"))).repartition(parts, "route").sortWithinPartitions("route")
+    routed = gathered.withColumn("route", F.when(F.col("kind") == 0, F.xxhash64("block")).otherwise(F.xxhash64("bucket"))).repartition(parts, "route").sortWithinPartitions("route", "kind", "bucket")
     summed = routed.mapInArrow(_add_up, ROW)
     blocks = persisted(summed.repartition(parts, "block").sortWithinPartitions("block").mapInArrow(_assemble, ROW))
     totals = [0, 0, 0, 0]

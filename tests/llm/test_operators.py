@@ -430,6 +430,66 @@ def test_language_model(spark, odd, none):
     assert lm.scores(none).count() == 0
 
 
+def plain_scores(docs, rounds=lm.ROUNDS):
+    """The same model in dictionaries: (doc_id, tokens) -> score."""
+    start = object()
+    made = [(i, [*(t or "").encode().lower().split(), "</s>"], zlib.crc32(("" if i is None else str(i)).encode()) % 10) for i, t in docs]
+
+    def counts(folds):
+        words, pairs = Counter(), Counter()
+        for _, t, fold in made:
+            if fold in folds:
+                words.update(t)
+                pairs.update(zip([start, *t], t))
+        return words, pairs
+
+    def estimates(words, pairs, n, v, h, w):
+        c = words["</s>" if h is start else h]
+        k = 0 if c == 0 else min(c.bit_length(), lm.CONTEXT_BUCKETS - 1)
+        return k, (pairs[h, w] / max(c, 1), words[w] / max(n, 1), (words[w] + 0.1) / (n + 0.1 * (v + 1)))
+
+    words, pairs = counts(range(2, 10))
+    n, v = sum(words.values()), len(words)
+    held = [(*estimates(words, pairs, n, v, h, w), times) for (h, w), times in counts([1])[1].items()]
+    mix = {k: [0.5, 0.3, 0.2] for k in [*range(lm.CONTEXT_BUCKETS), "all"]}
+    for _ in range(rounds):
+        total = {k: [0.0] * 3 for k in mix}
+        for k, p, times in held:
+            for key in (k, "all"):
+                share = [a * b for a, b in zip(mix[key], p)]
+                for i in range(3):
+                    total[key][i] += times * share[i] / sum(share)
+        new = {k: [x / sum(t) for x in t] if sum(t) else None for k, t in total.items()}
+        new["all"] = new["all"] or mix["all"]
+        new = {k: t or new["all"] for k, t in new.items()}
+        change = max(abs(a - b) for k in mix for a, b in zip(new[k], mix[k]))
+        mix = new
+        if change < 1e-4:
+            break
+    mix[0] = [0, *(x / sum(mix[0][1:]) for x in mix[0][1:])]
+    words, pairs = counts(range(1, 10))
+    n, v = sum(words.values()), len(words)
+    got = {}
+    for i, t, _ in made:
+        asked = [estimates(words, pairs, n, v, h, w) for h, w in zip([start, *t], t)]
+        got[i, len(t)] = sum(math.log10(sum(a * b for a, b in zip(mix[k], p))) for k, p in asked)
+    return got
+
+
+@pytest.mark.parametrize("small", [False, True])
+def test_language_model_equals_plain(spark, data, monkeypatch, small):
+    if small:  # many blocks, ranges and tasks
+        monkeypatch.setattr(lm, "BLOCK_TOKENS", 500)
+        monkeypatch.setattr(lm, "RANGE_BYTES", 10_000)
+        monkeypatch.setattr(lm, "TASK_BYTES", 60_000)
+    docs = spark.read.parquet(f"{data}/documents.parquet").select("doc_id", "text")
+    docs = docs.unionByName(spark.createDataFrame([(None, "the cat"), (10**9, None), (10**9 + 1, "")], docs.schema))
+    want = plain_scores([tuple(r) for r in docs.collect()])
+    got = {(r["doc_id"], r["n_tokens"]): r["score"] for r in lm.scores(docs).collect()}
+    assert got.keys() == want.keys()
+    assert all(abs(got[k] - want[k]) < 1e-6 * max(1, abs(want[k])) for k in want)
+
+
 def test_counts_do_not_depend_on_blocks(spark, data, monkeypatch):
     docs = spark.read.parquet(f"{data}/documents.parquet")
     want = {r["doc_id"]: r["score"] for r in lm.scores(docs).collect()}
