@@ -13,7 +13,7 @@ from collections import Counter
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from celldiv.operators import vectors
+from celldiv.operators import bounds, vectors
 from celldiv.storage import persisted
 
 #: Offers of one bucket, on average: the number of buckets follows from the offers.
@@ -103,29 +103,38 @@ def give(state: DataFrame, taken: DataFrame) -> DataFrame:
     return persisted(got.select("cell", "sa", (F.col("h") - F.coalesce("x", F.lit(0))).alias("h"), (F.col("moved") + F.coalesce("x", F.lit(0))).alias("moved")))
 
 
-def overhaul_bulk(state: DataFrame, residue: Counter, l: int) -> tuple[DataFrame, Counter, int]:
+def overhaul_bulk(state: DataFrame, residue: Counter, l: int, trace: list | None = None) -> tuple[DataFrame, Counter, int]:
     """Phase three by clash signatures: one row per signature reaches the driver, at most l - 1 cells are picked."""
-    rounds = 0
+    heights = [max(residue.values(), default=0)]
     while not vectors.eligible(residue, l):
-        rounds += 1
         tops = sorted(vectors.peaks(residue), key=vectors._key)
         bit = F.lit(0)
         for k, v in enumerate(tops):
             bit = F.when((F.col("h") == F.col("peak")) & F.col("sa").eqNullSafe(F.lit(v)), 1 << k).otherwise(bit)
         alive = classify(state, residue, l)
-        masks = alive.groupBy("cell").agg(F.bit_or(bit).alias("mask")).groupBy("mask").agg(F.min(F.struct(F.xxhash64("cell").alias("spot"), F.col("cell"))).alias("pick"))
-        signatures = {r["mask"]: r["pick"]["spot"] for r in masks.collect()}  # at most 2^(l-1) rows
+        masks = alive.groupBy("cell", "frozen").agg(F.bit_or(bit).alias("mask")).groupBy("mask").agg(F.min(F.struct(F.xxhash64("cell").alias("spot"), F.col("cell"))).alias("pick"), F.bool_and("frozen").alias("frozen"))
+        found = masks.collect()  # at most 2^(l-1) rows
+        signatures = {r["mask"]: r["pick"]["spot"] for r in found}
+        bounds.check_stuck(residue, signatures, all(r["frozen"] for r in found), l)
         picks = vectors.cover(signatures, len(tops))
         chosen = alive.where(F.xxhash64("cell").isin(picks) & (F.col("h") == F.col("peak"))).select("cell", "sa", F.lit(1).cast("long").alias("x"))
         state = give(state, chosen)
         residue = residue_of(state)
         state, residue, _ = drain_bulk(state, residue, l)
-    return state, residue, rounds
+        heights.append(max(residue.values()))
+        if trace is not None:
+            trace.append((f"round {len(heights) - 1}", sum(residue.values()), heights[-1]))
+    bounds.check_overhauled(heights, l)
+    return state, residue, len(heights) - 1
 
 
-def finish(state: DataFrame, l: int, how: str = "auto") -> tuple[DataFrame, Counter, int, int]:
-    """Phases two and three from a trimmed state: state, residue, phase, rounds. how: auto, exact or bulk."""
+def finish(state: DataFrame, l: int, how: str = "auto", trace: list | None = None) -> tuple[DataFrame, Counter, int, int]:
+    """Phases two and three from a trimmed state: state, residue, phase, rounds. how: auto, exact or bulk. trace gets (step, rows, height)."""
     residue = residue_of(state)
+    trace = [] if trace is None else trace
+    note = lambda step: trace.append((step, sum(residue.values()), max(residue.values(), default=0)))
+    note("trim")
+    first = Counter(residue)
     if vectors.eligible(residue, l):
         return state, residue, 1, 0
     if how == "exact" or how == "auto" and state.where("h > 0").limit(DRIVER_ROWS + 1).count() <= DRIVER_ROWS:
@@ -137,16 +146,20 @@ def finish(state: DataFrame, l: int, how: str = "auto") -> tuple[DataFrame, Coun
             cells[place[r["spot"]]][r["sa"]] = r["h"]
         old = [dict(c) for c in cells]
         vectors.drain(cells, residue, l)
+        bounds.check_drained(first, residue, l)
+        note("drain")
         phase, rounds = 2, 0
         if not vectors.eligible(residue, l):
-            phase, rounds = 3, vectors.overhaul(cells, residue, l)
+            phase, rounds = 3, vectors.overhaul(cells, residue, l, trace)
         gone = [(names[i], v, h - cells[i].get(v, 0)) for i, c in enumerate(old) for v, h in c.items() if h != cells[i].get(v, 0)]
         kind = state.schema["sa"].dataType.simpleString()
         moves = state.sparkSession.createDataFrame(gone, f"spot long, s {kind}, x long")
         got = state.join(F.broadcast(moves), (F.xxhash64("cell") == F.col("spot")) & F.col("sa").eqNullSafe(F.col("s")), "left")
         return got.select("cell", "sa", (F.col("h") - F.coalesce("x", F.lit(0))).alias("h"), (F.col("moved") + F.coalesce("x", F.lit(0))).alias("moved")), residue, phase, rounds
     state, residue, rounds = drain_bulk(state, residue, l)
+    bounds.check_drained(first, residue, l)
+    note("drain")
     if vectors.eligible(residue, l):
         return state, residue, 2, rounds
-    state, residue, rounds = overhaul_bulk(state, residue, l)
+    state, residue, rounds = overhaul_bulk(state, residue, l, trace)
     return state, residue, 3, rounds

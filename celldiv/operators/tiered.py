@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from celldiv.functions.measures import star_counts
 from celldiv.model import MicrodataSpec, shown
-from celldiv.operators import curve, drain, vectors
+from celldiv.operators import bounds, curve, drain, vectors
 from celldiv.operators.cells import cell_histogram, require_solution, violations
 from celldiv.operators.publish import kept_rows, pick_rows, publish, suppress_all
 from celldiv.operators.trim import trim_cells
@@ -25,24 +25,22 @@ class Result:
     report: dict
 
 
+def histogram_plan(hist: DataFrame, l: int, how: str = "auto") -> tuple[DataFrame, dict]:
+    """(cell, sa, h, moved) after all phases, and the report, of a feasible histogram (cell, sa, h)."""
+    state = persisted(trim_cells(hist, l).select("cell", "sa", F.col("kept").alias("h"), "moved"))
+    trace: list[tuple[str, int, int]] = []
+    state, residue, phase, rounds = drain.finish(state, l, how, trace)
+    if not vectors.eligible(residue, l):
+        raise bounds.BrokenBound("the residue is not eligible")
+    return state, {"l": l, "phase": phase, "rounds": rounds, "trim_rows": trace[0][1], "residue_rows": sum(residue.values()),
+                   "certificate": {1: "optimal in rows", 2: "optimal in rows plus l - 1", 3: "l times the optimum in rows"}[phase]} | bounds.run_report(trace, l)
+
+
 def tiered_plan(df: DataFrame, spec: MicrodataSpec, l: int, how: str = "auto") -> tuple[DataFrame, dict]:
     """(cell, sa, h, moved) after all phases, and the report."""
     n, m = require_solution(df, spec, l)
-    trimmed = trim_cells(cell_histogram(df, spec), l)
-    state = persisted(trimmed.select("cell", "sa", F.col("kept").alias("h"), "moved"))
-    first = drain.residue_of(state)
-    state, residue, phase, rounds = drain.finish(state, l, how)
-    bound = l * max(first.values(), default=0)
-    report = {"l": l, "d": len(spec.qi), "n": n, "m": m, "phase": phase, "rounds": rounds, "trim_rows": sum(first.values()), "residue_rows": sum(residue.values()), "lower_bound": bound,
-              "certificate": {1: "optimal in rows", 2: "optimal in rows plus l - 1", 3: "l times the optimum in rows"}[phase]}
-    # each starred row has a star at least, so these are upper bounds of the true ratios; the gap is l - 1 at most after phase two
-    report |= {"rows_to_bound": report["residue_rows"] / bound if bound else 1.0, "gap": report["residue_rows"] - bound,
-               "trace": [("trim", sum(first.values()), max(first.values(), default=0)), ("end", sum(residue.values()), max(residue.values(), default=0))]}
-    if phase == 2 and report["residue_rows"] > bound + l - 1 or phase < 3 and max(residue.values(), default=0) != max(first.values(), default=0):
-        raise AssertionError("phase two broke its bound")
-    if not vectors.eligible(residue, l):
-        raise AssertionError("the residue is not eligible")
-    return state, report
+    state, report = histogram_plan(cell_histogram(df, spec), l, how)
+    return state, report | {"d": len(spec.qi), "n": n, "m": m}
 
 
 def tiered_split(df: DataFrame, spec: MicrodataSpec, l: int, how: str = "auto") -> tuple[DataFrame, DataFrame, dict]:

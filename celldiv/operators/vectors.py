@@ -8,6 +8,8 @@ from __future__ import annotations
 import itertools
 from collections import Counter
 
+from celldiv.operators import bounds
+
 
 def trim(cells: list[dict], l: int) -> Counter:
     """Phase one, step by step: the reference that the closed form is tested against."""
@@ -85,23 +87,32 @@ def cover(signatures: dict[int, object], n_peaks: int) -> list:
     return picks
 
 
-def overhaul(cells: list[dict], residue: Counter, l: int) -> int:
-    """Phase three: rounds of widening the residue from a cover of cells and refreezing them. Returns the rounds."""
-    rounds = 0
+def overhaul(cells: list[dict], residue: Counter, l: int, trace: list | None = None) -> int:
+    """Phase three: rounds of widening the residue from a cover of cells and refreezing them. Returns the rounds; trace gets a row for each."""
+    heights = [max(residue.values(), default=0)]
     while not eligible(residue, l):
-        rounds += 1
         top = sorted(peaks(residue), key=_key)
         signatures: dict[int, object] = {}
+        frozen = True
         for i, cell in enumerate(cells):
             if cell:
                 own = peaks(cell)
-                signatures.setdefault(sum(1 << k for k, v in enumerate(top) if v in own), i)
+                mask = sum(1 << k for k, v in enumerate(top) if v in own)
+                signatures.setdefault(mask, i)
+                frozen = frozen and mask > 0 and sum(cell.values()) == l * max(cell.values())
+        bounds.check_stuck(residue, signatures, frozen, l)
         for i in cover(signatures, len(top)):
             for v in sorted(peaks(cells[i]), key=_key):
                 take(cells[i], v, residue)
         if not eligible(residue, l):
+            before = Counter(residue)
             drain(cells, residue, l)
-    return rounds
+            bounds.check_drained(before, residue, l)
+        heights.append(max(residue.values()))
+        if trace is not None:
+            trace.append((f"round {len(heights) - 1}", sum(residue.values()), heights[-1]))
+    bounds.check_overhauled(heights, l)
+    return len(heights) - 1
 
 
 def solve(cells: list[dict], l: int) -> tuple[Counter, int, int]:
@@ -109,7 +120,9 @@ def solve(cells: list[dict], l: int) -> tuple[Counter, int, int]:
     residue = trim(cells, l)
     if eligible(residue, l):
         return residue, 1, 0
+    before = Counter(residue)
     drain(cells, residue, l)
+    bounds.check_drained(before, residue, l)
     if eligible(residue, l):
         return residue, 2, 0
     return residue, 3, overhaul(cells, residue, l)

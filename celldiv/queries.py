@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from celldiv.functions import measures
+from celldiv.functions import measures, sql
 from celldiv.functions.curve import hilbert_index
 from celldiv.operators import cells, curve, drain, exact, publish, specialize, tiered, trim, vectors
 from celldiv.plans import workloads
@@ -163,6 +163,16 @@ def array_trim(spark, sf):
     return _longs(_flat(per.select("cell", cap.alias("cap")), Q4), "ship_month", "tax", "discount", "cap")
 
 
+@query(f"""WITH {_trim_sql(_V1, Q4, 'l_quantity', 6)} SELECT ship_month, l_linestatus, tax, discount, CAST(max(kept) AS BIGINT) AS cap, sum(h) >= 6 * max(h) AS eligible FROM trimmed GROUP BY ALL""")
+def sql_trim(spark, sf):
+    """The registered SQL functions over a view."""
+    df, _ = views.quantity_microdata(spark, sf, Q4)
+    sql.register(spark)
+    return spark.sql("""SELECT CAST(ship_month AS BIGINT) AS ship_month, l_linestatus, CAST(tax AS BIGINT) AS tax, CAST(discount AS BIGINT) AS discount, cell_cap(hs, 6) AS cap, cell_eligible(hs, 6) AS eligible
+      FROM (SELECT ship_month, l_linestatus, tax, discount, collect_list(h) AS hs FROM
+        (SELECT ship_month, l_linestatus, tax, discount, l_quantity, count(*) AS h FROM {rows} GROUP BY ALL) GROUP BY ALL)""", rows=df)
+
+
 @query(f"WITH {_hist_sql(_V1, Q4, 'l_quantity')} SELECT ship_month, l_linestatus, tax, discount, count(*) AS n_values, CAST(sum(h) AS BIGINT) AS size FROM hist GROUP BY ship_month, l_linestatus, tax, discount HAVING count(*) < 6")
 def vanishing_cells(spark, sf):
     df, spec = views.quantity_microdata(spark, sf, Q4)
@@ -267,6 +277,27 @@ def tiered_release(spark, sf):
     return spark.createDataFrame(out, "view string, d long, l long, n long, stars long, starred_rows long, broken long")
 
 
+def _reports_sql() -> str:
+    out = []
+    for name, qi, sa, l in UNIQUE:
+        out.append(f"""(WITH {_trim_sql(_V1, qi, sa, l)}, r AS (SELECT sa, sum(moved) AS r FROM trimmed GROUP BY sa), f AS (SELECT sum(r) AS rows, max(r) AS height FROM r)
+SELECT '{name}' AS view, CAST({len(qi)} AS BIGINT) AS d, CAST({l} AS BIGINT) AS l, 1::BIGINT AS phase, CAST(rows AS BIGINT) AS rows, CAST(height AS BIGINT) AS height,
+  CASE WHEN height = 0 THEN 1.0 ELSE round(rows / ({l} * height), 6) END::DOUBLE AS ratio, CAST(rows - {l} * height AS BIGINT) AS gap FROM f)""")
+    return " UNION ALL ".join(out)
+
+
+@query(_reports_sql())
+def run_reports(spark, sf):
+    """Rows over the lower bound (no release moves fewer), and the gap, from the traces of whole runs."""
+    out = []
+    for name, qi, _, l in UNIQUE:
+        df, spec = workloads.VIEWS[name](spark, sf, qi)
+        _, got = tiered.tiered_plan(df, spec, l)
+        _, rows, height = got["trace"][-1]
+        out.append((name, len(qi), l, got["phase"], rows, height, round(got["rows_to_bound"], 6), got["gap"]))
+    return spark.createDataFrame(out, "view string, d long, l long, phase long, rows long, height long, ratio double, gap long")
+
+
 @query(f"""WITH {_trim_sql(_V1, Q4, 'l_quantity', 6)}, {_residue_sql(Q4)}
 SELECT sa, CAST(sum(kept) AS BIGINT) AS kept, CAST(sum(moved) AS BIGINT) AS refined, (SELECT CAST(n_gone * ({' + '.join(f's_{q}::INT' for q in Q4)}) AS BIGINT) FROM k) AS stars_before, true AS not_more, 0::BIGINT AS broken FROM trimmed GROUP BY sa""")
 def hybrid_release(spark, sf):

@@ -12,7 +12,7 @@ from celldiv import queries
 from celldiv.functions import measures
 from celldiv.functions.curve import hilbert_numbers
 from celldiv.model import Infeasible, MicrodataSpec
-from celldiv.operators import cells, curve, drain, exact, publish, specialize, tiered, trim, vectors
+from celldiv.operators import bounds, cells, curve, drain, exact, publish, specialize, tiered, trim, vectors
 from celldiv.plans import workloads
 from celldiv.storage import persisted
 from tests.conftest import same
@@ -120,6 +120,25 @@ def test_bulk_phases(spark):
         done += 1
 
 
+def test_bounds_refuse_what_cannot_be():
+    bounds.check_drained({1: 3}, {1: 3, 2: 3}, 2)
+    bounds.check_stuck({1: 2, 2: 2}, [0b01, 0b10], True, 3)
+    bounds.check_overhauled([2, 3, 4], 3)
+    for call in (lambda: bounds.check_drained({1: 3}, {1: 4, 2: 4}, 2), lambda: bounds.check_drained({1: 3}, {1: 3, 2: 3, 3: 3}, 2),
+                 lambda: bounds.check_stuck({1: 2}, [0], True, 2), lambda: bounds.check_stuck({1: 2, 2: 2}, [0b01, 0b11], True, 3),
+                 lambda: bounds.check_stuck({1: 2, 2: 2}, [0b01, 0b10], False, 3), lambda: bounds.check_overhauled([2, 4], 3), lambda: bounds.check_overhauled([1, 1, 1], 3)):
+        with pytest.raises(bounds.BrokenBound):
+            call()
+
+
+@pytest.mark.parametrize("how", ["exact", "bulk"])
+def test_trace(spark, how):
+    l, rows, trimmed, _, most = WORKED["small overhaul"]
+    state, report = tiered.histogram_plan(state_of(spark, vectors_of(*rows)), l, how)
+    assert report["trace"][0] == ("trim", 4, 2) and [t[0] for t in report["trace"]] == ["trim", "drain", "round 1"] and report["rounds"] == 1
+    assert report["residue_rows"] == report["trace"][-1][1] <= most and report["lower_bound"] == 6 and report["gap"] == report["residue_rows"] - 6
+
+
 TEN = [(1, "A", "M", "s1", "i1"), (2, "A", "M", "s1", "i1"), (3, "B", "M", "s2", "i2"), (4, "C", "M", "s2", "i3"), *[(i, "D", "F", "s3", v) for i, v in ((5, "i2"), (6, "i2"), (7, "i4"), (8, "i5"))], (9, "E", "F", "s1", "i4"), (10, "E", "F", "s1", "i5")]
 
 
@@ -334,3 +353,71 @@ def test_stream(spark, data, tmp_path):
     q.stop()
     pub = spark.read.parquet(str(tmp_path / "out" / "released"))
     assert pub.groupBy("batch", "cell_id", "value_band").count().groupBy("batch", "cell_id").agg(F.sum("count").alias("s"), F.max("count").alias("p")).where("p * 3 > s").count() == 0
+
+
+def test_stream_windows(spark, tmp_path):
+    """Three windows: the first is infeasible and joins the second, the last is never closed. A late row is dropped and counted."""
+    from celldiv.streaming import windows
+
+    spec = MicrodataSpec(("a", "b"), "s")
+    kind = "t timestamp, a string, b int, s string, row_id long"
+    parts = [
+        [("2024-01-01 00:01:00", "x", 1, "p", 1), ("2024-01-01 00:02:00", "x", 2, "p", 2)],
+        [("2024-01-01 00:11:00", "x", 1, "q", 3), ("2024-01-01 00:12:00", "x", None, "q", 4), ("2024-01-01 00:13:00", None, 1, "r", 5)],
+        [("2024-01-01 00:45:00", "y", 1, "p", 6)],
+        [("2024-01-01 00:03:00", "y", 1, "q", 7)],
+        [("2024-01-01 00:46:00", "y", 1, "q", 8)]]
+    for i, rows in enumerate(parts):
+        made = spark.createDataFrame(rows, "t string, a string, b int, s string, row_id long").withColumn("t", F.col("t").cast("timestamp"))
+        made.coalesce(1).write.parquet(str(tmp_path / "raw" / str(i)))
+    (tmp_path / "in").mkdir()
+    stream = spark.readStream.schema(kind).parquet(str(tmp_path / "in"))
+    writer = windows.publish_windows(stream, spec, 2, "t", "10 minutes", "1 minute", str(tmp_path / "out"), str(tmp_path / "ck"))
+    late = 0
+    for i in range(len(parts)):  # a restart before each file
+        source = next((tmp_path / "raw" / str(i)).glob("*.parquet"))
+        source.rename(tmp_path / "in" / f"{i}.parquet")
+        q = writer.start()
+        q.processAllAvailable()
+        late += windows.late_rows(q)
+        q.stop()
+    pub = spark.read.parquet(str(tmp_path / "out" / "released")).collect()
+    assert sorted((r["s"], r["rows"]) for r in pub if r["rows"]) and Counter({s: sum(r["rows"] for r in pub if r["s"] == s) for s in "pqr"}) == Counter(p=2, q=2, r=1)
+    assert len({r["window_end"] for r in pub}) == 1 and late == 1
+    groups: dict = {}
+    for r in pub:
+        groups.setdefault((r["star_mask"], r["a"], r["b"]), Counter())[r["s"]] += r["rows"]
+    assert all(vectors.eligible(c, 2) for c in groups.values())
+    last = max(int(p.name) for p in (tmp_path / "out" / "pending").iterdir())
+    assert windows.waiting(spark, str(tmp_path / "out"), spec, last).count() == 0
+
+
+def test_stream_holds_back(spark, tmp_path):
+    from celldiv.streaming import windows
+
+    spec = MicrodataSpec(("a",), "s")
+    kind = "a string, s string, row_id long"
+    spark.createDataFrame([("x", "p", 1), ("x", "p", 2)], kind).coalesce(1).write.parquet(str(tmp_path / "in"))
+    q = windows.publish_stream(spark.readStream.schema(kind).parquet(str(tmp_path / "in")), spec, 2, str(tmp_path / "out"), str(tmp_path / "ck")).start()
+    q.processAllAvailable()
+    q.stop()
+    assert not (tmp_path / "out" / "released").exists() and windows.waiting_batch(spark, str(tmp_path / "out"), 0).count() == 2
+
+
+def test_sql_functions(spark):
+    from celldiv.functions import sql
+
+    sql.register(spark)
+    rnd = random.Random(4)
+    made = [([rnd.randint(0, 9) for _ in range(rnd.randint(0, 7))], l) for l in (2, 3, 5) for _ in range(60)] + [([1, None, 1], 2)]
+    spark.createDataFrame([(i, *x) for i, x in enumerate(made)], "i int, heights array<bigint>, l int").createOrReplaceTempView("shapes")
+    native = {r["i"]: (r["cap"], r["ok"]) for r in spark.sql("SELECT i, cell_cap(heights, l) AS cap, cell_eligible(heights, l) AS ok FROM shapes").collect()}
+    steps: dict = {}
+    for r in spark.sql("SELECT i, t.* FROM shapes, LATERAL cell_trim(heights, l) AS t").collect():
+        steps.setdefault(r["i"], {})[r["place"]] = (r["kept"], r["moved"])
+    for i, (heights, l) in enumerate(made):
+        hs = [h or 0 for h in heights]
+        assert native[i][1] == (sum(hs) >= l * max(hs, default=0))
+        assert steps.get(i, {}) == {k: (min(h, native[i][0]), h - min(h, native[i][0])) for k, h in enumerate(hs)}
+    assert spark.sql("SELECT cell_cap(CAST(NULL AS ARRAY<BIGINT>), 2) IS NULL AND cell_cap(array(1L), 1) IS NULL").first()[0]
+    assert spark.sql("SELECT * FROM cell_trim(CAST(NULL AS ARRAY<BIGINT>), 2)").count() == 0
