@@ -18,6 +18,8 @@ equal ones, are ordered in one task per conversation, by their hashes and roles
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -91,12 +93,12 @@ def maximal(placed: DataFrame) -> DataFrame:
     return full.join(inner, ["n_turns", "ha", "hb"], "left_anti").select("x.conv_id", "n_turns", "n_copies", "x.n_rows")
 
 
-def collapse(turns: DataFrame, block_turns: int = 256, long_rows: int = LONG_ROWS) -> DataFrame:
-    """The turns of maximal conversations: conv_id, place, role, text, n_turns, n_copies."""
+def _collapsed(turns: DataFrame, block_turns: int, long_rows: int) -> list[DataFrame]:
+    """(c, none, place, role, text, n_turns, n_copies) of maximal conversations: those of few rows, and the others if there are any."""
     placed = persisted(placed_turns(turns, block_turns))
     kept = persisted(maximal(placed).select(F.coalesce("conv_id", F.lit(0)).alias("c"), F.col("conv_id").isNull().alias("none"), "n_turns", "n_copies", "n_rows"))
     keyed = _keyed(turns, block_turns)
-    shown = [F.when(~F.col("none"), F.col("c")).alias("conv_id"), "place", "role", "text", "n_turns", "n_copies"]
+    shown = [*CONV, "place", "role", "text", "n_turns", "n_copies"]
     # a conversation of few rows: all in one place, where distinct turns are numbered once more
     few = keyed.select(*CONV, "turn", "role", "text").join(kept.where(F.col("n_rows") <= long_rows).drop("n_rows"), CONV)
     order = Window.partitionBy(*CONV).orderBy(*_order("text"))
@@ -105,16 +107,32 @@ def collapse(turns: DataFrame, block_turns: int = 256, long_rows: int = LONG_ROW
     few = few.withColumn("again", again).where(~F.col("again")).withColumn("place", F.row_number().over(order))
     long = kept.where(F.col("n_rows") > long_rows).drop("n_rows")
     if long.isEmpty():
-        return few.select(*shown)
+        return [few.select(*shown)]
     long = small(long, BROADCAST_ROWS)
     texts = keyed.join(long.select(*CONV), CONV, "left_semi").groupBy(*TURN).agg(F.any_value("text").alias("text"))
     many = _met(texts, placed.select(*TURN, "place").join(long, CONV))
-    return few.select(*shown).unionByName(many.select(*shown))
+    return [few.select(*shown), many.select(*shown)]
+
+
+def collapse(turns: DataFrame, block_turns: int = 256, long_rows: int = LONG_ROWS) -> DataFrame:
+    """The turns of maximal conversations: conv_id, place, role, text, n_turns, n_copies."""
+    whole = reduce(DataFrame.unionByName, _collapsed(turns, block_turns, long_rows))
+    return whole.select(F.when(~F.col("none"), F.col("c")).alias("conv_id"), "place", "role", "text", "n_turns", "n_copies")
+
+
+def _render(kept: DataFrame, keys: list[str], part_turns: int) -> DataFrame:
+    shown = F.concat(F.lit(OPEN), F.coalesce("role", F.lit("")), F.lit(MIDDLE), F.coalesce("text", F.lit("")), F.lit(CLOSE))
+    rows = kept.select(*keys, F.floor((F.col("place") - 1) / part_turns).cast("long").alias("part"), "n_turns", "n_copies", F.struct("place", shown.alias("shown")).alias("turn"))
+    texts = rows.groupBy(*keys, "part").agg(F.max("n_turns").alias("n_turns"), F.max("n_copies").alias("n_copies"), F.array_sort(F.collect_list("turn")).alias("turns"))
+    return texts.select(*keys, "part", "n_turns", "n_copies", F.array_join("turns.shown", "").alias("text"))
 
 
 def render(kept: DataFrame, part_turns: int = 256) -> DataFrame:
     """conv_id, part, n_turns, n_copies, text: each part of a conversation as one marked-up text."""
-    shown = F.concat(F.lit(OPEN), F.coalesce("role", F.lit("")), F.lit(MIDDLE), F.coalesce("text", F.lit("")), F.lit(CLOSE))
-    rows = kept.select("conv_id", F.floor((F.col("place") - 1) / part_turns).cast("long").alias("part"), "n_turns", "n_copies", F.struct("place", shown.alias("shown")).alias("turn"))
-    texts = rows.groupBy("conv_id", "part").agg(F.max("n_turns").alias("n_turns"), F.max("n_copies").alias("n_copies"), F.array_sort(F.collect_list("turn")).alias("turns"))
-    return texts.select("conv_id", "part", "n_turns", "n_copies", F.array_join("turns.shown", "").alias("text"))
+    return _render(kept, ["conv_id"], part_turns)
+
+
+def collapse_and_render(turns: DataFrame, block_turns: int = 256, long_rows: int = LONG_ROWS, part_turns: int = 256) -> DataFrame:
+    """`render` of `collapse`. Conversations of few rows are rendered where their turns were put in order, so their texts travel once."""
+    whole = reduce(DataFrame.unionByName, [_render(some, CONV, part_turns) for some in _collapsed(turns, block_turns, long_rows)])
+    return whole.select(F.when(~F.col("none"), F.col("c")).alias("conv_id"), "part", "n_turns", "n_copies", "text")

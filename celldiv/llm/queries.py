@@ -15,7 +15,7 @@ KEY = "query-key"
 
 
 def op1_chat_collapse(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return chat.render(chat.collapse(table(spark, sf_dir, "conversations")))
+    return chat.collapse_and_render(table(spark, sf_dir, "conversations"))
 
 
 def op2_pack(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -69,6 +69,19 @@ def test_chat_order_and_long_conversations(spark):
 
 # 2 packing ---------------------------------------------------------------------------------------
 
+@pytest.mark.parametrize("long_rows", [2, 4096])
+def test_chat_renders_in_place(spark, data, long_rows):
+    turns = spark.read.parquet(f"{data}/conversations.parquet")
+    extra = spark.createDataFrame([(None, 1, "user", "a"), (None, 2, None, None), (-1, None, "user", "b"), (-1, None, "user", "b")], "conv_id long, turn int, role string, text string")
+    turns = turns.select("conv_id", "turn", "role", "text").unionByName(extra)
+    rows = lambda d: sorted(map(tuple, d.collect()), key=str)
+    assert rows(chat.collapse_and_render(turns, long_rows=long_rows, part_turns=3)) == rows(chat.render(chat.collapse(turns), 3))
+    few = chat._render(chat._collapsed(turns, 256, 4096)[0], chat.CONV, 256)
+    few.collect()
+    plan = few._jdf.queryExecution().executedPlan().toString().split("Initial Plan")[0]
+    assert plan.index("Window") > plan.index("ObjectHashAggregate") and "Exchange" not in plan[:plan.index("Window")]
+
+
 def least_bins(sizes, capacity):
     best = len(sizes)
 
