@@ -104,12 +104,12 @@ def lattice_trim(df: DataFrame, spec: MicrodataSpec, sizes: tuple[int, ...], ls:
     sets = [[*some, "sa"] for k in sizes for some in combinations(spec.qi, k)]
     one = base.groupingSets(sets, *spec.qi, "sa").agg(F.sum("h").alias("h"), F.grouping_id().alias("g"))
     cells = one.select(F.struct(F.expr("cast(g div 2 as int)").alias("grouping"), *spec.qi).alias("key"), "sa", "h")
-    all_l = cells.withColumn("l", F.explode(F.array(*[F.lit(x) for x in ls])))
-    # l is part of the cell, and the cap of a cell depends on it: the same clipping with l as a column
-    order = Window.partitionBy("key", "l").orderBy(F.desc("h"), "sa")
-    whole = Window.partitionBy("key", "l")
-    ranked = all_l.withColumns({"j": F.row_number().over(order) - 1, "total": F.sum("h").over(whole), "k": F.count(F.lit(1)).over(whole), "before": F.coalesce(F.sum("h").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))})
-    bound = ranked.withColumn("b", F.when(F.col("j") < F.col("l"), F.expr("(total - before) div (l - j)")))
-    moved = bound.withColumn("moved", F.col("h") - F.least("h", F.when(F.col("k") < F.col("l"), 0).otherwise(F.min("b").over(whole))))
-    per = moved.groupBy("key.grouping", "l", "sa").agg(F.sum("moved").alias("r")).groupBy("grouping", "l").agg(F.sum("r").alias("residue_rows"), F.max("r").alias("height"))
+    # all l share one sort of a cell's values: a cap and a count of rows moved for each
+    order, whole = Window.partitionBy("key").orderBy(F.desc("h"), "sa"), Window.partitionBy("key")
+    ranked = cells.withColumns({"j": F.row_number().over(order) - 1, "total": F.sum("h").over(whole), "k": F.count(F.lit(1)).over(whole), "before": F.coalesce(F.sum("h").over(order.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))})
+    caps = {f"cap_{l}": F.when(F.col("k") < l, 0).otherwise(F.min(F.when(F.col("j") < l, F.expr(f"(total - before) div ({l} - j)"))).over(whole)) for l in ls}
+    gone = [F.sum(F.col("h") - F.least("h", f"cap_{l}")).alias(f"r_{l}") for l in ls]
+    per = ranked.withColumns(caps).groupBy("key.grouping", "sa").agg(*gone)
+    facts = [F.struct(F.lit(l).alias("l"), F.sum(f"r_{l}").alias("residue_rows"), F.max(f"r_{l}").alias("height")) for l in ls]
+    per = per.groupBy("grouping").agg(F.array(*facts).alias("of")).select("grouping", F.inline("of"))
     return per.withColumn("done", F.col("residue_rows") >= F.col("l") * F.col("height"))

@@ -8,13 +8,15 @@ import os
 import time
 from collections.abc import Iterable
 from concurrent.futures import ThreadPoolExecutor
+from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from celldiv.functions import measures
-from celldiv.model import Infeasible
+from celldiv.model import Infeasible, MicrodataSpec
 from celldiv.operators import specialize, tiered
+from celldiv.plans import family
 from celldiv.sources import views
 from celldiv.storage import persisted
 
@@ -84,31 +86,63 @@ def read_figures(spark: SparkSession, path: str) -> DataFrame:
         return spark.createDataFrame([tuple(r) for r in (json.loads(line)["row"] for line in f) if r], FIGURES)
 
 
+def stars(spark: SparkSession, sf_dir: str, workload: str, qis: list[tuple[str, ...]], ls: Iterable[int], methods: Iterable[str] = tuple(METHODS)) -> DataFrame:
+    """Figures of all releases of these projections: of a small table a projection a task, else one release after the other."""
+    out = []
+    for name, view in VIEWS.items():
+        df, spec = view(spark, sf_dir)
+        df = persisted(df)
+        if not family.fits(df):
+            out.append(figures(spark, sf_dir, workload, [(name, q, m, l, 6) for q in qis for m in methods for l in ls]))
+            continue
+        named = spark.createDataFrame([(i, "+".join(q), len(q)) for i, q in enumerate(qis)], "place int, projection string, d int")
+        got = family.releases(df, spec, qis, ls, methods).join(F.broadcast(named), "place")  # a few projections
+        out.append(got.select(F.lit(workload).alias("workload"), F.lit(name).alias("view"), "projection", "method", "l", "d", "n", "stars", "starred_rows", "phase", F.lit(None).cast("double").alias("kl"), "seconds"))
+    return reduce(DataFrame.unionByName, out)
+
+
 def run_stars_by_l(spark, sf_dir, ls=range(2, 11), d=4, most=None):
-    return figures(spark, sf_dir, "stars_by_l", [(v, q, m, l, 6) for v in VIEWS for q in projections(views.WIDE, d, most) for m in METHODS for l in ls])
+    return stars(spark, sf_dir, "stars_by_l", projections(views.WIDE, d, most), ls)
 
 
 def run_stars_by_d(spark, sf_dir, l=6, ds=range(1, 8), most=None):
-    return figures(spark, sf_dir, "stars_by_d", [(v, q, m, l, 6) for v in VIEWS for d in ds for q in projections(views.WIDE, d, most) for m in METHODS])
+    return stars(spark, sf_dir, "stars_by_d", [q for d in ds for q in projections(views.WIDE, d, most)], (l,))
 
 
 def run_phases(spark, sf_dir, ls=range(2, 11), ds=range(1, 8)):
     """(view, grouping, l, residue_rows, height, done, phase): phase one of all projections at once; those not done are taken through the others.
 
     phase is the one that a release ended in; null where none is feasible."""
-    out, ends = None, []
+    out = []
     for name, view in VIEWS.items():
         df, spec = view(spark, sf_dir)
+        df = persisted(df)
         got = persisted(tiered.lattice_trim(df, spec, tuple(ds), list(ls)).withColumn("view", F.lit(name)))
+        undone: dict[tuple[str, ...], list[tuple[int, int]]] = {}
         for r in got.where("not done").collect():  # at most one row per projection and l
             qi = tuple(q for i, q in enumerate(spec.qi) if not r["grouping"] >> len(spec.qi) - 1 - i & 1)
-            try:
-                ends.append((name, r["grouping"], r["l"], tiered.tiered_suppress(*view(spark, sf_dir, qi), r["l"]).report["phase"]))
-            except Infeasible:
-                continue
-        out = got if out is None else out.unionByName(got)
-    later = spark.createDataFrame(ends, "view string, grouping int, l int, later int")
-    return out.join(F.broadcast(later), ["view", "grouping", "l"], "left").withColumn("phase", F.when(F.col("done"), 1).otherwise(F.col("later"))).drop("later")
+            undone.setdefault(qi, []).append((r["grouping"], r["l"]))
+        ends = _ends(spark, df, spec, undone)
+        out.append(got.join(F.broadcast(ends), ["grouping", "l"], "left"))
+    return reduce(DataFrame.unionByName, out).withColumn("phase", F.when(F.col("done"), 1).otherwise(F.col("later"))).drop("later")
+
+
+def _ends(spark: SparkSession, df: DataFrame, spec: MicrodataSpec, undone: dict[tuple[str, ...], list[tuple[int, int]]]) -> DataFrame:
+    """(grouping, l, later): the phase in which the releases of these projections end; infeasible ones are left out."""
+    ends = []
+    if undone and family.fits(df):
+        qis = list(undone)
+        got = family.releases(df, spec, qis, sorted({l for some in undone.values() for _, l in some}), ["tiered"])
+        phases = {(r["place"], r["l"]): r["phase"] for r in got.collect()}  # one row per projection and l
+        ends = [(g, l, phases[i, l]) for i, q in enumerate(qis) for g, l in undone[q] if (i, l) in phases]
+    else:
+        for qi, some in undone.items():
+            for g, l in some:
+                try:
+                    ends.append((g, l, tiered.tiered_suppress(df, spec.project(qi), l).report["phase"]))
+                except Infeasible:
+                    continue
+    return spark.createDataFrame(ends, "grouping int, l int, later int")
 
 
 def run_time_by_n(spark, sf_dir, l=6, d=4, most=1):

@@ -513,11 +513,21 @@ def stars_by_l(spark, sf):
     return measures.family_average(workloads.run_stars_by_l(spark, sf))
 
 
+def stars_by_d(spark, sf):
+    return measures.family_average(workloads.run_stars_by_d(spark, sf))
+
+
 def phase_lattice(spark, sf):
     return workloads.run_phases(spark, sf)
 
 
-QUERIES |= {f.__name__: f for f in (coarsening_sweep, stars_by_l, phase_lattice)}
+def phase_frequency(spark, sf):
+    """In how many tables of each view, d and l the release ends in each phase; phase null: no release is feasible."""
+    d = len(views.WIDE) - F.bit_count("grouping")
+    return measures.phase_frequency(workloads.run_phases(spark, sf).withColumn("d", d))
+
+
+QUERIES |= {f.__name__: f for f in (coarsening_sweep, stars_by_l, stars_by_d, phase_lattice, phase_frequency)}
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -13,7 +13,7 @@ from celldiv.functions import measures
 from celldiv.functions.curve import hilbert_numbers
 from celldiv.model import Infeasible, MicrodataSpec
 from celldiv.operators import bounds, cells, curve, drain, exact, publish, specialize, tiered, trim, vectors
-from celldiv.plans import workloads
+from celldiv.plans import family, workloads
 from celldiv.storage import persisted
 from tests.conftest import same
 
@@ -421,3 +421,24 @@ def test_sql_functions(spark):
         assert steps.get(i, {}) == {k: (min(h, native[i][0]), h - min(h, native[i][0])) for k, h in enumerate(hs)}
     assert spark.sql("SELECT cell_cap(CAST(NULL AS ARRAY<BIGINT>), 2) IS NULL AND cell_cap(array(1L), 1) IS NULL").first()[0]
     assert spark.sql("SELECT * FROM cell_trim(CAST(NULL AS ARRAY<BIGINT>), 2)").count() == 0
+
+
+def test_family_figures_are_those_of_single_releases(spark, data):
+    qis = workloads.projections(views.WIDE, 4, 1) + workloads.projections(views.WIDE, 2, 2)
+    got = {(r["view"], r["projection"], r["method"], r["l"]): (r["n"], r["stars"], r["starred_rows"], r["phase"]) for r in workloads.stars(spark, data, "x", qis, [2, 6]).collect()}
+    for qi in qis:
+        for method in workloads.METHODS:
+            one = workloads.figure(spark, data, "x", ("size", qi, method, 6, 6))
+            assert got["size", "+".join(qi), method, 6] == (one[6], one[7], one[8], one[9])
+
+
+def test_family_of_nulls_ties_infeasible_and_empty(spark):
+    spec = MicrodataSpec(("a", "b"), "s")
+    rows = [(None, "x", 1, 1), (None, "x", 2, 2), (1, None, 1, 3), (1, None, 2, 4), (1, "x", None, 5), (2, "y", 1, 6)]
+    df = spark.createDataFrame(rows, "a int, b string, s int, row_id long").withColumn("spare", F.lit(1))
+    got = {(r["place"], r["method"], r["l"]): (r["stars"], r["starred_rows"]) for r in family.releases(df, spec, [("a", "b"), ("a",)], [2, 3], list(workloads.METHODS)).collect()}
+    for place, qi in enumerate([("a", "b"), ("a",)]):
+        for name, method in workloads.METHODS.items():
+            assert got[place, name, 2] == tuple(measures.star_counts(method(df, spec.project(qi), 2).published).first())[1:]
+    assert not [k for k in got if k[2] == 3]  # three of six rows have one value
+    assert family.releases(df.limit(0), spec, [("a",)], [2], ["tiered"]).count() == 0
