@@ -21,13 +21,13 @@ from functools import reduce
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from celldiv.llm.common import ascii_lower, let, small
+from celldiv.llm.common import ascii_lower, counted, let, persisted, small
 
 #: ASCII that is neither letter nor digit parts words; everything beyond ASCII belongs to them.
 BREAK = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
 #: The same before lower-casing.
 BREAK_ANY_CASE = r"[\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+"
-#: A benchmark side of more fingerprints than this is shuffled, not broadcast (about 30 bytes each).
+#: A side of more fingerprints or keys than this is shuffled, not broadcast (about 30 bytes each).
 BROADCAST_ROWS = 2_000_000
 
 
@@ -62,21 +62,37 @@ def benchmark_windows(items: DataFrame, span: int) -> DataFrame:
     return have.select("item", F.explode(cut).alias("x")).groupBy("x.width", "x.window").agg(F.collect_set("item").alias("items"))
 
 
-def _runs(docs: DataFrame, windows: DataFrame, span: int) -> DataFrame:
-    """(k1, k2, k3, width, start, run): maximal stretches of distinct texts whose windows all met the benchmark's fingerprints."""
-    prints = windows.where(F.col("width") == span).select(F.explode(_least_hashes(F.split("window", " "), span)).alias("print")).distinct()
-    texts = docs.select(F.col("text").alias("t")).where(F.col("t").isNotNull())
-    mine = texts.select(*_key(F.col("t")), F.explode(F.array_distinct(let(words_of(F.col("t")), lambda w: _least_hashes(w, span)))).alias("print"))
-    met = mine.join(small(prints, BROADCAST_ROWS), "print").groupBy(*KEY).agg(F.collect_set("print").alias("met"))
-    keyed = texts.select(*_key(F.col("t")), "t").join(met, KEY).groupBy(*KEY).agg(F.any_value("t").alias("t"), F.any_value("met").alias("met"))
+def _placed_prints(words: Column, span: int) -> Column:
+    """(width, print, a, b) for each stretch a..b of windows that keep one and the same hash."""
+    def cut(h: Column) -> Column:
+        begins = F.filter(F.transform(h, lambda x, i: F.when(F.coalesce(F.get(h, i - 1) != x, F.lit(True)), i)), lambda i: i.isNotNull())
+        return let(begins, lambda at: F.transform(at, lambda p, j: F.struct(
+            F.lit(span).alias("width"), F.get(h, p).alias("print"), p.alias("a"), (F.coalesce(F.get(at, j + 1), F.size(h)) - 1).alias("b"))))
+
+    return let(_least_hashes(words, span), cut)
 
-    def stretches(w: Column) -> Column:
-        found = let(_least_hashes(w, span), lambda h: F.filter(F.transform(h, lambda x, i: F.when(F.array_contains(F.col("met"), x), i)), lambda i: i.isNotNull()))
-        first = lambda at: F.filter(F.transform(at, lambda p, j: F.when(F.coalesce(F.get(at, j - 1) != p - 1, F.lit(True)), p)), lambda p: p.isNotNull())
-        last = lambda at: F.filter(F.transform(at, lambda p, j: F.when(F.coalesce(F.get(at, j + 1) != p + 1, F.lit(True)), p)), lambda p: p.isNotNull())
-        return let(found, lambda at: F.transform(F.arrays_zip(first(at).alias("a"), last(at).alias("b")), lambda s: F.struct(s["a"].alias("start"), F.array_join(F.slice(w, s["a"] + 1, s["b"] - s["a"] + span), " ").alias("run"))))
 
-    return keyed.select(*KEY, F.lit(span).alias("width"), F.explode(let(words_of(F.col("t")), stretches)).alias("s")).select(*KEY, "width", "s.start", "s.run")
+def _runs(docs: DataFrame, windows: DataFrame, widths: list[int]) -> DataFrame:
+    """(k1, k2, k3, width, start, run): maximal stretches of distinct texts whose windows all met the benchmark's fingerprints.
+
+    All widths are winnowed in one pass, and a hash is kept with its places, so a text is read again only to cut out
+    what was found. Copies of a text are folded before texts travel.
+    """
+    own = [windows.where(F.col("width") == w).select("width", F.explode(_least_hashes(F.split("window", " "), w)).alias("print")) for w in widths]
+    prints = reduce(DataFrame.unionByName, own).distinct()
+    texts = docs.select(F.col("text").alias("t")).where(F.col("t").isNotNull())
+    mine = texts.select(*_key(F.col("t")), F.explode(let(words_of(F.col("t")), lambda w: F.concat(*[_placed_prints(w, n) for n in widths]))).alias("x")).select(*KEY, "x.*")
+    met = mine.join(small(prints, BROADCAST_ROWS), ["width", "print"]).groupBy(*KEY, "width").agg(F.array_sort(F.collect_set(F.struct("a", "b"))).alias("at"))
+    met = persisted(met)
+    first = F.filter(F.transform("at", lambda x, j: F.when(F.coalesce(F.get("at", j - 1)["b"] != x["a"] - 1, F.lit(True)), x["a"])), lambda p: p.isNotNull())
+    last = F.filter(F.transform("at", lambda x, j: F.when(F.coalesce(F.get("at", j + 1)["a"] != x["b"] + 1, F.lit(True)), x["b"])), lambda p: p.isNotNull())
+    found = met.select(*KEY, "width", F.arrays_zip(first.alias("a"), last.alias("b")).alias("at"))
+    keys, keyed = met.select(*KEY).distinct(), texts.select(*_key(F.col("t")), "t")
+    if counted(keys, BROADCAST_ROWS):
+        keyed = keyed.join(F.broadcast(keys), KEY, "left_semi")  # three numbers a row
+    keyed = keyed.groupBy(*KEY).agg(F.any_value("t").alias("t")).join(found, KEY)
+    cut = let(words_of(F.col("t")), lambda w: F.transform("at", lambda x: F.struct(x["a"].alias("start"), F.array_join(F.slice(w, x["a"] + 1, x["b"] - x["a"] + F.col("width")), " ").alias("run"))))
+    return persisted(keyed.select(*KEY, "width", F.explode(cut).alias("s")).select(*KEY, "width", "s.start", "s.run"))
 
 
 def _matched(runs: DataFrame, windows: DataFrame) -> DataFrame:
@@ -90,11 +106,9 @@ def _matched(runs: DataFrame, windows: DataFrame) -> DataFrame:
 
 def hits(docs: DataFrame, items: DataFrame, span: int = 10) -> DataFrame:
     """(k1, k2, k3, n_hit, items): per distinct contaminated text its covered words and the items found."""
-    windows = benchmark_windows(items, span)
+    windows = persisted(benchmark_windows(items, span))
     widths = sorted(r[0] for r in windows.select("width").distinct().collect())  # at most `span` numbers
-    if not widths:
-        windows, widths = windows.limit(0), [span]
-    runs = reduce(DataFrame.unionByName, [_runs(docs, windows, w) for w in widths])
+    runs = _runs(docs, windows, widths or [span])
     found = runs.join(_matched(runs, windows), ["width", "run"])
     found = found.select(*KEY, "items", F.transform("places", lambda p: F.struct((p + F.col("start")).alias("a"), (p + F.col("start") + F.col("width")).alias("b"))).alias("spans"))
     per = found.groupBy(*KEY).agg(F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"), F.array_sort(F.flatten(F.collect_list("spans"))).alias("spans"))
@@ -106,13 +120,15 @@ def hits(docs: DataFrame, items: DataFrame, span: int = 10) -> DataFrame:
 def contamination(docs: DataFrame, items: DataFrame, span: int = 10) -> DataFrame:
     """doc_id, n_words, n_hit, n_items, items_sha256, contaminated for every document row."""
     every = docs.select("doc_id", let(F.split(F.coalesce("text", F.lit("")), BREAK_ANY_CASE), lambda w: F.size(w) - (F.get(w, F.lit(0)) == "").cast("int") - ((F.size(w) > 1) & (F.element_at(w, -1) == "")).cast("int")).cast("long").alias("n_words"), *_key(F.col("text")))
-    got = every.join(hits(docs, items, span), KEY, "left")
-    names = F.coalesce("items", F.array().cast("array<string>"))
-    return got.select("doc_id", "n_words", F.coalesce("n_hit", F.lit(0).cast("long")).alias("n_hit"), F.size(names).cast("long").alias("n_items"),
-                      F.sha2(F.array_join(names, ",").cast("binary"), 256).alias("items_sha256"), (F.coalesce("n_hit", F.lit(0)) > 0).alias("contaminated"))
+    digest = lambda names: F.sha2(F.array_join(names, ",").cast("binary"), 256)
+    found = persisted(hits(docs, items, span).select(*KEY, "n_hit", F.size("items").cast("long").alias("n_items"), digest(F.col("items")).alias("items_sha256")))
+    got = every.join(small(found, BROADCAST_ROWS // 10), KEY, "left")  # about 100 bytes a row
+    none = F.lit(0).cast("long")
+    return got.select("doc_id", "n_words", F.coalesce("n_hit", none).alias("n_hit"), F.coalesce("n_items", none).alias("n_items"),
+                      F.coalesce("items_sha256", digest(F.array().cast("array<string>"))).alias("items_sha256"), (F.coalesce("n_hit", none) > 0).alias("contaminated"))
 
 
 def clean(docs: DataFrame, items: DataFrame, span: int = 10) -> DataFrame:
     """The documents, all columns, without those that hold a benchmark window."""
-    found = hits(docs.select("text"), items, span).select(*[F.col(c).alias(f"__{c}") for c in KEY])
-    return docs.join(found, (F.xxhash64("text") == F.col("__k1")) & (F.xxhash64(F.lit("k"), F.col("text")) == F.col("__k2")) & (F.octet_length("text") == F.col("__k3")), "left_anti")
+    found = persisted(hits(docs.select("text"), items, span).select(*[F.col(c).alias(f"__{c}") for c in KEY]))
+    return docs.join(small(found, BROADCAST_ROWS), (F.xxhash64("text") == F.col("__k1")) & (F.xxhash64(F.lit("k"), F.col("text")) == F.col("__k2")) & (F.octet_length("text") == F.col("__k3")), "left_anti")
