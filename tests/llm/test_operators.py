@@ -652,6 +652,14 @@ def test_url_rules(spark):
         assert (r["rule"], r["verdict"]) == (max(fit)[2:] if fit else (None, "allow"))
 
 
+def test_url_rules_of_endless_hosts(spark):
+    host = "x." * 20_000 + "example.com"
+    pages = spark.createDataFrame([(1, f"http://{host}/en/7"), (2, f"http://{host}.nowhere/en/7")], "page_id long, url string")
+    got = {r["page_id"]: (r["host"], r["rule"], r["verdict"]) for r in url_rules.judge(pages, url_rules.rule_table(spark, url_rules.RULES)).collect()}
+    assert got == {1: (host, "example.com/en/7", "allow"), 2: (host + ".nowhere", None, "allow")}
+    assert {r["rule"] for r in url_rules.judge(pages, url_rules.rule_table(spark, [])).collect()} == {None}
+
+
 # pipeline ----------------------------------------------------------------------------------------
 
 def test_pipeline(spark, data):
