@@ -20,8 +20,8 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def persisted(df: DataFrame) -> DataFrame:
     """Cut the lineage in the folder that the cluster names in spark.checkpoint.dir.
 
-    Reliable checkpoint: the files are shared, so a lost executor costs nothing. Only where
-    the session names no folder (tests) a temporary one is set.
+    Reliable checkpoint: the files are shared, so a lost executor costs nothing. Only a local
+    session that names no folder (tests) gets a temporary one; a cluster without one is an error.
     """
     checkpoint_folder(df.sparkSession)
     return df.checkpoint(eager=True)
@@ -31,7 +31,10 @@ def checkpoint_folder(spark: SparkSession) -> str:
     """The shared folder of the session, set on the context if it was not."""
     context = spark.sparkContext
     if context.getCheckpointDir() is None:
-        context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="celldiv-"))
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if not folder and not context.master.startswith("local"):
+            raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
+        context.setCheckpointDir(folder or tempfile.mkdtemp(prefix="celldiv-"))
     return context.getCheckpointDir()
 
 
