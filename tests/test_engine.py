@@ -295,7 +295,10 @@ def test_experiments_are_whole(spark, data, monkeypatch):
     got = workloads.run_phases(spark, data, (10,), (1,)).collect()
     assert len(got) == 14 and all((r["phase"] == 1) == r["done"] for r in got)
     assert all(r["phase"] in (1, 2, 3) for r in got)
+    every = queries.QUERIES["stars_by_d"](spark, data).collect()
+    assert sorted({(r["d"], r["projections"]) for r in every if r["method"] == "hybrid"}) == [(1, 7), (2, 21), (3, 35), (4, 35), (5, 21), (6, 7), (7, 1)]
     asked = []
+    monkeypatch.setattr(workloads.family, "fits", lambda df: False)  # a large table: one release after the other
     rows = [("w", "v", q, "m", 2, 1, 9, n, n, 1, None, 0.0) for q, n in (("a", 2), ("b", 4))]
     monkeypatch.setattr(workloads, "figures", lambda s, d, w, cases: asked.extend(cases) or s.createDataFrame(rows, workloads.FIGURES))
     mean = queries.QUERIES["stars_by_l"](spark, data).first()
