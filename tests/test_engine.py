@@ -6,6 +6,7 @@ from collections import Counter
 
 import numpy as np
 import pytest
+from pyspark.errors import AnalysisException
 from pyspark.sql import functions as F
 
 from celldiv import queries
@@ -25,6 +26,16 @@ def test_sql(spark, duck, data, name):
     same(queries.QUERIES[name](spark, data), duck, data, queries.SQL[name])
 
 
+#: Queries that once made their data up.
+READ = ["hilbert_square"]
+
+
+@pytest.mark.parametrize("name", READ)
+def test_reads_its_table(spark, tmp_path, name):
+    with pytest.raises(AnalysisException):
+        queries.QUERIES[name](spark, str(tmp_path)).collect()
+
+
 def vectors_of(*rows):
     return [{i + 1: h for i, h in enumerate(r) if h} for r in rows]
 
