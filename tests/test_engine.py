@@ -27,7 +27,7 @@ def test_sql(spark, duck, data, name):
 
 
 #: Queries that once made their data up.
-READ = ["hilbert_square", "overhaul_fixtures", "reduction_facts"]
+READ = ["hilbert_square", "overhaul_fixtures", "reduction_facts", "reduction_optimum"]
 
 
 @pytest.mark.parametrize("name", READ)
