@@ -13,7 +13,9 @@ empty table packs nothing. `pack` needs doc_id and text; further columns are dro
 
 from __future__ import annotations
 
+import itertools
 import zlib
+from array import array
 from bisect import bisect_right
 from collections.abc import Iterator
 
@@ -125,9 +127,11 @@ def fillings(counts: dict[int, int], room: int, limit: int) -> Iterator[tuple[in
     putting the other's pieces there instead never hurts the rest. Few pieces are enumerated in full;
     of many, the fullest set for each choice of its largest piece, at most `limit`.
     """
-    best = fullest(counts, room)
+    best, few, held = fullest(counts, room), sum(counts.values()) <= FEW_PIECES, _packed(counts)
+    del counts  # a search has as many waiting nodes as it is deep
     yield best
-    if sum(counts.values()) <= FEW_PIECES:
+    counts = _unpacked(held)
+    if few:
         every = sorted(_maximal(counts, room), key=lambda f: (-sum(f), len(f), tuple(-x for x in f)))
         kept: list[tuple[int, ...]] = [best]
         for f in every:
@@ -135,13 +139,34 @@ def fillings(counts: dict[int, int], room: int, limit: int) -> Iterator[tuple[in
                 kept.append(f)
                 yield f
         return
-    for s in sorted((s for s in counts if s <= room and s != (best or (0,))[0]), reverse=True)[:limit]:
-        after = counts | {s: counts[s] - 1}
+    tops = sorted((s for s in counts if s <= room and s != (best or (0,))[0]), reverse=True)[:limit]
+    del counts
+    for s in tops:
+        after = _unpacked(held)
+        after[s] -= 1
         got = (s, *fullest(after, room - s, s))
+        del after
         if not _dominates(best, got):
             yield got
 
 
+def _packed(counts: dict[int, int]) -> array:
+    return array("q", itertools.chain.from_iterable(counts.items()))
+
+
+def _unpacked(held: array) -> dict[int, int]:
+    return dict(zip(held[::2], held[1::2]))
+
+
+def _less(held: array, whole: tuple[int, ...], times: int) -> dict[int, int]:
+    left = _unpacked(held)
+    for s in set(whole):
+        left[s] -= times * whole.count(s)
+        if not left[s]:
+            del left[s]
+    return left
+
+
 def _maximal(counts: dict[int, int], room: int) -> Iterator[tuple[int, ...]]:
     """All sets to which no further piece can be added."""
     sizes = sorted((s for s in counts if counts[s]), reverse=True)
@@ -179,22 +204,18 @@ def complete(counts: dict[int, int], capacity: int, max_nodes: int = MAX_NODES,
 
     def branches(left: dict[int, int], done: tuple, used: int, waste: int) -> Iterator[tuple]:
         """The node's children: its largest piece with each filling, as often as the counts and the bound allow."""
-        top = max(left)
-        beside = left | {top: left[top] - 1}
-        for f in fillings({s: n for s, n in beside.items() if n}, capacity - top, max_fillings):
+        top, held = max(left), _packed(left)
+        ways = fillings(_less(held, (top,), 1), capacity - top, max_fillings)
+        del left
+        for f in ways:
             whole = (top, *f)
             lost = capacity - sum(whole)
-            most = min(left[s] // whole.count(s) for s in set(whole))
+            most = (lambda left: min(left[s] // whole.count(s) for s in set(whole)))(_unpacked(held))
             spare = (best - 1) * capacity - total - waste
             if lost and spare < lost * most:
                 most = spare // lost
             for times in dict.fromkeys((most, 1) if most > 0 else ()):
-                after = dict(left)
-                for s in set(whole):
-                    after[s] -= times * whole.count(s)
-                    if not after[s]:
-                        del after[s]
-                yield after, (done, (whole, times)), used + times, waste + times * lost
+                yield _less(held, whole, times), (done, (whole, times)), used + times, waste + times * lost
 
     stack = [branches(counts, (), 0, 0)] if best > least else []
     while stack and nodes < max_nodes and best > least:
