@@ -316,6 +316,15 @@ def test_experiments_are_whole(spark, data, monkeypatch):
     assert (mean["projections"], mean["stars"]) == (2, 3.0) and len(asked) == len(set(asked)) == 2 * 35 * 3 * 9
 
 
+def test_phases_of_large_tables_need_no_rows(spark, data, monkeypatch):
+    """Over FAMILY_ROWS the later phases come from histograms; they are those of a projection a task."""
+    want = sorted(map(tuple, workloads.run_phases(spark, data, (10,), (1,)).collect()))
+    monkeypatch.setattr(workloads.family, "fits", lambda df: False)
+    monkeypatch.setattr(tiered, "tiered_suppress", lambda *a: pytest.fail("released rows"))
+    got = workloads.run_phases(spark, data, (10,), (1,)).collect()
+    assert sorted(map(tuple, got)) == want and any(r["phase"] > 1 for r in got)
+
+
 def test_pairs(spark):
     rnd = random.Random(1)
     for _ in range(3):
