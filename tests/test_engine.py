@@ -268,6 +268,21 @@ def test_chunks_are_bounded(spark):
     assert all(x["position"] <= y["position"] and y["rank"] == x["rank"] + 1 for x, y in zip(ranks, ranks[1:]) if x["b"] == y["b"])
 
 
+def test_tight_tables_need_no_task_with_a_chunk(spark, monkeypatch):
+    """As many rows of each of l values: cells are ranks, the same as those of one chunk, and no task holds one."""
+    df = spark.createDataFrame([(i * 7 % 501 if i % 2 else i * i % 83, (None, "x")[i % 2], i) for i in range(2_000)], "q int, b string, row_id long")
+    spec = MicrodataSpec(("q",), "b")
+    pairs = lambda got: sorted(tuple(x[0] for x in r["q"]) for r in got.groupBy("cell_id").agg(F.array_sort(F.collect_list(F.struct("q"))).alias("q")).collect())
+    for chunking in ("stratified", "range"):
+        want = curve.curve_cells(df, spec, 2, chunking, chunk_rows=10_000)
+        monkeypatch.setattr(curve, "TASK_ROWS", 1_000)
+        got = curve.curve_cells(df, spec, 2, chunking, chunk_rows=10_000)
+        assert "FlatMapGroupsInPandas" not in got._jdf.queryExecution().toString()
+        assert sorted(got.columns) == sorted(want.columns) and pairs(got) == pairs(want) and cells.violations(got.withColumn("star_mask", F.lit(0)), spec, 2).isEmpty()
+        assert not curve.is_tight(df.where("row_id > 0"), spec, 2) and not curve.is_tight(df.limit(0), spec, 2)
+        monkeypatch.undo()
+
+
 def test_picks_are_exact(spark):
     """A pair with most of the rows loses just as many as planned, also where row ids repeat."""
     df = spark.createDataFrame([("a", "x", i // 2) for i in range(900)] + [("a", "y", i) for i in range(50)], "q string, b string, row_id long")
