@@ -13,7 +13,7 @@ from celldiv import queries
 from celldiv.functions import measures
 from celldiv.functions.curve import hilbert_numbers
 from celldiv.model import Infeasible, MicrodataSpec
-from celldiv.operators import bounds, cells, curve, drain, exact, publish, specialize, tiered, trim, vectors
+from celldiv.operators import bounds, cells, curve, drain, exact, lattice, publish, specialize, tiered, trim, vectors
 from celldiv.plans import family, held, workloads
 from celldiv.sources import views
 from celldiv.storage import persisted
@@ -340,6 +340,60 @@ def test_phases_of_large_tables_need_no_rows(spark, data, monkeypatch):
     assert sorted(map(tuple, got)) == want and any(r["phase"] > 1 for r in got)
 
 
+def _lattices(df, spec, sizes, ls) -> tuple:
+    coded = lattice.Lattice.of(df, spec, sizes, ls)
+    return coded, *(sorted(map(tuple, tiered.lattice_trim(df, spec, sizes, ls, c).collect())) for c in (None, coded))
+
+
+def test_lattice_of_large_tables(spark, data, monkeypatch):
+    """Large lattices are summed up from codes, with later phases from some cells, and are neither expanded by rows nor released one by one."""
+    want = sorted(map(tuple, workloads.run_phases(spark, data, (10,), (1, 6)).collect()))
+    monkeypatch.setattr(lattice, "EXPANDED", 0)
+    monkeypatch.setattr(lattice, "ALONE", 2_000)
+    for name in ("histogram_plan", "combinations"):
+        monkeypatch.setattr(tiered, name, lambda *a: pytest.fail("one projection after the other, or grouping sets over rows"))
+    got = workloads.run_phases(spark, data, (10,), (1, 6)).collect()
+    assert sorted(map(tuple, got)) == want and any(r["phase"] == 2 for r in got)
+
+
+def test_lattice_of_nulls_and_splits(spark, monkeypatch):
+    """Nulls, a QI with one value, heavy buckets, projections without any QI, infeasible l, an empty table."""
+    monkeypatch.setattr(lattice, "EXPANDED", 0)
+    monkeypatch.setattr(lattice, "PROJECTIONS", 0)
+    rows = [(None if i % 11 == 0 else i % 13, "xyz"[i * i % 3], i // 7 % 5, None if i % 9 == 0 else i * i % 7, 1) for i in range(900)]
+    df, spec = spark.createDataFrame(rows, "a int, b string, c long, s int, one int"), MicrodataSpec(("b", "a", "one", "c"), "s")
+    for alone, pairs, stages in ((1 << 30, 1 << 30, 2), (0, 1 << 30, 5), (0, 20, 6)):
+        monkeypatch.setattr(lattice, "ALONE", alone)
+        monkeypatch.setattr(lattice, "BUCKET_PAIRS", pairs)
+        coded, want, got = _lattices(df, spec, (0, 1, 2, 3, 4), [2, 3])
+        assert got == want and len(got) == 32 and len(coded.stages) >= stages
+    coded, want, got = _lattices(df, spec, (1, 2), [2, 9])
+    assert got == want and all(phase == 0 for (_, l), phase in coded.ends().items() if l == 9)  # more than there are values
+    assert _lattices(df.limit(0), spec, (1, 2), [2])[1:] == ([], [])
+    assert lattice.Lattice.of(df.withColumn("a", F.lit(0.5)), spec, (1, 2), [2]) is None  # left to grouping sets
+
+
+def test_lattice_later_phases():
+    """Some cells tell the phase if no value that others hold ran out in them; all cells also tell phase three."""
+    loose, frozen = {0: 3, 1: 3, 2: 3, 3: 3}, {0: 1, 1: 1, 2: 1}
+    flat = lambda cells: (np.array([c << 2 | v for c, counts in enumerate(cells) for v in counts]), np.array([h for counts in cells for h in counts.values()]))
+    others, none = np.array([5, 5, 5, 5]), np.zeros(4, np.int64)
+    assert lattice.phase_from(*flat([loose] * 3), others, {0: 2, 1: 1}, 3, 2) == 2
+    assert lattice.phase_from(*flat([frozen] * 2), others, {0: 2, 1: 1}, 3, 2) == 0
+    assert lattice.phase_from(*flat([{0: 1, 1: 1}]), others, {0: 3}, 3, 2) == 0
+    # every cell is tight and holds a value that is a peak of the residue
+    cells, residue = [{0: 1, 2: 1, 3: 1}, {1: 1, 2: 1, 3: 1}], {0: 2, 1: 2}
+    left = Counter(residue)
+    vectors.drain([dict(c) for c in cells], left, 3)
+    assert not vectors.eligible(left, 3)
+    assert lattice.phase_from(*flat(cells), none, residue, 3, 2) == 3 and lattice.phase_from(*flat(cells), others, residue, 3, 2) == 0
+    # most rows to spare first, and who else holds a value
+    key, h = flat([{0: 1, 1: 1}, {0: 5, 1: 5, 2: 5}, {1: 2, 2: 2, 3: 2}])
+    cells = lattice.Heights(key, h, 2, [2])
+    some, kept, rest = lattice.candidates(cells, next(cells.kept([2]))[1], 2, 2, 4, 1)
+    assert some.tolist() == [4, 5, 6] and kept.tolist() == [5, 5, 5] and rest.tolist() == [1, 2, 1, 1]
+
+
 def test_pairs(spark):
     rnd = random.Random(1)
     for _ in range(3):
